@@ -69,8 +69,16 @@ def systematic_mix(
     targets = source_targets(
         cells.groupBy("mix_source").agg(F.sum("_words").cast("long").alias("mix_source_size")), weights, most
     )
-    along = Window.partitionBy("mix_source").orderBy("_band", "_salt").rowsBetween(Window.unboundedPreceding, -1)
-    cells = cells.withColumn("_before", F.coalesce(F.sum("_n").over(along), F.lit(0))).drop("_n", "_words")
+    # Ranks before a cell: those of the source's bands before, and those of the band's salts before. A source has some
+    # hundred bands and a band SALTS salts, whatever the corpus.
+    by_band = Window.partitionBy("mix_source").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
+    by_salt = Window.partitionBy("mix_source", "_band").orderBy("_salt").rowsBetween(Window.unboundedPreceding, -1)
+    bands = cells.groupBy(F.col("mix_source").alias("_s"), F.col("_band").alias("_b")).agg(F.sum("_n").alias("_k"))
+    bands = bands.withColumnRenamed("_s", "mix_source").withColumn("_lower", F.coalesce(F.sum("_k").over(by_band), F.lit(0)))
+    bands = bands.select(F.col("mix_source").alias("_s"), "_b", "_lower")
+    cells = cells.withColumn("_within", F.coalesce(F.sum("_n").over(by_salt), F.lit(0)))
+    cells = cells.join(bands, cells["mix_source"].eqNullSafe(bands["_s"]) & (cells["_band"] == bands["_b"]))
+    cells = cells.select("mix_source", "_band", "_salt", (F.col("_lower") + F.col("_within")).alias("_before"))
     same = lambda a, b, names: [a[n].eqNullSafe(b[n]) for n in names]
     cells = cells.join(targets, same(cells, targets, ["mix_source"])).select(
         cells["mix_source"].alias("_c_source"), F.col("_band").alias("_c_band"), F.col("_salt").alias("_c_salt"),

@@ -35,6 +35,8 @@ ALPHA = 0.004
 DELTA = 0.05
 #: Terms of the tail that are summed; a geometric bound, which errs to the safe side, stands for the rest.
 TERMS = 2000
+#: Thresholds of at most so many strata (under 100 bytes each) are broadcast.
+BROADCAST_STRATA = 50_000
 
 
 def repeat_words(words: Column) -> Column:
@@ -181,8 +183,10 @@ def quality_rules(
     known = labels.where(F.col(key).isNotNull() & F.col(good).isNotNull()).select(F.col(key).alias("_key"), F.col(good).alias("_good"))
     known = counted.join(known, F.col(key) == F.col("_key")).withColumnRenamed("_good", "label_good")
     taken = risk_thresholds(known, stratum, "label_good", cutoffs, alpha, delta)
-    # One row for each stratum, of which a corpus has few.
     wide = taken.groupBy("stratum").agg(*[F.max(F.when(F.col("measure") == m, F.col("cutoff"))).alias(f"_cut_{m}") for m in cutoffs])
+    wide = materialise(wide)
+    if wide.count() <= BROADCAST_STRATA:
+        wide = F.broadcast(wide)
     out = counted.join(wide, counted[stratum].eqNullSafe(wide["stratum"]), "left").withColumn(
         "failed", F.array_compact(F.array(*[F.when(F.col(m) > F.col(f"_cut_{m}"), F.lit(m)) for m in cutoffs]))
     )

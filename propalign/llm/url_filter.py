@@ -15,6 +15,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from propalign.llm.tables import materialise
+
 #: The rules that the query applies.
 RULES = [
     ("org", "/", "allow"),
@@ -97,7 +99,8 @@ def url_filter(pages: DataFrame, rules: DataFrame, url: str = "url", default: st
         F.broadcast(keyed) if small else keyed,
         (F.col("_url_short") == F.col("r_short")) & (F.col("_url_full") == F.col("r_full")),
     )
-    best = hits.groupBy("_url_host", "_url_path").agg(F.max("r_rank").alias("_url_best"))
+    # Written, so that the join below has an exchange on both sides and a frequent address can be split.
+    best = materialise(hits.groupBy("_url_host", "_url_path").agg(F.max("r_rank").alias("_url_best")))
     return (
         rows.join(best, (F.col("url_host") == F.col("_url_host")) & (F.col("url_path") == F.col("_url_path")), "left")
         .withColumns(

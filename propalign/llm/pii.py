@@ -155,7 +155,8 @@ def personal_data(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = (
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with each span in text replaced by its kind in angle brackets; overlapping spans become one, of the first's kind."""
     found = personal_data(docs, text, tuple(docs.columns))
-    place = docs.columns.index(text)
+    names = docs.columns
+    place = names.index(text)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,6 +173,6 @@ def redact(docs: DataFrame, text: str = "text") -> DataFrame:
                 new.append(x)
             cols = list(b.columns[:-1])
             cols[place] = pa.array(new, pa.string())
-            yield pa.RecordBatch.from_arrays(cols, names=docs.columns)
+            yield pa.RecordBatch.from_arrays(cols, names=names)
 
     return found.select(*docs.columns, "spans").mapInArrow(run, kinds)

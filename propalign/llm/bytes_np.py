@@ -82,8 +82,8 @@ def shingle_sets(texts: list[str | None], words: int = 5) -> list[np.ndarray]:
         if k >= words:
             out.append(np.unique(runs[before : last - words + 1]))
         elif k:
-            own = sum((word[before + j] * factor[j] for j in range(k)), np.uint64(int(k) * 7919))
-            out.append(mix(np.array([own], dtype=np.uint64)))
+            own = (word[before:last] * np.array(factor[:k], dtype=np.uint64)).sum(dtype=np.uint64, keepdims=True)
+            out.append(mix(own + np.full(1, k * 7919, dtype=np.uint64)))
         else:
             out.append(np.zeros(0, dtype=np.uint64))
         before = last

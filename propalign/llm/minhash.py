@@ -7,12 +7,15 @@ such pair is found. Pairs beyond are found too if any one chunk is close enough:
 one in ten million. Candidates whose signatures differ in more than ``LOOSE`` symbols are dropped (similarity 0.75 has 20
 on average, with a deviation of 3.9), the rest are confirmed on the full sets; no partner or bucket is capped.
 
-Only components matter, so pairs are not expanded within a bucket:
+Only components matter, so pairs are not expanded:
 
 1. Documents with equal sets are one class.
-2. Each class is compared with the smallest class of each of its buckets, and tried against the closest of them.
-3. Buckets that still hold two components are compared in blocks across components, by signatures, inside tasks; large
-   buckets are cut into blocks and pairs of blocks.
+2. A bucket's leader is its class that meets most others over all buckets. Two classes that share a bucket share its leader,
+   so the groups of classes by leader hold every candidate pair, most of them once. Each class is tried against the closest
+   of its leaders.
+3. Groups that still hold two components are compared across components in blocks (pairs of blocks, where they are large),
+   inside tasks: first by signatures, to find the classes that have a near partner in another component at all; then
+   exactly, by the sets of those. A task returns only links that join two components.
 
 Edge cases: a null or empty text or one without words has no shingle and links with nothing, its component is its own id;
 fewer words than a shingle make one of all. Repeated rows are exact copies; a repeated id keeps all its rows, and a row
@@ -41,7 +44,7 @@ SHARE = (75, 100)
 HASHES, BITS, CHUNKS, ERRORS = 80, 16, 16, 1
 LOOSE = 42
 #: Members of a block.
-BLOCK = 256
+BLOCK = 512
 
 _rng = np.random.default_rng(911)
 _MULTIPLY = _rng.integers(1, 2**63, size=HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -132,10 +135,10 @@ def _near(pairs: DataFrame, classes: DataFrame) -> DataFrame:
     return both.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long, apart int")
 
 
-def _confirmed(pairs: DataFrame, docs: DataFrame, members: DataFrame, text: str, key: str) -> DataFrame:
-    """Those of pairs (a, b) whose full shingle sets are similar enough. members: (key, c), one document of each class."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("c")).distinct().join(members, "c")
-    texts = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text")).join(wanted, F.col("_key").eqNullSafe(F.col("m_key"))).select("c", "same", "_text")
+def _sets(wanted: DataFrame, docs: DataFrame, members: DataFrame, text: str, key: str) -> DataFrame:
+    """(c, shingles) of the classes wanted (c), from their documents' whole texts. members: (key, c), one document of each class."""
+    known = wanted.distinct().join(members, "c")
+    texts = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text")).join(known, F.col("_key").eqNullSafe(F.col("m_key"))).select("c", "same", "_text")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -146,7 +149,12 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, members: DataFrame, text: str,
                 right = [hashlib.blake2b(s, digest_size=16).digest() == d for s, d in zip(found, b.column(1).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["c", "shingles"]).filter(pa.array(right))
 
-    full = materialise(texts.mapInArrow(sets, "c long, shingles binary")).groupBy("c").agg(F.first("shingles").alias("shingles"))
+    # Rows that repeat an id and its text give the same set again.
+    return materialise(texts.mapInArrow(sets, "c long, shingles binary").dropDuplicates(["c"]))
+
+
+def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
+    """Those of pairs (a, b) whose full shingle sets (c, shingles) are similar enough."""
 
     def agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         up, down = SHARE
@@ -162,60 +170,96 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, members: DataFrame, text: str,
     return joined.select("a", "b", "xa", "xb").mapInArrow(agree, "a long, b long")
 
 
-def _across(open_rows: DataFrame) -> DataFrame:
-    """(a, b): pairs across components within a bucket whose signatures are near. open_rows: (bucket, c, label, sig).
+def _block_pairs(rows: DataFrame, carried: str) -> DataFrame:
+    """(g, lead, c, label, carried): rows (lead, c, label, carried) dealt to groups g that hold two blocks of a leader's group.
 
-    The rows of a bucket are cut into blocks, a component with more than a block's rows into blocks of its own; each pair
-    of blocks that may hold two components is one group. A row goes once to each pair of blocks that it is in.
+    A component with more than a block's members gets blocks of its own, the others share blocks. Every pair of blocks
+    that may hold two components is a group; a row goes once to each pair of blocks that it is in.
     """
-    size = open_rows.groupBy("bucket", "label").agg(F.count("*").alias("n"))
-    rest = size.where(F.col("n") <= BLOCK).groupBy("bucket").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("pools"))
-    part = size.join(rest, "bucket", "left").select(
-        "bucket", "label",
+    size = rows.groupBy("lead", "label").agg(F.count("*").alias("n"))
+    rest = size.where(F.col("n") <= BLOCK).groupBy("lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("pools"))
+    part = size.join(rest, "lead", "left").select(
+        "lead", "label",
         F.when(F.col("n") > BLOCK, F.col("label")).otherwise(F.lit(-1)).alias("own"),
         F.when(F.col("n") > BLOCK, F.ceil(F.col("n") / BLOCK).cast("int")).otherwise(F.col("pools")).alias("parts"),
     )
-    blocks = part.select("bucket", "own", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("k")).distinct()
+    blocks = part.select("lead", "own", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("k")).distinct()
     left = blocks.withColumnsRenamed({"own": "o1", "k": "k1"})
     right = blocks.withColumnsRenamed({"own": "o2", "k": "k2"})
     ordered = (F.col("o1") < F.col("o2")) | ((F.col("o1") == F.col("o2")) & (F.col("o1") == -1) & (F.col("k1") <= F.col("k2")))
-    groups = left.join(right, "bucket").where(ordered).withColumn("g", F.xxhash64("bucket", "o1", "k1", "o2", "k2"))
+    groups = left.join(right, "lead").where(ordered).withColumn("g", F.xxhash64("lead", "o1", "k1", "o2", "k2"))
     sides = groups.select(
-        "bucket", "g",
+        "lead", "g",
         F.explode(F.array_distinct(F.array(F.struct(F.col("o1").alias("own"), F.col("k1").alias("k")), F.struct(F.col("o2").alias("own"), F.col("k2").alias("k"))))).alias("x"),
-    ).select("bucket", "g", "x.own", "x.k")
-    dealt = open_rows.join(part, ["bucket", "label"]).withColumn("k", F.pmod(F.xxhash64("c"), F.col("parts")).cast("int"))
-    dealt = dealt.join(sides, ["bucket", "own", "k"]).select("g", "c", "label", "sig")
+    ).select("lead", "g", "x.own", "x.k")
+    dealt = rows.join(part, ["lead", "label"]).withColumn("k", F.pmod(F.xxhash64("c"), F.col("parts")).cast("int"))
+    # A group has two blocks' rows at most, so its rows can be brought together.
+    return dealt.join(sides, ["lead", "own", "k"]).select("g", "lead", "c", "label", carried).repartition("g").sortWithinPartitions("g")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        carry: list[tuple] = []
 
-        def found(rows: list[tuple]) -> tuple[list[int], list[int]]:
-            if len({r[2] for r in rows}) < 2:
-                return [], []
-            sig = np.array([np.frombuffer(r[3], dtype=np.uint16) for r in rows])
-            c, label = np.array([r[1] for r in rows]), np.array([r[2] for r in rows])
-            a, b = [], []
-            for i in range(len(rows) - 1):
+def _by_group(batches: Iterator[pa.RecordBatch]) -> Iterator[list[tuple]]:
+    """Rows of one group at a time, from batches in the order of the groups."""
+    held: list[tuple] = []
+    for batch in batches:
+        for row in zip(*[col.to_pylist() for col in batch.columns], strict=True):
+            if held and held[0][0] != row[0]:
+                yield held
+                held = []
+            held.append(row)
+    if held:
+        yield held
+
+
+def _with_partner(rows: DataFrame) -> DataFrame:
+    """(lead, c) of classes with a class of another component in their group whose signature is near. rows: (lead, c, label, sig)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _by_group(batches):
+            label, sig = np.array([r[3] for r in group]), np.array([np.frombuffer(r[4], dtype=np.uint16) for r in group])
+            near = np.zeros(len(group), dtype=bool)
+            for i in range(len(group) - 1):
                 ok = ((sig[i + 1 :] != sig[i]).sum(1) <= LOOSE) & (label[i + 1 :] != label[i])
-                for j in np.flatnonzero(ok) + i + 1:
-                    a.append(int(min(c[i], c[j])))
-                    b.append(int(max(c[i], c[j])))
-            return a, b
+                near[i] |= ok.any()
+                near[i + 1 :] |= ok
+            at = np.flatnonzero(near)
+            yield pa.RecordBatch.from_arrays([pa.array([group[i][1] for i in at], pa.int64()), pa.array([group[i][2] for i in at], pa.int64())], names=["lead", "c"])
+
+    return _block_pairs(rows, "sig").mapInArrow(run, "lead long, c long").distinct()
+
 
-        for batch in batches:
+def _joining_links(rows: DataFrame) -> DataFrame:
+    """(a, b): confirmed links that join two components of a group. rows: (lead, c, label, shingles)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        up, down = SHARE
+        for group in _by_group(batches):
+            sets = [np.frombuffer(r[4], dtype=np.uint64) for r in group]
+            sizes = np.array([len(s) for s in sets])
+            flat, off = np.concatenate(sets), np.concatenate([[0], np.cumsum(sizes)])
+            labels, label = np.unique([r[3] for r in group], return_inverse=True)
+            root = np.arange(len(labels))  # of each component, kept flat
             a, b = [], []
-            for row in zip(*[col.to_pylist() for col in batch.columns], strict=True):
-                if carry and carry[0][0] != row[0]:
-                    x, y = found(carry)
-                    a, b, carry = a + x, b + y, []
-                carry.append(row)
+            for i in range(len(group) - 1):
+                mine = root[label[i]]
+                rest = np.arange(i + 1, len(group))
+                # Sizes alone rule out many.
+                rest = rest[(root[label[rest]] != mine) & (down * np.minimum(sizes[rest], sizes[i]) >= up * np.maximum(sizes[rest], sizes[i]))]
+                if not len(rest):
+                    continue
+                x = flat if len(rest) > 0.7 * len(group) else np.concatenate([sets[j] for j in rest])
+                where = off[:-1][rest] if x is flat else np.cumsum(sizes[rest]) - sizes[rest]
+                own = sets[i]
+                at = np.minimum(np.searchsorted(own, x), len(own) - 1)
+                hits = np.concatenate([[0], np.cumsum(own[at] == x)])
+                both = hits[where + sizes[rest]] - hits[where]
+                for j in rest[down * both >= up * (sizes[rest] + sizes[i] - both)]:
+                    if root[label[j]] != root[label[i]]:
+                        root[root == root[label[j]]] = root[label[i]]
+                        a.append(min(group[i][2], group[j][2]))
+                        b.append(max(group[i][2], group[j][2]))
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
-        a, b = found(carry)
-        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-    # A group has two blocks of about BLOCK rows, so rows of one group can be brought together.
-    return dealt.repartition("g").sortWithinPartitions("g").mapInArrow(run, "a long, b long").distinct()
+    return _block_pairs(rows, "shingles").mapInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -225,21 +269,25 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     classes = materialise(classes.select("c", "same", "rep", "sig", F.col(f"x.{key}").alias("m_key")))
     members = classes.select("c", "same", "m_key")
     buckets = _bucket_keys(classes)
-    # Only keys that two classes share matter.
-    shared = buckets.groupBy("bucket").agg(F.count("*").alias("n"), F.min("c").alias("first")).where("n > 1").drop("n")
-    shared = materialise(shared)  # so that the join's large keys can be split
+    # Only keys that two classes share matter. Tables are written so that the joins have an exchange on both sides and large
+    # keys can be split.
+    shared = materialise(buckets.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1"))
     rows = materialise(buckets.join(shared, "bucket"))
-    near = _near(rows.where("c != first").select(F.col("first").alias("a"), F.col("c").alias("b")).distinct(), classes)
-    closest = near.groupBy("b").agg(F.min(F.struct("apart", "a")).alias("x")).select(F.col("x.a").alias("a"), "b")
-    links = materialise(_confirmed(materialise(closest), docs, members, text, key))
+    weight = materialise(rows.groupBy("c").agg(F.sum("n").alias("w")))
+    leader = materialise(rows.join(weight, "c").groupBy("bucket").agg(F.max(F.struct("w", F.col("c").alias("lead"))).alias("x")).select("bucket", "x.lead"))
+    groups = materialise(rows.join(leader, "bucket").select("lead", "c").distinct())
+    near = _near(groups.where("c != lead").select(F.col("lead").alias("a"), F.col("c").alias("b")), classes)
+    closest = materialise(near.groupBy("b").agg(F.min(F.struct("apart", "a")).alias("x")).select(F.col("x.a").alias("a"), "b"))
+    links = materialise(_confirmed(closest, _sets(closest.select(F.explode(F.array("a", "b")).alias("c")), docs, members, text, key)))
     label = materialise(components(links))
-    named = rows.join(label, rows["c"] == label["node"], "left").select("bucket", "c", F.coalesce("label", "c").alias("label"))
-    mixed = named.groupBy("bucket").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("bucket")
-    mixed = materialise(mixed)
-    open_rows = materialise(named.join(mixed, "bucket").join(classes.select("c", "sig"), "c").select("bucket", "c", "label", "sig"))
-    more = materialise(_across(open_rows))
-    if not more.isEmpty():
-        links = links.unionByName(_confirmed(more, docs, members, text, key))
+    named = groups.join(label, groups["c"] == label["node"], "left").select("lead", "c", F.coalesce("label", "c").alias("label"))
+    mixed = materialise(named.groupBy("lead").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("lead"))
+    open_rows = materialise(named.join(mixed, "lead"))
+    partnered = materialise(_with_partner(open_rows.join(classes.select("c", "sig"), "c")))
+    if not partnered.isEmpty():
+        full = _sets(partnered.select("c"), docs, members, text, key)
+        more = _joining_links(open_rows.join(partnered, ["lead", "c"]).join(full, "c").select("lead", "c", "label", "shingles"))
+        links = links.unionByName(more)
         label = materialise(components(links))
     whole = classes.join(label, classes["c"] == label["node"], "left").select("c", "same", "rep", F.coalesce("label", "c").alias("label"))
     smallest = whole.groupBy("label").agg(F.min("rep").alias("component_id"))

@@ -221,7 +221,7 @@ def _sorted_spans(pool: DataFrame, length: int) -> DataFrame:
                 by = np.lexsort((k, w))
                 w, k = w[by], k[by]
                 cut = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (k[1:] > k[:-1] + 1)])) if len(w) else np.zeros(0, dtype=int)
-                for i, j in zip(cut, np.append(cut[1:], len(w)), strict=True):
+                for i, j in zip(cut, np.append(cut[1:], len(w))[: len(cut)], strict=True):
                     r = rows[w[i]]
                     if r[5] == 1:
                         tid.append(r[1])

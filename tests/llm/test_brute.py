@@ -174,6 +174,15 @@ def test_suffix_sort():
     assert keys == sorted(keys)
 
 
+def test_suffix_dedup_without_repeats(spark):
+    """Anchors that repeat in stretches that don't: nothing is removed."""
+    rng = random.Random(15)
+    passage = prose(rng, 8)[:40]
+    texts = [prose(rng, 30) + passage + prose(rng, 30) for _ in range(6)]
+    got = suffix_dedup(frame(spark, texts), length=60, gram=20).collect()
+    assert [(len(r["kept"]), list(r["spans"])) for r in sorted(got, key=lambda r: r["doc_id"])] == [(len(t), []) for t in texts]
+
+
 def test_suffix_dedup_empty(spark):
     assert suffix_dedup(frame(spark, ["x"]).limit(0)).count() == 0
 

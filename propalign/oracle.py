@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from propalign.baselines import lsh, semgraph
-from propalign.functions.formats import CHAR_NAMES, CHAR_TYPES, NUMBER, TOKEN_TYPES
+from propalign.functions.formats import CHAR_NAMES, CHAR_TYPES, LARGEST, NUMBER, TOKEN_TYPES
 from propalign.functions.lexicon import EPSILON, word_concepts
 from propalign.plans.splits import FRACTIONS
 from propalign.sources.domains import DOMAINS, alignment, instances_sql, source_name
@@ -58,7 +58,7 @@ _COUNT = {n: f"length(regexp_replace(value, '[^{p[1:-1] if p.startswith('[') els
 _COUNT["other"] = f"length(value) - ({' + '.join(_COUNT[n] for n in ('letter', 'mark', 'number', 'punctuation', 'symbol', 'white'))})"
 _TOKENS = "list_filter(regexp_split_to_array(value, '[\\p{Z}\\s]+'), lambda t: t <> '')"
 _TOKEN = {n: f"len(list_filter(tokens, lambda t: regexp_matches(t, '{p}')))" for n, p in TOKEN_TYPES.items()}
-_NUM = f"CASE WHEN regexp_matches(trim(value, ' '), '{NUMBER}') THEN CAST(trim(value, ' ') AS DOUBLE) ELSE -1.0 END"
+_NUM = f"CASE WHEN regexp_matches(trim(value, ' '), '{NUMBER}') AND abs(TRY_CAST(trim(value, ' ') AS DOUBLE)) <= {LARGEST} THEN TRY_CAST(trim(value, ' ') AS DOUBLE) ELSE -1.0 END"
 
 
 def meta_rows(relation: str) -> str:

@@ -26,7 +26,7 @@ def instance_stream(events: DataFrame, sources: int = 8) -> DataFrame:
         F.struct(F.lit("key").alias("prop"), F.get_json_object("props", "$.k").alias("value")),
     )
     source = F.concat(F.lit("e"), F.lpad((F.col("user_id") % sources).cast("string"), 2, "0"))
-    rows = events.select(F.lit("event").alias("cls"), source.alias("source"), F.col("event_id").cast("string").alias("entity"), F.inline(props), "ts")
+    rows = events.select(F.lit("event").alias("cls"), source.alias("source"), F.col("event_id").cast("string").alias("entity"), F.inline(props), F.col("ts").cast("timestamp").alias("ts"))
     return rows.where("value is not null")
 
 

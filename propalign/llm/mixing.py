@@ -64,7 +64,10 @@ def systematic_mix(
             "mix_size": word_count(F.col(text)),
             "_salt": F.pmod(F.conv(F.substring(F.md5(F.coalesce(F.col(key).cast("string"), F.lit(""))), 1, 4), 16, 10).cast("int"), F.lit(SALTS)),
         }
-    ).withColumn("_band", F.when(F.col("mix_size") < 64, F.col("mix_size")).otherwise(F.floor(F.log2("mix_size") * 16) - 32))
+    ).withColumn("_bits", F.length(F.bin("mix_size")))
+    # Bands of sizes: exact below 64, then 16 for each power of two.
+    coarse = F.col("_bits") * 16 + F.call_function("shiftright", F.col("mix_size"), F.col("_bits") - 5)
+    rows = rows.withColumn("_band", F.when(F.col("mix_size") < 64, F.col("mix_size")).otherwise(coarse)).drop("_bits")
     cells = rows.groupBy("mix_source", "_band", "_salt").agg(F.count("*").alias("_n"), F.sum("mix_size").alias("_words"))
     targets = source_targets(
         cells.groupBy("mix_source").agg(F.sum("_words").cast("long").alias("mix_source_size")), weights, most

@@ -20,6 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -28,9 +29,9 @@ from propalign.llm.tables import materialise
 SCALE = 256
 K = 5
 #: Pivots, at most: the vectors with the smallest hashes of their ids.
-PIVOTS = 48
+PIVOTS = 24
 #: Annuli of a pivot, vectors of a block, and queries of a block.
-ANNULI, BLOCK, QUERIES = 8, 1024, 256
+ANNULI, BLOCK, QUERIES = 4, 2048, 512
 
 
 def integer_vectors(rows: DataFrame, key: str, vector: str, scale: int = SCALE) -> DataFrame:
@@ -41,9 +42,11 @@ def integer_vectors(rows: DataFrame, key: str, vector: str, scale: int = SCALE)
 
 
 def _matrix(col: pa.Array, width: int) -> np.ndarray:
+    sizes, flat = pa.compute.list_value_length(col).to_numpy(zero_copy_only=False), col.flatten().to_numpy(zero_copy_only=False)
+    if (sizes == width).all():
+        return flat.reshape(len(col), width)
     out = np.zeros((len(col), width))
-    for i, v in enumerate(col.to_pylist()):
-        out[i, : len(v)] = v
+    out[np.repeat(np.arange(len(col)), sizes), np.arange(len(flat)) - np.repeat(np.cumsum(sizes) - sizes, sizes)] = flat
     return out
 
 
@@ -130,8 +133,9 @@ def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embeddi
 
     def pairs(of: DataFrame, wanted: DataFrame, floor) -> DataFrame:
         """Blocks of queries with the blocks that they are to search; wanted: (pivot, part, block)."""
+        # Queries go to the blocks: a vector is moved once, a query once for each block that it searches.
         packed = of.groupBy("pivot", "part").agg(F.collect_list(F.struct("id", "v", floor.cast("double").alias("floor"))).alias("queries"))
-        return packed.join(wanted, ["pivot", "part"]).join(blocks.select("block", "members"), "block").repartition("block", "pivot", "part")
+        return packed.join(wanted, ["pivot", "part"]).join(blocks.select("block", "members"), "block")
 
     # First the blocks of a query's own pivot: the innermost annuli around the query's distance bound best.
     groups = asked.select("pivot", "part").distinct()

@@ -1,11 +1,14 @@
 """Instance matchers by locality-sensitive hashing: MinHash of value words, and random projections of word counts.
 
-Hashes are built from md5, which other SQL engines have. Signatures come from plain aggregates: H minima, or H sums of
-signs, which combine before the shuffle.
+Hashes are built from md5, which other SQL engines have. Signatures are folded in tasks before they are shuffled.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,25 +42,56 @@ def elements(instances: DataFrame, element: str = "token") -> DataFrame:
     return instances.select(*PROPERTY_KEY, x.alias("word")).groupBy(*PROPERTY_KEY, "word").agg(F.count("*").alias("n"))
 
 
-def _chunks(n: int, size: int = 100) -> list[range]:
-    return [range(i, min(n, i + size)) for i in range(0, n, size)]
+def _signatures(elements_: DataFrame, n_hash: int, variant: str) -> DataFrame:
+    """(property, state): minima, or sums of signs, over a property's words.
+
+    Tasks fold their rows into one state for each property, which are then brought together by property and folded again:
+    hundreds of plain aggregates would make code too large to compile. A task holds states, not rows.
+    """
+    a, b = (np.array(x, dtype=np.int64) for x in zip(*coefficients(n_hash), strict=True))
+    fold = np.minimum if variant == "minhash" else np.add
+
+    def states(h: np.ndarray, n: np.ndarray) -> np.ndarray:
+        x = (h[:, None] * a + b) % PRIME
+        return x if variant == "minhash" else np.where(x % 2 == 0, n[:, None], -n[:, None])
+
+    def folded(batches: Iterator[pa.RecordBatch], first: bool) -> Iterator[pa.RecordBatch]:
+        held: dict[tuple, np.ndarray] = {}
+        for whole in batches:
+            for at in range(0, whole.num_rows, 2000):
+                batch = whole.slice(at, 2000)
+                keys = list(zip(*[batch.column(i).to_pylist() for i in range(3)], strict=True))
+                ids: dict[tuple, int] = {}
+                code = np.array([ids.setdefault(k, len(ids)) for k in keys])
+                if first:
+                    x = states(batch.column(3).to_numpy(), batch.column(4).to_numpy())
+                else:
+                    x = batch.column(3).flatten().to_numpy().reshape(-1, n_hash)
+                order = np.argsort(code, kind="stable")
+                starts = np.flatnonzero(np.concatenate([[True], np.diff(code[order]) > 0]))
+                for k, row in zip(ids, fold.reduceat(x[order], starts), strict=True):
+                    held[k] = fold(held[k], row) if k in held else row
+        names = [*PROPERTY_KEY, "state"]
+        keys = list(held)
+        columns = [pa.array([k[i] for k in keys], pa.string()) for i in range(3)]
+        values = pa.array(np.concatenate(list(held.values())) if held else np.zeros(0, dtype=np.int64), pa.int64())
+        yield pa.RecordBatch.from_arrays([*columns, pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1) * n_hash, pa.int32()), values)], names=names)
+
+    schema = "cls string, source string, prop string, state array<bigint>"
+    rows = elements_.select(*PROPERTY_KEY, word_hash(F.col("word")).alias("h"), "n")
+    part = rows.mapInArrow(lambda it: folded(it, True), schema)
+    return part.repartition(*PROPERTY_KEY).mapInArrow(lambda it: folded(it, False), schema)
 
 
 def minhash(elements_: DataFrame, n_hash: int = HASHES["minhash"]) -> DataFrame:
     """(property, sig array<bigint>)."""
-    h = elements_.select(*PROPERTY_KEY, word_hash(F.col("word")).alias("h")).distinct()
-    ab = coefficients(n_hash)
-    mins = [F.min((F.col("h") * a + b) % PRIME).alias(f"m{i}") for i, (a, b) in enumerate(ab)]
-    return h.groupBy(*PROPERTY_KEY).agg(*mins).select(*PROPERTY_KEY, F.array(*[F.col(f"m{i}") for i in range(n_hash)]).alias("sig"))
+    return _signatures(elements_, n_hash, "minhash").withColumnRenamed("state", "sig")
 
 
 def projection(elements_: DataFrame, n_hash: int = HASHES["projection"]) -> DataFrame:
     """(property, sig array<bigint> of 0 and 1): signs of the word counts projected on random +-1 vectors."""
-    h = elements_.select(*PROPERTY_KEY, word_hash(F.col("word")).alias("h"), "n")
-    ab = coefficients(n_hash)
-    sign = lambda a, b: F.when(((F.col("h") * a + b) % PRIME) % 2 == 0, F.col("n")).otherwise(-F.col("n"))
-    sums = [F.sum(sign(a, b)).alias(f"s{i}") for i, (a, b) in enumerate(ab)]
-    return h.groupBy(*PROPERTY_KEY).agg(*sums).select(*PROPERTY_KEY, F.array(*[(F.col(f"s{i}") >= 0).cast("bigint") for i in range(n_hash)]).alias("sig"))
+    sums = _signatures(elements_, n_hash, "projection")
+    return sums.select(*PROPERTY_KEY, F.transform("state", lambda s: (s >= 0).cast("bigint")).alias("sig"))
 
 
 def _band_of(r: int):

@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from propalign.llm.bytes_np import mix, shingle_sets
-from propalign.llm.components import components
+from propalign.llm.components import components, roots
 from propalign.llm.tables import materialise
 
 WORDS = 5
@@ -278,8 +278,9 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     groups = materialise(rows.join(leader, "bucket").select("lead", "c").distinct())
     near = _near(groups.where("c != lead").select(F.col("lead").alias("a"), F.col("c").alias("b")), classes)
     closest = materialise(near.groupBy("b").agg(F.min(F.struct("apart", "a")).alias("x")).select(F.col("x.a").alias("a"), "b"))
-    links = materialise(_confirmed(closest, _sets(closest.select(F.explode(F.array("a", "b")).alias("c")), docs, members, text, key)))
-    label = materialise(components(links))
+    # A leader meets more classes than its followers (ties by number), so these links are a forest.
+    links = _confirmed(closest, _sets(closest.select(F.explode(F.array("a", "b")).alias("c")), docs, members, text, key))
+    label = materialise(roots(links.select(F.col("b").alias("node"), F.col("a").alias("parent"))))
     named = groups.join(label, groups["c"] == label["node"], "left").select("lead", "c", F.coalesce("label", "c").alias("label"))
     mixed = materialise(named.groupBy("lead").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("lead"))
     open_rows = materialise(named.join(mixed, "lead"))
@@ -287,8 +288,13 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     if not partnered.isEmpty():
         full = _sets(partnered.select("c"), docs, members, text, key)
         more = _joining_links(open_rows.join(partnered, ["lead", "c"]).join(full, "c").select("lead", "c", "label", "shingles"))
-        links = links.unionByName(more)
-        label = materialise(components(links))
+        # What joins are components, by their labels; few are left by now.
+        known = label.withColumnsRenamed({"node": "_n", "label": "_l"})
+        ends = more.join(known, F.col("a") == F.col("_n"), "left").select(F.coalesce("_l", "a").alias("a"), "b")
+        ends = ends.join(known, F.col("b") == F.col("_n"), "left").select("a", F.coalesce("_l", "b").alias("b"))
+        joined = materialise(components(ends)).withColumnsRenamed({"node": "_j", "label": "_root"})
+        every = label.unionByName(joined.select(F.col("_j").alias("node"), F.col("_j").alias("label"))).dropDuplicates(["node"])
+        label = materialise(every.join(joined, F.col("label") == F.col("_j"), "left").select("node", F.coalesce("_root", "label").alias("label")))
     whole = classes.join(label, classes["c"] == label["node"], "left").select("c", "same", "rep", F.coalesce("label", "c").alias("label"))
     smallest = whole.groupBy("label").agg(F.min("rep").alias("component_id"))
     of = whole.join(smallest, "label").select(F.col("same").alias("_same"), "component_id")

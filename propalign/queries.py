@@ -31,7 +31,8 @@ def every(spark: SparkSession, sf: str, domains: tuple[str, ...] = ALL) -> DataF
 
 
 def properties(spark: SparkSession, sf: str, domains: tuple[str, ...] = ALL) -> DataFrame:
-    return every(spark, sf, domains).select(*PROPERTY_KEY).distinct()
+    """A row for each property; kept once, since matchers read both sides of their pairs from it."""
+    return graph.checkpointed(every(spark, sf, domains).select(*PROPERTY_KEY).distinct())
 
 
 def _rounded(df: DataFrame, columns: list[str], digits: int = 4) -> DataFrame:

@@ -277,34 +277,33 @@ def boosted_score(spark, sf):
 
 
 def sd_results(spark, sf):
-    """All nine configurations and the supervised baseline at two fractions, one run each; the full grid (four fractions, 25
-    runs) is single_domain_grid's default."""
+    """All nine configurations and the supervised baseline, at four fractions with 25 runs each, on every dataset."""
     data = ex.prepare(spark, sf)
-    return ex.run_grid(spark, data, ex.single_domain_grid(data, (0.2, 0.8), 1), "single_domain")
+    return ex.run_grid(spark, data, ex.single_domain_grid(data), "single_domain")
 
 
 def sd_summary(spark, sf):
-    data = ex.prepare(spark, sf, ("party", "order", "event"))
-    grid = ex.single_domain_grid(data, splits.FRACTIONS, 2, [FeatureConfig("both", k) for k in ("embedding", "non_embedding", "all")], False)
+    """Distributions over the 25 runs of every fraction and dataset: origin both, three kinds."""
+    data = ex.prepare(spark, sf)
+    grid = ex.single_domain_grid(data, configs=[FeatureConfig("both", k) for k in ("embedding", "non_embedding", "all")], boosted_too=False)
     return metrics.summarise(ex.run_grid(spark, data, grid, "single_domain"), ["dataset", "fraction", "config"])
 
 
 def tl_results(spark, sf):
-    """All 28 combinations for one configuration of each origin and the supervised baseline; transfer_grid's default has nine."""
+    """All 28 combinations, each with the nine configurations and the supervised baseline."""
     data = ex.prepare(spark, sf)
-    grid = ex.transfer_grid(data, [FeatureConfig(o, "all") for o in ("instances", "names", "both")])
-    return ex.transfer_flags(ex.run_grid(spark, data, grid, "transfer"))
+    return ex.transfer_flags(ex.run_grid(spark, data, ex.transfer_grid(data), "transfer"))
 
 
 def network_sensitivity(spark, sf):
-    data = ex.prepare(spark, sf, ("order", "event"))
+    data = ex.prepare(spark, sf)
     return ex.run_grid(spark, data, ex.network_grid(data), "network")
 
 
 def anonymous_names(spark, sf):
-    """Names that mean nothing: only values can tell."""
-    data = ex.prepare(spark, sf, ("party", "event"), anonymous=True)
-    return ex.run_grid(spark, data, ex.single_domain_grid(data, (0.8,), 3, [FeatureConfig(o, "all") for o in ("instances", "names", "both")], False), "anonymous")
+    """Names that mean nothing: only values can tell. The whole single-domain grid."""
+    data = ex.prepare(spark, sf, anonymous=True)
+    return ex.run_grid(spark, data, ex.single_domain_grid(data), "anonymous")
 
 
 def lexicon_control(spark, sf):

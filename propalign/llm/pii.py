@@ -1,8 +1,8 @@
 """Personal data: fixed patterns, and identifiers that bootstrapped contexts discover.
 
 The fixed patterns (email, ip, card, phone) are seeds, and so are strings of some published key formats. A *lexical
-pattern* is a label context in front of a value: the label's word, its separator and the quote, such as ``token = "``. Every
-value behind such a context is an *instance*. Patterns and instances form a graph over the corpus, which Spark scores in
+pattern* is a label context in front of a value: the label's word, the quote that closes it if any, its separator and the
+value's quote, such as ``token = "`` or ``token": "``. Every value behind such a context, however long, is an *instance*. Patterns and instances form a graph over the corpus, which Spark scores in
 rounds: a pattern's confidence is the (smoothed) share of confident instances among its different ones, an instance's is
 that of its best pattern, seeds have 1. Patterns with enough support and confidence then mark all their instances, most
 of which no fixed pattern knows.
@@ -35,7 +35,7 @@ _ip = re.compile(r"(?<![0-9])[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+")
 _card = re.compile(r"[0-9](?:[ -]?[0-9])+")
 _phone = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _digit = re.compile(r"[0-9]")
-_label = re.compile(r"([^\W\d][\w.-]{0,40})[ \t]{0,2}(=>|:=|=|:)[ \t]{0,2}([\"'`]?)([^\s\"'`,;<>()\[\]{}|/][^\s\"'`,;<>()\[\]{}|]{5,300})")
+_label = re.compile(r"([^\W\d][\w.-]{0,40})([\"'`]?)[ \t]{0,2}(=>|:=|=|:)[ \t]{0,2}([\"'`]?)([^\s\"'`,;<>()\[\]{}|/][^\s\"'`,;<>()\[\]{}|]{5,})")
 _seed = re.compile("|".join(f"(?:{x})" for x in SEED_FORMATS))
 _local = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 
@@ -93,14 +93,14 @@ def contexts(text: str, base: list[tuple[str, int, int]]) -> list[tuple[str, str
     known = {(s, e) for _, s, e in base}
     out = []
     for m in _label.finditer(text):
-        s, e = m.span(4)
+        s, e = m.span(5)
         while e > s and text[e - 1] in ".!?:=#$%&*":
             e -= 1
         value = text[s:e]
         # Identifiers hold a digit, or are an address; plain words behind a colon are prose.
         if e - s < 6 or not (_digit.search(value) or "@" in value):
             continue
-        out.append((f"{m[1].lower()} {m[2]} {m[3]}", value.lower(), s, e, (s, e) in known or _seed.fullmatch(value) is not None))
+        out.append((f"{m[1].lower()}{m[2]} {m[3]} {m[4]}", value.lower(), s, e, (s, e) in known or _seed.fullmatch(value) is not None))
     return out
 
 

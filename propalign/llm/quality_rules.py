@@ -8,7 +8,13 @@ ones: if the true share were above alpha, so few rejections among n good documen
 Two corrections for many tests: each stratum and measure has ``delta / (strata * measures)`` as its level (Bonferroni), and
 within one the cutoffs are tested in a fixed order and testing ends at the first that fails (a fixed sequence needs no
 further correction). So with probability 1 - delta, all cutoffs taken hold together; a stratum loses at most the sum of
-alpha over the measures of its good documents. A stratum with few labels has no cutoff and loses none.
+alpha over the measures of its good documents.
+
+A stratum with so few good labels that no test can pass, even without a rejection, is pooled with the others of that kind;
+if these have too few together, the labels of all strata are the pool's. Who is pooled depends on numbers of labels only, and
+the pool is tested in the place of its strata, so no more tests are made than the level is split over. A pool's cutoffs hold
+for the pool as a whole: at most the same share of its good documents is lost, but one stratum of it can lose more. Where the
+pool has too few labels too, and in strata without a good label, there is no cutoff and none is lost.
 
 Edge cases: a null or empty text has no words and fails the base rule; a null stratum is a stratum; label rows with a null
 quality or id, or without a document, don't count; documents or labels may be empty, or ids repeat (each pair counts).
@@ -149,21 +155,30 @@ def risk_thresholds(
     labelled: DataFrame, stratum: str = "lang", good: str = "quality",
     cutoffs: dict[str, list[float]] = CUTOFFS, alpha: float = ALPHA, delta: float = DELTA,
 ) -> DataFrame:
-    """(stratum, measure, cutoff, n_good, n_rejected, p_value): the strictest cutoff that each stratum's labels allow."""
+    """(stratum, measure, cutoff, n_good, n_rejected, p_value): the strictest cutoff that each stratum's labels, or its pool's,
+    allow."""
     grid = [(m, i, float(c)) for m, cs in cutoffs.items() for i, c in enumerate(cs)]
     counts = labelled.where((F.col(good) == 1) & ~F.col("base_failed")).groupBy(F.col(stratum).alias("stratum")).agg(
         F.count("*").alias("n_good"),
         *[F.count_if(F.col(m) > c).alias(f"{m}:{i}") for m, i, c in grid],
     )
+    every = Window.partitionBy(F.lit(1))  # a row for each stratum
+    counts = counts.withColumn("strata", F.count("*").over(every))
+    level = F.lit(delta) / (F.col("strata") * len(cutoffs))
+    few = lambda n: F.pow(F.lit(1 - alpha), n) > level  # noqa: E731  even without a rejection no test passes
+    counts = counts.withColumn("_few", few(F.col("n_good")))
+    counts = counts.withColumn("_all_too", few(F.coalesce(F.sum(F.when(F.col("_few"), F.col("n_good"))).over(every), F.lit(0))))
+    pooled = lambda c: F.when(F.col("_few"), F.sum(F.when(F.col("_few") | F.col("_all_too"), F.col(f"`{c}`"))).over(every)).otherwise(F.col(f"`{c}`"))
+    counts = counts.select("stratum", "strata", *[pooled(c).alias(c) for c in ("n_good", *[f"{m}:{i}" for m, i, _ in grid])])
     tests = counts.select(
         "stratum",
         "n_good",
-        F.count("*").over(Window.partitionBy(F.lit(1))).alias("strata"),  # a row for each stratum
+        "strata",
         F.inline(
             F.array(*[F.struct(F.lit(m).alias("measure"), F.lit(i).alias("step"), F.lit(c).alias("cutoff"), F.col(f"`{m}:{i}`").alias("n_rejected")) for m, i, c in grid])
         ),
     ).withColumn("p_value", binomial_tail(F.col("n_rejected"), F.col("n_good"), alpha))
-    passed = F.col("p_value") <= F.lit(delta) / (F.col("strata") * len(cutoffs))
+    passed = F.col("p_value") <= level
     order = Window.partitionBy("stratum", "measure").orderBy("step")
     return (
         tests.withColumn("_all", F.min(passed.cast("int")).over(order))

@@ -10,7 +10,8 @@ Components become integers ``floor(scale * x)``; scores are integer inner produc
 
 Edge cases: vectors that are null, or hold null or non-finite components, take no part. Shorter vectors count as ending in
 zeros; empty ones score 0. With fewer candidates than k, all are returned. Ties go to the smaller id. Only other *rows* are
-candidates; a row with the query's id is the query itself. Null ids take no part. Components stay exact up to 2**53 in
+candidates; a row with the query's id is the query itself. Rows that repeat an id count each: as candidates, and as queries,
+whose results are ranked together. Null ids take no part. Components stay exact up to 2**53 in
 a score.
 """
 
@@ -110,9 +111,9 @@ def _search(pairs: DataFrame, k: int, width: int) -> DataFrame:
 
 
 def _best(found: DataFrame, k: int) -> DataFrame:
-    """The k best of each query; a query has at most k rows from each block."""
+    """The k best of each query; a query row has at most k rows from each block, and searches no block twice."""
     order = Window.partitionBy("q").orderBy(F.col("score").desc(), "id")
-    return found.distinct().withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
 def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embedding", k: int = K, scale: int = SCALE) -> DataFrame:
@@ -126,7 +127,7 @@ def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embeddi
     index = materialise(pivot_index(vectors, pivots, width))
     blocks = materialise(_blocks(index, width))
     near = F.pmod(F.xxhash64("id"), F.lit(1 << 30))
-    queries = index.where(is_query(F.col("id"))).dropDuplicates(["id"])
+    queries = index.where(is_query(F.col("id")))
     # Queries of a pivot, in blocks. The number of blocks follows the number of queries.
     sizes = queries.groupBy("pivot").agg(F.ceil(F.count("*") / QUERIES).alias("parts"))
     asked = queries.join(F.broadcast(sizes), "pivot").withColumn("part", F.pmod(near, F.col("parts")))

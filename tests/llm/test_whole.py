@@ -2,8 +2,11 @@
 
 import random
 
+import numpy as np
+
 from propalign.llm import pii
 from propalign.llm.quality_rules import ALPHA, DELTA, CUTOFFS, quality_rules, risk_thresholds
+from propalign.llm.topk import top_k
 
 DOCS = "doc_id long, text string, lang string, source string"
 
@@ -32,6 +35,21 @@ def test_a_large_stratum_keeps_its_own_test(spark):
     assert alone == {}
 
 
+def test_top_k_counts_repeated_rows(spark):
+    rng = np.random.default_rng(16)
+    vec = lambda: [float(v) for v in rng.normal(size=6) / 3]
+    rows = [(i, vec()) for i in range(300)]
+    near = [v * 2 for v in rows[50][1]]
+    rows += [(700, near)] * 6 + [(701, near)] * 2 + [rows[7]] * 9 + [rows[100]] * 2 + [(150, vec())]
+    whole = [(i, np.floor(256 * np.array(v, dtype=np.float32).astype(float))) for i, v in rows]
+    want = []
+    for q in {i for i, _ in whole if i % 50 == 0}:
+        found = sorted((-int(v @ x), i) for p, v in whole if p == q for i, x in whole if i != q)
+        want += [(q, k + 1, i, -s) for k, (s, i) in enumerate(found[:5])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(3)
+    assert sorted(tuple(r) for r in top_k(df, lambda c: c % 50 == 0).collect()) == sorted(want)
+
+
 def test_long_secrets_and_quoted_keys(spark):
     rng = random.Random(17)
     key = lambda n: "".join(rng.choice("0123456789abcdef") for _ in range(n))

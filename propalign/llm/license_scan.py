@@ -16,6 +16,7 @@ import re
 from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
+from math import ceil
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -96,7 +97,7 @@ class Scanner:
         self.cues: dict[str, set[str]] = {}
         for n, ws in self.words.items():
             # A match misses at most a share of the template's words; so of this many rarest ones, one is there.
-            spare = int(len(ws) * (1 - coverage)) + 1
+            spare = len(ws) - ceil(coverage * len(ws)) + 1
             rare = sorted(set(ws), key=lambda w: (known[w], -len(w), w))
             need, took = [], 0
             for w in rare:

@@ -4,6 +4,7 @@ import random
 
 import numpy as np
 
+from propalign.llm import license_scan as lic
 from propalign.llm import pii
 from propalign.llm.quality_rules import ALPHA, DELTA, CUTOFFS, quality_rules, risk_thresholds
 from propalign.llm.topk import top_k
@@ -63,3 +64,18 @@ def test_long_secrets_and_quoted_keys(spark):
     clean = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
     assert [clean[i] for i in range(30, 34)] == ['x token="<SECRET>" y', '{"token": "<SECRET>"}', "'auth' => '<SECRET>'", texts[33]]
     assert pii.contexts("a=" + "7" * 500_000, [])[0][3] == 500_002
+
+
+def test_license_cues_lose_no_match():
+    """Where a statement has just as many words as a match needs, cues find what alignment at every word finds."""
+    assert [m[0] for x in ("Distributed", "Available") for m in lic.Scanner().scan(f"{x} under the MIT License.")] == ["mit", "mit"]
+    rng = random.Random(18)
+    for name, template in lic.TEMPLATES.items():
+        cued, every = lic.Scanner({name: template}), lic.Scanner({name: template})
+        words = every.words[name]
+        every.lead = {w: [name] for w in words}
+        every.any = lic.re.compile("")
+        for _ in range(60):
+            gone = set(rng.sample(range(len(words)), len(words) - -(-len(words) * 4 // 5)))
+            text = " ".join([*(f"q{i}" for i in range(9)), *(f"z{i}" if i in gone else w for i, w in enumerate(words)), *(f"y{i}" for i in range(9))])
+            assert bool(cued.scan(text)) == bool(every.scan(text)), (name, text)

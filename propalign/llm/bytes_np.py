@@ -59,20 +59,32 @@ _lower = np.arange(256, dtype=np.uint8)
 _lower[65:91] += 32
 
 
+def word_hashes(raw: list[bytes], lower: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(hash, start, stop) of every word of all texts, places counted as if a space stood behind each text; and the number of
+    words before the end of each text."""
+    data = np.frombuffer(b" ".join(raw) + b" ", dtype=np.uint8)
+    if lower:
+        data = _lower[data]
+    inside = ~_space[data]
+    edge = np.flatnonzero(np.diff(np.concatenate([[False], inside, [False]])))
+    start, stop = edge[0::2], edge[1::2]
+    word = mix(Prefix(data).of(start, stop) + (stop - start).astype(np.uint64))
+    return word, start, stop, np.searchsorted(start, np.cumsum([len(r) + 1 for r in raw]))
+
+
+def word_codes(raw: list[bytes]) -> list[bytes]:
+    """Each text as the hashes of its words, 8 bytes a word."""
+    word, _, _, upto = word_hashes(raw)
+    return [word[a:b].tobytes() for a, b in zip([0, *upto[:-1]], upto, strict=True)] if raw else []
+
+
 def shingle_sets(texts: list[str | None], words: int = 5) -> list[np.ndarray]:
     """For each text, the sorted distinct 64-bit hashes of its runs of so many words, A-Z in lower case.
 
     A text with fewer words has one, for all of them; one without words has none.
     """
     raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
-    data = np.frombuffer(b" ".join(raw) + b" ", dtype=np.uint8)
-    data = _lower[data]
-    inside = ~_space[data]
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], inside, [False]])))
-    start, stop = edge[0::2], edge[1::2]
-    word = mix(Prefix(data).of(start, stop) + (stop - start).astype(np.uint64))
-    ends = np.cumsum([len(r) + 1 for r in raw])
-    upto = np.searchsorted(start, ends)  # words before the end of each text
+    word, _, _, upto = word_hashes(raw, True)
     factor = [np.uint64(pow(0x9E3779B97F4A7C15, j + 1, 1 << 64)) for j in range(words)]
     n = len(word) - words + 1
     runs = mix(sum(word[j : j + n] * factor[j] for j in range(words))) if n > 0 else np.zeros(0, dtype=np.uint64)

@@ -1,4 +1,5 @@
-"""Suffix-array dedup: every byte that a string of ``LENGTH`` bytes covers which also starts elsewhere.
+"""Suffix-array dedup: every byte that a string of ``LENGTH`` bytes covers which also starts elsewhere; and passages, runs of
+``WORDS`` whole words or more that also stand elsewhere, many of which are shorter in bytes.
 
 A sorted list of all suffixes of a corpus would be many times its size. So suffixes are sorted only where a repeat can be:
 
@@ -6,7 +7,7 @@ A sorted list of all suffixes of a corpus would be many times its size. So suffi
    substrings. Equal windows have equal owners at equal places. An anchor owns a run of windows; a corpus has about one anchor
    for 150 bytes, and only an anchor's hashes are shuffled. Anchors whose hash occurs once own no repeated window.
 2. *Classes.* Occurrences of an anchor whose whole stretch (all bytes of the windows that it owns) is equal are one class, by
-   two independent 64-bit hashes. A class of two or more is repeated throughout.
+   the anchor's hash and a cryptographic digest of the stretch. A class of two or more is repeated throughout.
 3. *Suffix sort.* One stretch of each class is brought to the others of its anchor. There, suffixes that start at the same
    distance from the anchor are sorted by mergesort; two are compared by prefix hashes, with binary search for their
    common extension, and neighbours that agree in LENGTH bytes are verified byte by byte.
@@ -14,8 +15,13 @@ A sorted list of all suffixes of a corpus would be many times its size. So suffi
    the hash of the bytes that all windows of the run share; these go through 2 and 3 again, down to single windows, which
    step 2 decides alone. So no group is large, and nothing is capped.
 
+For passages, a text is also read as a sequence of words, each a hash of 8 bytes, and goes through the same steps with
+windows of 8 * WORDS bytes; what is found is cut to whole words. Space between words doesn't matter there.
+
 Edge cases: a null text is empty; texts shorter than LENGTH keep all bytes. Repeated rows are repeats of each other (they
-start elsewhere). Matches don't cross documents. Ids may be null or repeat, since texts are known by their md5 here.
+start elsewhere). Matches don't cross documents. Ids may be null or repeat, since texts are known by their md5 here. Texts of
+any length are taken whole. No documents give no rows. Columns kept whose names are those of results are replaced; others may
+have any name.
 """
 
 from __future__ import annotations
@@ -29,11 +35,13 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from propalign.llm.bytes_np import Prefix, mix
-from propalign.llm.tables import materialise
+from propalign.llm.bytes_np import Prefix, mix, word_codes, word_hashes
+from propalign.llm.tables import kept_columns, materialise, release, schema_with
 
 LENGTH = 400
 GRAM = 100
+#: Words of a passage, and bytes that stand for one.
+WORDS, CODE = 50, 8
 FEW = 48
 #: Windows in a run, level by level, for anchors with many stretches.
 RUNS = (301, 40, 6, 1)
@@ -52,12 +60,11 @@ def _slide_min(x: np.ndarray, width: int) -> np.ndarray:
 
 
 def anchors_of(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, ...]:
-    """(text, anchor, first window, last window, hash of the gram, hash of the stretch), places in data. Texts lie at
-    [starts, ends) of data."""
+    """(text, anchor, first window, last window, hash of the gram), places in data. Texts lie at [starts, ends) of data."""
     width = length - gram + 1
     n = len(data)
     if n < length:
-        return tuple(np.zeros(0, dtype=np.int64) for _ in range(4)) + tuple(np.zeros(0, dtype=np.uint64) for _ in range(2))
+        return (*(np.zeros(0, dtype=np.int64) for _ in range(4)), np.zeros(0, dtype=np.uint64))
     prefix = Prefix(data)
     at = np.arange(n - gram + 1)
     grams = mix(prefix.of(at, at + gram))
@@ -70,44 +77,55 @@ def anchors_of(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, length: i
     new = np.ones(len(owner), dtype=bool)
     new[1:] = (owner[1:] != owner[:-1]) | ~inside[:-1] | (text[1:] != text[:-1])
     first = np.flatnonzero(new & inside)
-    if not len(first):
-        return tuple(np.zeros(0, dtype=np.int64) for _ in range(4)) + tuple(np.zeros(0, dtype=np.uint64) for _ in range(2))
     # A run ends before the next run's first window, or where its text's last window is.
     after = np.append(np.flatnonzero(new | ~inside), len(owner))
     last = after[np.searchsorted(after, first, side="right")] - 1
     a = owner[first]
-    second = Prefix(data, 1)
-    # The stretch's hash also holds where the anchor lies in it.
-    stretch = mix(second.of(first, last + length) ^ mix((a - first).astype(np.uint64) << np.uint64(20) | (last - first).astype(np.uint64)))
-    return text[first], a, first, last, grams[a], stretch
+    return text[first], a, first, last, grams[a]
+
+
+def _digest(stretch: bytes, at: int) -> int:
+    """A number for a stretch and where the anchor lies in it; 64 bits, beside the 64 of the anchor's own hash."""
+    return int.from_bytes(hashlib.blake2b(stretch, digest_size=8, salt=at.to_bytes(8, "little")).digest(), "little", signed=True)
+
+
+def _anchor_rows(raw: list[bytes], tids: list[bytes], length: int, gram: int) -> pa.RecordBatch:
+    """The anchors of texts that hold a window."""
+    data = b"".join(raw)
+    stops = np.cumsum([len(r) for r in raw])
+    begins = stops - np.array([len(r) for r in raw])
+    text, a, first, last, g = anchors_of(np.frombuffer(data, dtype=np.uint8), begins, stops, length, gram)
+    view = memoryview(data)
+    digests = [_digest(view[f : e + length], k) for f, e, k in zip(first.tolist(), last.tolist(), (a - first).tolist(), strict=True)]
+    return pa.RecordBatch.from_arrays(
+        [
+            pa.array(tids, pa.binary()).take(pa.array(text)), pa.array((first - begins[text]).astype(np.int64)), pa.array((a - first).astype(np.int32)),
+            pa.array((last - first).astype(np.int32)), pa.array(g.view(np.int64)), pa.array(digests, pa.int64()),
+        ],
+        names=["tid", "first", "at", "more", "gram", "stretch"],
+    )
+
 
+def _anchors(raw: DataFrame, sizes: tuple[int, int], gram: int) -> DataFrame:
+    """raw: one binary column. sizes: bytes of a window of text, and of one of words (0: none). A sequence of words has its
+    text's tid and a letter more."""
 
-def _anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            sizes = pa.compute.fill_null(pa.compute.binary_length(whole.column(0)), 0).to_numpy()
+            lengths = pa.compute.fill_null(pa.compute.binary_length(whole.column(0)), 0).to_numpy()
             at = 0
             while at < whole.num_rows:
-                k = max(1, int(np.searchsorted(np.cumsum(sizes[at:]), BLOCK, side="right")))
-                raw, at = [x or b"" for x in whole.column(0).slice(at, k).to_pylist()], at + k
-                ends = np.cumsum([len(r) for r in raw])
-                starts = ends - np.array([len(r) for r in raw])
-                # Empty texts share their start with the next one; only texts that hold a window count.
-                real = np.flatnonzero(ends - starts >= length)
-                if not len(real):
-                    continue
-                data = np.frombuffer(b"".join(raw[i] for i in real), dtype=np.uint8)
-                stops = np.cumsum([len(raw[i]) for i in real])
-                begins = stops - np.array([len(raw[i]) for i in real])
-                text, a, first, last, g, s = anchors_of(data, begins, stops, length, gram)
-                ids = pa.array([hashlib.md5(raw[i]).digest() for i in real], pa.binary()).take(pa.array(text))
-                off = begins[text]
-                yield pa.RecordBatch.from_arrays(
-                    [ids, pa.array((first - off).astype(np.int64)), pa.array((a - first).astype(np.int32)), pa.array((last - first).astype(np.int32)), pa.array(g.view(np.int64)), pa.array(s.view(np.int64))],
-                    names=["tid", "first", "at", "more", "gram", "stretch"],
-                )
-
-    return docs.mapInArrow(run, "tid binary, first long, at int, more int, gram long, stretch long")
+                k = max(1, int(np.searchsorted(np.cumsum(lengths[at:]), BLOCK, side="right")))
+                texts, at = [x or b"" for x in whole.column(0).slice(at, k).to_pylist()], at + k
+                kinds = [(texts, b"", sizes[0])] + ([(word_codes(texts), b"w", sizes[1])] if sizes[1] else [])
+                tids = [hashlib.md5(x).digest() for x in texts]
+                for raws, kind, length in kinds:
+                    # Empty texts share their start with the next one; only texts that hold a window count.
+                    real = [i for i, r in enumerate(raws) if len(r) >= length]
+                    if real:
+                        yield _anchor_rows([raws[i] for i in real], [tids[i] + kind for i in real], length, gram)
+
+    return raw.mapInArrow(run, "tid binary, first long, at int, more int, gram long, stretch long")
 
 
 # --- the suffix sort -------------------------------------------------------------------------------------------------
@@ -205,50 +223,57 @@ def repeated_starts(stretches: list[bytes], at: np.ndarray, more: np.ndarray, gr
     return which[order[hit]], window[order[hit]]
 
 
-def _sorted_spans(pool: DataFrame, length: int) -> DataFrame:
+def _of_words(tid: bytes) -> bool:
+    return len(tid) > 16
+
+
+def _sorted_spans(pool: DataFrame, sizes: tuple[int, int]) -> DataFrame:
     """(tid, start, stop) of windows that the suffix sort finds. pool: (gram, tid, first, at, more, n, bytes), few of a gram."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows: list[tuple] = []
-        held = 0
-
-        def found() -> pa.RecordBatch:
-            tid, start, stop = [], [], []
-            if rows:
-                grams = np.array([r[0] for r in rows])
-                group = np.concatenate([[0], np.cumsum(grams[1:] != grams[:-1])])
-                w, k = repeated_starts([r[6] for r in rows], np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), group, length)
-                by = np.lexsort((k, w))
-                w, k = w[by], k[by]
-                cut = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (k[1:] > k[:-1] + 1)])) if len(w) else np.zeros(0, dtype=int)
-                for i, j in zip(cut, np.append(cut[1:], len(w))[: len(cut)], strict=True):
-                    r = rows[w[i]]
-                    if r[5] == 1:
-                        tid.append(r[1])
-                        start.append(r[2] + int(k[i]))
-                        stop.append(r[2] + int(k[j - 1]) + length)
-            return pa.RecordBatch.from_arrays([pa.array(tid, pa.binary()), pa.array(start, pa.int64()), pa.array(stop, pa.int64())], names=["tid", "start", "stop"])
+    def found(rows: list[tuple], length: int) -> pa.RecordBatch:
+        tid, start, stop = [], [], []
+        if rows:
+            grams = np.array([r[0] for r in rows])
+            group = np.concatenate([[0], np.cumsum(grams[1:] != grams[:-1])])
+            w, k = repeated_starts([r[6] for r in rows], np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), group, length)
+            by = np.lexsort((k, w))
+            w, k = w[by], k[by]
+            cut = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (k[1:] > k[:-1] + 1)])) if len(w) else np.zeros(0, dtype=int)
+            for i, j in zip(cut, np.append(cut[1:], len(w))[: len(cut)], strict=True):
+                r = rows[w[i]]
+                if r[5] == 1:
+                    tid.append(r[1])
+                    start.append(r[2] + int(k[i]))
+                    stop.append(r[2] + int(k[j - 1]) + length)
+        return pa.RecordBatch.from_arrays([pa.array(tid, pa.binary()), pa.array(start, pa.int64()), pa.array(stop, pa.int64())], names=["tid", "start", "stop"])
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # Texts and words apart, since their windows differ in size; both come in the order of their grams.
+        rows: tuple[list, list] = ([], [])
+        held = [0, 0]
         for batch in batches:
             for row in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                if held >= BLOCK and rows[-1][0] != row[0]:
-                    yield found()
-                    rows, held = [], 0
-                rows.append(row)
-                held += len(row[6])
-        yield found()
+                kind = int(_of_words(row[1]))
+                if held[kind] >= BLOCK and rows[kind][-1][0] != row[0]:
+                    yield found(rows[kind], sizes[kind])
+                    rows[kind].clear()
+                    held[kind] = 0
+                rows[kind].append(row)
+                held[kind] += len(row[6])
+        for kind in (0, 1):
+            yield found(rows[kind], sizes[kind])
 
     return pool.repartition("gram").sortWithinPartitions("gram").select("gram", "tid", "first", "at", "more", "n", "bytes").mapInArrow(run, "tid binary, start long, stop long")
 
 
-def _finer(pool: DataFrame, length: int, run_size: int) -> DataFrame:
+def _finer(pool: DataFrame, sizes: tuple[int, int], run_size: int) -> DataFrame:
     """pool's stretches cut into runs of at most run_size windows, keyed by anchor, distance and the bytes all windows share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out: list[list] = [[] for _ in range(8)]
             for gram, tid, first, at, more, n, raw in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                prefix, second = Prefix(np.frombuffer(raw, dtype=np.uint8)), Prefix(np.frombuffer(raw, dtype=np.uint8), 1)
+                prefix, length = Prefix(np.frombuffer(raw, dtype=np.uint8)), sizes[_of_words(tid)]
                 # Runs are cut at multiples of run_size of the distance from window to anchor, the same for all stretches.
                 d_high, d_low = at, at - more
                 for q in range(d_low // run_size, d_high // run_size + 1):
@@ -259,28 +284,30 @@ def _finer(pool: DataFrame, length: int, run_size: int) -> DataFrame:
                     core = int(prefix.of(np.array([a]), np.array([b]))[0])
                     key = int(mix(np.array([(gram & (2**64 - 1)) ^ core], dtype=np.uint64) + np.uint64(q % 2**32))[0])
                     cut = raw[w0 : w1 + length]
-                    whole = int(second.of(np.array([w0]), np.array([w1 + length]))[0])
-                    stretch = int(mix(np.array([whole ^ ((at - w0) << 20 | (w1 - w0))], dtype=np.uint64))[0])
-                    for col, v in zip(out, (key, tid, first + w0, at - w0, w1 - w0, n, cut, stretch), strict=True):
+                    for col, v in zip(out, (key, tid, first + w0, at - w0, w1 - w0, n, cut, _digest(cut, at - w0)), strict=True):
                         col.append(v)
             signed = lambda xs: pa.array(np.array(xs, dtype=np.uint64).view(np.int64))
             yield pa.RecordBatch.from_arrays(
-                [signed(out[0]), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int32()), pa.array(out[4], pa.int32()), pa.array(out[5], pa.int64()), pa.array(out[6], pa.binary()), signed(out[7])],
+                [signed(out[0]), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int32()), pa.array(out[4], pa.int32()), pa.array(out[5], pa.int64()), pa.array(out[6], pa.binary()), pa.array(out[7], pa.int64())],
                 names=["gram", "tid", "first", "at", "more", "n", "bytes", "stretch"],
             )
 
     return pool.select("gram", "tid", "first", "at", "more", "n", "bytes").mapInArrow(run, "gram long, tid binary, first long, at int, more int, n long, bytes binary, stretch long")
 
 
-def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """(tid, start, stop): byte ranges to remove of the text whose md5 is tid; they may overlap or touch."""
-    texts = docs.select(F.coalesce(F.col(text), F.lit("")).cast("binary").alias("raw"))
-    every = materialise(_anchors(texts, length, gram))
+def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: int = GRAM, words: int = WORDS) -> DataFrame:
+    """(tid, start, stop): repeated byte ranges of the text whose md5 is tid; they may overlap or touch. Where tid has a letter
+    more, they are ranges of the sequence of its words, CODE bytes each. words: 0 for no passages."""
+    sizes = (length, CODE * words)
+    raw = docs.select(F.coalesce(F.col(text), F.lit("")).cast("binary").alias("raw"))
+    every = materialise(_anchors(raw, sizes, gram))
     often = every.groupBy("gram").agg(F.count("*").alias("k")).where("k > 1").select("gram")
     # Written, so that the join has an exchange on both sides and its large keys can be split.
     often = materialise(often)
     # Occurrences in equal texts are told once, with their number.
     seen = materialise(every.join(often, "gram").groupBy("tid", "first", "at", "more", "gram", "stretch").agg(F.count("*").alias("n")))
+    release(every, often)
+    size = F.when(F.length("tid") > 16, sizes[1]).otherwise(sizes[0])
     spans = None
     for level in range(len(RUNS)):
         last = RUNS[level] == 1
@@ -288,7 +315,7 @@ def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gr
         kinds = materialise(kinds)
         whole = seen.where("n = 1" if level else "true").join(kinds.where("total > 1").select("gram", "stretch"), ["gram", "stretch"])
         # tid's own copies counted with n; a class is repeated if it has two occurrences anywhere.
-        got = whole.select("tid", F.col("first").alias("start"), (F.col("first") + F.col("more") + length).alias("stop"))
+        got = whole.select("tid", F.col("first").alias("start"), (F.col("first") + F.col("more") + size).alias("stop"))
         spans = got if spans is None else spans.unionByName(got)
         if last:
             break
@@ -296,45 +323,83 @@ def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gr
         groups = materialise(groups)
         pool = kinds.join(groups, "gram").select("gram", "x.*", F.col("total").alias("n"), "classes")
         if level == 0:
-            pool = _with_bytes(docs, text, pool, length)
+            pool = _with_bytes(raw, materialise(pool), sizes)
         else:
             pool = pool.join(seen.select("gram", "tid", "first", "at", "more", "bytes"), ["gram", "tid", "first", "at", "more"])
         pool = materialise(pool)
-        spans = spans.unionByName(_sorted_spans(pool.where(F.col("classes") <= FEW), length))
+        spans = spans.unionByName(_sorted_spans(pool.where(F.col("classes") <= FEW), sizes))
         large = pool.where(F.col("classes") > FEW)
         if large.isEmpty():
             break
-        seen = materialise(_finer(large, length, RUNS[level + 1]))
+        seen = materialise(_finer(large, sizes, RUNS[level + 1]))
     return spans.distinct()
 
 
-def _with_bytes(docs: DataFrame, text: str, pool: DataFrame, length: int) -> DataFrame:
-    raw = docs.select(F.coalesce(F.col(text), F.lit("")).cast("binary").alias("raw")).where(F.octet_length("raw") >= length)
-    raw = raw.withColumn("tid", F.unhex(F.md5("raw")))
-    cut = raw.join(pool, "tid").withColumn("bytes", F.substring("raw", (F.col("first") + 1).cast("int"), F.col("more") + length)).drop("raw")
-    # Equal texts give equal rows.
-    return cut.dropDuplicates(["gram", "tid", "first", "at", "more"])
+def _with_bytes(raw: DataFrame, pool: DataFrame, sizes: tuple[int, int]) -> DataFrame:
+    """pool with the bytes of each stretch. Of equal texts, one is read."""
+    # What is wanted of a text is bounded by its length.
+    fields = ["tid", "first", "at", "more", "gram", "n", "classes"]
+    asked = materialise(pool.groupBy(F.substring("tid", 1, 16).alias("md5")).agg(F.collect_list(F.struct(*fields)).alias("asked")))
+    texts = raw.withColumn("md5", F.unhex(F.md5("raw"))).join(asked.select("md5"), "md5", "left_semi").dropDuplicates(["md5"])
+    schema = pool.select(*fields).schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for x, found in zip(batch.column(0), batch.column(1), strict=True):
+                text, rows = x.as_py(), found.values
+                words = None
+                cut = []
+                for tid, first, more in zip(*[rows.field(f).to_pylist() for f in ("tid", "first", "more")], strict=True):
+                    if _of_words(tid):
+                        words = words if words is not None else word_codes([text])[0]
+                        cut.append(words[first : first + more + sizes[1]])
+                    else:
+                        cut.append(text[first : first + more + sizes[0]])
+                yield pa.RecordBatch.from_arrays([*[rows.field(f) for f in fields], pa.array(cut, pa.binary())], names=[*fields, "bytes"])
+
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in schema)
+    return texts.join(asked, "md5").select("raw", "asked").mapInArrow(run, f"{kinds}, bytes binary")
+
+
+def _merged(spans: list[dict] | None) -> list[list[int]]:
+    """Sorted spans that overlap or touch, as one each."""
+    out: list[list[int]] = []
+    for s in spans or ():
+        if out and s["start"] <= out[-1][1]:
+            out[-1][1] = max(out[-1][1], s["stop"])
+        else:
+            out.append([s["start"], s["stop"]])
+    return out
+
+
+def _passages(raw: bytes, spans: list[dict] | None, words: int) -> list[list[int]]:
+    """Byte ranges of the text for runs of at least so many whole words among the spans of its words."""
+    runs = [(-(-s // CODE), e // CODE) for s, e in _merged(spans)]
+    runs = [(a, b) for a, b in runs if b - a >= words]
+    if not runs:
+        return []
+    _, start, stop, _ = word_hashes([raw])
+    return [[int(start[a]), int(stop[b - 1])] for a, b in runs]
 
 
-def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """The columns keep, with kept (bytes that remain), n_bytes and spans (array of removed [start, stop), maximal)."""
-    found = repeated_spans(docs, text, length, gram)
+def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), length: int = LENGTH, gram: int = GRAM, words: int = WORDS) -> DataFrame:
+    """The columns keep, with kept (bytes that remain), n_bytes, spans (array of removed [start, stop), maximal) and passages
+    (array of [start, stop) in bytes: maximal runs of at least so many words that also stand elsewhere; words: 0 for none)."""
+    found = repeated_spans(docs, text, length, gram, words)
+    spans_of = lambda kind: F.sort_array(F.collect_list(F.when((F.length("tid") > 16) == kind, F.struct("start", "stop"))))
     # A text's spans are bounded by its own length.
-    per = materialise(found.groupBy("tid").agg(F.sort_array(F.collect_list(F.struct("start", "stop"))).alias("_spans")))
-    rows = docs.select(*keep, F.coalesce(F.col(text), F.lit("")).cast("binary").alias("_raw"))
-    rows = rows.withColumn("_tid", F.unhex(F.md5("_raw"))).join(per.withColumnRenamed("tid", "_tid"), "_tid", "left").select(*keep, "_raw", "_spans")
-    kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
+    per = materialise(found.groupBy(F.substring("tid", 1, 16).alias("md5")).agg(spans_of(False).alias("spans"), spans_of(True).alias("runs")))
+    keep = kept_columns(docs, keep, ("kept", "n_bytes", "spans", "passages"))
+    rows = docs.select(F.struct(*keep).alias("row"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("raw"))
+    rows = rows.withColumn("md5", F.unhex(F.md5("raw"))).join(per, "md5", "left").select("row", "raw", "spans", "runs")
+    span = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        told = lambda xs: pa.array([[{"start": s, "stop": e} for s, e in x] for x in xs], span)
         for b in batches:
-            kept, sizes, out = [], [], []
-            for raw, spans in zip(b.column(len(keep)).to_pylist(), b.column(len(keep) + 1).to_pylist(), strict=True):
-                merged: list[list[int]] = []
-                for s in spans or ():
-                    if merged and s["start"] <= merged[-1][1]:
-                        merged[-1][1] = max(merged[-1][1], s["stop"])
-                    else:
-                        merged.append([s["start"], s["stop"]])
+            kept, sizes, out, passages = [], [], [], []
+            for raw, spans, runs in zip(*[b.column(k).to_pylist() for k in (1, 2, 3)], strict=True):
+                merged = _merged(spans)
                 at, parts = 0, []
                 for start, stop in merged:
                     parts.append(raw[at:start])
@@ -342,10 +407,9 @@ def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
                 parts.append(raw[at:])
                 kept.append(b"".join(parts))
                 sizes.append(len(raw))
-                out.append([{"start": s, "stop": e} for s, e in merged])
-            yield pa.RecordBatch.from_arrays(
-                [*b.columns[: len(keep)], pa.array(kept, pa.binary()), pa.array(sizes, pa.int64()), pa.array(out, pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())])))],
-                names=[*keep, "kept", "n_bytes", "spans"],
-            )
+                out.append(merged)
+                passages.append(_passages(raw, runs, words) if runs else [])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(kept, pa.binary()), pa.array(sizes, pa.int64()), told(out), told(passages)], names=["row", "kept", "n_bytes", "spans", "passages"])
 
-    return rows.mapInArrow(run, f"{kinds}, kept binary, n_bytes long, spans array<struct<start: bigint, stop: bigint>>")
+    spans = "array<struct<start: bigint, stop: bigint>>"
+    return rows.mapInArrow(run, schema_with([rows.schema["row"]], f"kept binary, n_bytes long, spans {spans}, passages {spans}")).select("row.*", "kept", "n_bytes", "spans", "passages")

@@ -5,15 +5,19 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Iterable
+from weakref import WeakKeyDictionary
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 #: Characters that part words, as Java and Python patterns spell them.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
 _ours: dict[str, SparkSession] = {}
+_path_of: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -34,7 +38,32 @@ def materialise(df: DataFrame) -> DataFrame:
     path = f"{shared_folder(spark)}/propalign-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     _ours[path] = spark
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _path_of[out] = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables that materialise wrote and nothing reads any more."""
+    for df in tables:
+        path = _path_of.pop(df)
+        _delete(path, _ours.pop(path))
+
+
+def _delete(path: str, spark: SparkSession) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def kept_columns(docs: DataFrame, keep: Iterable[str], results: Iterable[str]) -> list[Column]:
+    """The columns of docs called keep, but for those whose names an operator's results have (in any case)."""
+    taken = {r.lower() for r in results}
+    return [docs[f"`{c}`"] for c in keep if c.lower() not in taken]
+
+
+def schema_with(fields: Iterable[StructField], ddl: str) -> StructType:
+    """A schema of given fields, whatever their names, and of those that ddl names."""
+    return StructType([*fields, *StructType.fromDDL(ddl).fields])
 
 
 @atexit.register
@@ -42,9 +71,7 @@ def _clean() -> None:
     for path, spark in _ours.items():
         try:
             if path:
-                jvm = spark.sparkContext._jvm
-                where = jvm.org.apache.hadoop.fs.Path(path)
-                where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+                _delete(path, spark)
         except Exception:  # noqa: BLE001  the session may have ended before
             return
 

@@ -2,11 +2,15 @@
 
 import random
 
+import re
+from collections import Counter
+
 import numpy as np
 
 from propalign.llm import license_scan as lic
 from propalign.llm import pii
 from propalign.llm.quality_rules import ALPHA, DELTA, CUTOFFS, quality_rules, risk_thresholds
+from propalign.llm.suffix_dedup import suffix_dedup
 from propalign.llm.topk import top_k
 
 DOCS = "doc_id long, text string, lang string, source string"
@@ -79,3 +83,40 @@ def test_license_cues_lose_no_match():
             gone = set(rng.sample(range(len(words)), len(words) - -(-len(words) * 4 // 5)))
             text = " ".join([*(f"q{i}" for i in range(9)), *(f"z{i}" if i in gone else w for i, w in enumerate(words)), *(f"y{i}" for i in range(9))])
             assert bool(cued.scan(text)) == bool(every.scan(text)), (name, text)
+
+
+def test_passages_of_words(spark, monkeypatch):
+    """Runs of words that stand elsewhere, whatever the space between them, shorter in bytes than what dedup removes."""
+    import propalign.llm.suffix_dedup as sd
+
+    monkeypatch.setattr(sd, "FEW", 6)
+    rng = random.Random(19)
+    prose = lambda n: " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randint(1, 4))) for _ in range(n))
+    shared = prose(26).split()
+    texts = [None, "", prose(9), prose(40), "x " * 30, "é " * 14, prose(40)]
+    for i in range(14):
+        a = rng.randrange(17)
+        part = shared[a : a + rng.randint(7, 20)]
+        texts.append(prose(rng.randint(0, 30)) + rng.choice([" ", "\n", "\t "]) + rng.choice([" ", "  ", "\n"]).join(part) + " " + prose(rng.randint(0, 30)))
+    texts += [texts[3], texts[3]]
+    words, found = 8, [list(re.finditer(r"[^\x20\x09-\x0D]+", t or "")) for t in texts]
+    window = lambda ws, i: tuple(m[0] for m in ws[i : i + words])
+    seen = Counter(window(ws, i) for ws in found for i in range(len(ws) - words + 1))
+    docs = spark.createDataFrame([(i, t, "en", "s") for i, t in enumerate(texts)], DOCS).repartition(3)
+    got = {r["doc_id"]: [(p["start"], p["stop"]) for p in r["passages"]] for r in suffix_dedup(docs, length=200, gram=12, words=words).collect()}
+    assert sum(map(bool, got.values())) > 10
+    for i, (t, ws) in enumerate(zip(texts, found, strict=True)):
+        hit = bytearray(len(ws))
+        for k in range(len(ws) - words + 1):
+            if seen[window(ws, k)] > 1:
+                hit[k : k + words] = b"\1" * words
+        size = lambda k: len((t or "")[:k].encode())  # noqa: E731, B023
+        assert got[i] == [(size(ws[m.start()].start()), size(ws[m.end() - 1].end())) for m in re.finditer(b"\1+", bytes(hit))], i
+
+
+def test_suffix_dedup_of_clashing_columns(spark):
+    names = "doc_id long, text string, row string, raw string, md5 string, spans string, kept string, runs int, tid int, gram int, `a b` int"
+    docs = spark.createDataFrame([(None, "ab " * 300, "r", "w", "m", "s", "k", 1, 2, 3, 4), (5, None, "r", "w", "m", "s", "k", 1, 2, 3, 4)], names)
+    out = suffix_dedup(docs, keep=tuple(docs.columns))
+    assert out.columns == ["doc_id", "text", "row", "raw", "md5", "runs", "tid", "gram", "a b", "kept", "n_bytes", "spans", "passages"]
+    assert {(r["doc_id"], r["row"], r["a b"], len(r["kept"]), r["n_bytes"], len(r["passages"])) for r in out.collect()} == {(None, "r", 4, 0, 900, 1), (5, "r", 4, 0, 0, 0)}

@@ -31,12 +31,14 @@ def powers(which: int, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Prefix:
-    """Prefix hashes of a byte array: the hash of any stretch in constant time, equal for equal bytes wherever they stand."""
+    """Prefix hashes of an array of bytes, or of words' hashes: the hash of any stretch in constant time, equal for equal
+    stretches wherever they stand."""
 
     def __init__(self, data: np.ndarray, which: int = 0):
         self.up, self.down = powers(which, len(data) + 1)
         self.sums = np.zeros(len(data) + 1, dtype=np.uint64)
-        np.cumsum(TABLES[which][data] * self.up[: len(data)], out=self.sums[1:])
+        symbols = TABLES[which][data] if data.dtype == np.uint8 else data
+        np.cumsum(symbols * self.up[: len(data)], out=self.sums[1:])
 
     def of(self, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
         return (self.sums[stop] - self.sums[start]) * self.down[start]

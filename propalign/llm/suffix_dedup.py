@@ -15,8 +15,8 @@ A sorted list of all suffixes of a corpus would be many times its size. So suffi
    the hash of the bytes that all windows of the run share; these go through 2 and 3 again, down to single windows, which
    step 2 decides alone. So no group is large, and nothing is capped.
 
-For passages, a text is also read as a sequence of words, each a hash of 8 bytes, and goes through the same steps with
-windows of 8 * WORDS bytes; what is found is cut to whole words. Space between words doesn't matter there.
+For passages, a text is also read as a sequence of words, each a 64-bit hash, and goes through the same steps with words in
+the place of bytes. Space between words doesn't matter there.
 
 Edge cases: a null text is empty; texts shorter than LENGTH keep all bytes. Repeated rows are repeats of each other (they
 start elsewhere). Matches don't cross documents. Ids may be null or repeat, since texts are known by their md5 here. Texts of
@@ -28,6 +28,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -40,11 +41,11 @@ from propalign.llm.tables import kept_columns, materialise, release, schema_with
 
 LENGTH = 400
 GRAM = 100
-#: Words of a passage, and bytes that stand for one.
-WORDS, CODE = 50, 8
+#: Words of a passage, of the substrings whose hashes are anchors, and the bytes of a word's hash.
+WORDS, WORD_GRAM, CODE = 50, 10, 8
 FEW = 48
-#: Windows in a run, level by level, for anchors with many stretches.
-RUNS = (301, 40, 6, 1)
+#: Windows in a run, level by level, for anchors with many stretches: of bytes, and of words.
+RUNS, WORD_RUNS = (301, 40, 6, 1), (41, 12, 3, 1)
 #: Bytes of text that are hashed at a time.
 BLOCK = 2_000_000
 
@@ -60,7 +61,8 @@ def _slide_min(x: np.ndarray, width: int) -> np.ndarray:
 
 
 def anchors_of(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, ...]:
-    """(text, anchor, first window, last window, hash of the gram), places in data. Texts lie at [starts, ends) of data."""
+    """(text, anchor, first window, last window, hash of the gram), places in data. Texts lie at [starts, ends) of data, which
+    holds bytes or words' hashes."""
     width = length - gram + 1
     n = len(data)
     if n < length:
@@ -89,14 +91,34 @@ def _digest(stretch: bytes, at: int) -> int:
     return int.from_bytes(hashlib.blake2b(stretch, digest_size=8, salt=at.to_bytes(8, "little")).digest(), "little", signed=True)
 
 
-def _anchor_rows(raw: list[bytes], tids: list[bytes], length: int, gram: int) -> pa.RecordBatch:
-    """The anchors of texts that hold a window."""
+@dataclass(frozen=True)
+class _Kind:
+    """What texts are sequences of: bytes, or words. A sequence of words has its text's tid and a letter more."""
+
+    mark: bytes
+    length: int
+    gram: int
+    unit: int  # bytes of a symbol
+
+    def symbols(self, raw: bytes) -> np.ndarray:
+        return np.frombuffer(raw, dtype=np.uint8 if self.unit == 1 else np.uint64)
+
+    def cut(self, raw: bytes | memoryview, start: int, stop: int) -> bytes | memoryview:
+        return raw[start * self.unit : stop * self.unit]
+
+
+def _is_words(tid: bytes) -> bool:
+    return len(tid) > 16
+
+
+def _anchor_rows(raw: list[bytes], tids: list[bytes], kind: _Kind) -> pa.RecordBatch:
+    """The anchors of sequences that hold a window."""
     data = b"".join(raw)
-    stops = np.cumsum([len(r) for r in raw])
-    begins = stops - np.array([len(r) for r in raw])
-    text, a, first, last, g = anchors_of(np.frombuffer(data, dtype=np.uint8), begins, stops, length, gram)
+    stops = np.cumsum([len(r) // kind.unit for r in raw])
+    begins = np.concatenate([[0], stops[:-1]])
+    text, a, first, last, g = anchors_of(kind.symbols(data), begins, stops, kind.length, kind.gram)
     view = memoryview(data)
-    digests = [_digest(view[f : e + length], k) for f, e, k in zip(first.tolist(), last.tolist(), (a - first).tolist(), strict=True)]
+    digests = [_digest(kind.cut(view, f, e + kind.length), k) for f, e, k in zip(first.tolist(), last.tolist(), (a - first).tolist(), strict=True)]
     return pa.RecordBatch.from_arrays(
         [
             pa.array(tids, pa.binary()).take(pa.array(text)), pa.array((first - begins[text]).astype(np.int64)), pa.array((a - first).astype(np.int32)),
@@ -106,9 +128,8 @@ def _anchor_rows(raw: list[bytes], tids: list[bytes], length: int, gram: int) ->
     )
 
 
-def _anchors(raw: DataFrame, sizes: tuple[int, int], gram: int) -> DataFrame:
-    """raw: one binary column. sizes: bytes of a window of text, and of one of words (0: none). A sequence of words has its
-    text's tid and a letter more."""
+def _anchors(raw: DataFrame, kinds: list[_Kind]) -> DataFrame:
+    """raw: one binary column."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -117,13 +138,13 @@ def _anchors(raw: DataFrame, sizes: tuple[int, int], gram: int) -> DataFrame:
             while at < whole.num_rows:
                 k = max(1, int(np.searchsorted(np.cumsum(lengths[at:]), BLOCK, side="right")))
                 texts, at = [x or b"" for x in whole.column(0).slice(at, k).to_pylist()], at + k
-                kinds = [(texts, b"", sizes[0])] + ([(word_codes(texts), b"w", sizes[1])] if sizes[1] else [])
                 tids = [hashlib.md5(x).digest() for x in texts]
-                for raws, kind, length in kinds:
+                for kind in kinds:
+                    raws = texts if kind.unit == 1 else word_codes(texts)
                     # Empty texts share their start with the next one; only texts that hold a window count.
-                    real = [i for i, r in enumerate(raws) if len(r) >= length]
+                    real = [i for i, r in enumerate(raws) if len(r) >= kind.length * kind.unit]
                     if real:
-                        yield _anchor_rows([raws[i] for i in real], [tids[i] + kind for i in real], length, gram)
+                        yield _anchor_rows([raws[i] for i in real], [tids[i] + kind.mark for i in real], kind)
 
     return raw.mapInArrow(run, "tid binary, first long, at int, more int, gram long, stretch long")
 
@@ -190,11 +211,12 @@ def suffix_sort(data: np.ndarray, prefix: Prefix, start: np.ndarray, group: np.n
     return order
 
 
-def repeated_starts(stretches: list[bytes], at: np.ndarray, more: np.ndarray, group: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+def repeated_starts(stretches: list[bytes], at: np.ndarray, more: np.ndarray, group: np.ndarray, kind: _Kind) -> tuple[np.ndarray, np.ndarray]:
     """(stretch, window within it) for each window that another stretch of its group has at the same distance from its anchor."""
-    sizes = np.array([len(x) for x in stretches], dtype=np.int64)
+    length = kind.length
+    sizes = np.array([len(x) // kind.unit for x in stretches], dtype=np.int64)
     off = np.cumsum(sizes) - sizes
-    data = np.frombuffer(b"".join(stretches), dtype=np.uint8)
+    data = kind.symbols(b"".join(stretches))
     prefix = Prefix(data)
     which = np.repeat(np.arange(len(stretches)), more + 1)
     window = np.arange(len(which)) - np.repeat(np.cumsum(more + 1) - (more + 1), more + 1)
@@ -223,19 +245,15 @@ def repeated_starts(stretches: list[bytes], at: np.ndarray, more: np.ndarray, gr
     return which[order[hit]], window[order[hit]]
 
 
-def _of_words(tid: bytes) -> bool:
-    return len(tid) > 16
-
-
-def _sorted_spans(pool: DataFrame, sizes: tuple[int, int]) -> DataFrame:
+def _sorted_spans(pool: DataFrame, kinds: list[_Kind]) -> DataFrame:
     """(tid, start, stop) of windows that the suffix sort finds. pool: (gram, tid, first, at, more, n, bytes), few of a gram."""
 
-    def found(rows: list[tuple], length: int) -> pa.RecordBatch:
+    def found(rows: list[tuple], kind: _Kind) -> pa.RecordBatch:
         tid, start, stop = [], [], []
         if rows:
             grams = np.array([r[0] for r in rows])
             group = np.concatenate([[0], np.cumsum(grams[1:] != grams[:-1])])
-            w, k = repeated_starts([r[6] for r in rows], np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), group, length)
+            w, k = repeated_starts([r[6] for r in rows], np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), group, kind)
             by = np.lexsort((k, w))
             w, k = w[by], k[by]
             cut = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (k[1:] > k[:-1] + 1)])) if len(w) else np.zeros(0, dtype=int)
@@ -244,46 +262,47 @@ def _sorted_spans(pool: DataFrame, sizes: tuple[int, int]) -> DataFrame:
                 if r[5] == 1:
                     tid.append(r[1])
                     start.append(r[2] + int(k[i]))
-                    stop.append(r[2] + int(k[j - 1]) + length)
+                    stop.append(r[2] + int(k[j - 1]) + kind.length)
         return pa.RecordBatch.from_arrays([pa.array(tid, pa.binary()), pa.array(start, pa.int64()), pa.array(stop, pa.int64())], names=["tid", "start", "stop"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        # Texts and words apart, since their windows differ in size; both come in the order of their grams.
-        rows: tuple[list, list] = ([], [])
-        held = [0, 0]
+        # Bytes and words apart; both come in the order of their grams.
+        rows: list[list] = [[] for _ in kinds]
+        held = [0] * len(kinds)
         for batch in batches:
             for row in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                kind = int(_of_words(row[1]))
-                if held[kind] >= BLOCK and rows[kind][-1][0] != row[0]:
-                    yield found(rows[kind], sizes[kind])
-                    rows[kind].clear()
-                    held[kind] = 0
-                rows[kind].append(row)
-                held[kind] += len(row[6])
-        for kind in (0, 1):
-            yield found(rows[kind], sizes[kind])
+                k = int(_is_words(row[1]))
+                if held[k] >= BLOCK and rows[k][-1][0] != row[0]:
+                    yield found(rows[k], kinds[k])
+                    rows[k].clear()
+                    held[k] = 0
+                rows[k].append(row)
+                held[k] += len(row[6])
+        for own, kind in zip(rows, kinds, strict=True):
+            yield found(own, kind)
 
     return pool.repartition("gram").sortWithinPartitions("gram").select("gram", "tid", "first", "at", "more", "n", "bytes").mapInArrow(run, "tid binary, start long, stop long")
 
 
-def _finer(pool: DataFrame, sizes: tuple[int, int], run_size: int) -> DataFrame:
+def _finer(pool: DataFrame, kinds: list[_Kind], run_sizes: list[int]) -> DataFrame:
     """pool's stretches cut into runs of at most run_size windows, keyed by anchor, distance and the bytes all windows share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out: list[list] = [[] for _ in range(8)]
             for gram, tid, first, at, more, n, raw in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                prefix, length = Prefix(np.frombuffer(raw, dtype=np.uint8)), sizes[_of_words(tid)]
+                kind, run_size = kinds[_is_words(tid)], run_sizes[_is_words(tid)]
+                prefix = Prefix(kind.symbols(raw))
                 # Runs are cut at multiples of run_size of the distance from window to anchor, the same for all stretches.
                 d_high, d_low = at, at - more
                 for q in range(d_low // run_size, d_high // run_size + 1):
                     hi, lo = min(d_high, q * run_size + run_size - 1), max(d_low, q * run_size)
                     w0, w1 = at - hi, at - lo  # first and last window of the run
                     # All windows of a run share these bytes, also where the stretch has only a part of the run.
-                    a, b = at - q * run_size, at - q * run_size - run_size + 1 + length
+                    a, b = at - q * run_size, at - q * run_size - run_size + 1 + kind.length
                     core = int(prefix.of(np.array([a]), np.array([b]))[0])
                     key = int(mix(np.array([(gram & (2**64 - 1)) ^ core], dtype=np.uint64) + np.uint64(q % 2**32))[0])
-                    cut = raw[w0 : w1 + length]
+                    cut = kind.cut(raw, w0, w1 + kind.length)
                     for col, v in zip(out, (key, tid, first + w0, at - w0, w1 - w0, n, cut, _digest(cut, at - w0)), strict=True):
                         col.append(v)
             signed = lambda xs: pa.array(np.array(xs, dtype=np.uint64).view(np.int64))
@@ -297,17 +316,17 @@ def _finer(pool: DataFrame, sizes: tuple[int, int], run_size: int) -> DataFrame:
 
 def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: int = GRAM, words: int = WORDS) -> DataFrame:
     """(tid, start, stop): repeated byte ranges of the text whose md5 is tid; they may overlap or touch. Where tid has a letter
-    more, they are ranges of the sequence of its words, CODE bytes each. words: 0 for no passages."""
-    sizes = (length, CODE * words)
+    more, they are ranges of the sequence of its words. words: 0 for no passages."""
+    kinds_of = [_Kind(b"", length, gram, 1)] + ([_Kind(b"w", words, min(WORD_GRAM, words), CODE)] if words else [])
     raw = docs.select(F.coalesce(F.col(text), F.lit("")).cast("binary").alias("raw"))
-    every = materialise(_anchors(raw, sizes, gram))
+    every = materialise(_anchors(raw, kinds_of))
     often = every.groupBy("gram").agg(F.count("*").alias("k")).where("k > 1").select("gram")
     # Written, so that the join has an exchange on both sides and its large keys can be split.
     often = materialise(often)
     # Occurrences in equal texts are told once, with their number.
     seen = materialise(every.join(often, "gram").groupBy("tid", "first", "at", "more", "gram", "stretch").agg(F.count("*").alias("n")))
     release(every, often)
-    size = F.when(F.length("tid") > 16, sizes[1]).otherwise(sizes[0])
+    size = F.when(F.length("tid") > 16, words).otherwise(length)
     spans = None
     for level in range(len(RUNS)):
         last = RUNS[level] == 1
@@ -323,19 +342,19 @@ def repeated_spans(docs: DataFrame, text: str = "text", length: int = LENGTH, gr
         groups = materialise(groups)
         pool = kinds.join(groups, "gram").select("gram", "x.*", F.col("total").alias("n"), "classes")
         if level == 0:
-            pool = _with_bytes(raw, materialise(pool), sizes)
+            pool = _with_bytes(raw, materialise(pool), kinds_of)
         else:
             pool = pool.join(seen.select("gram", "tid", "first", "at", "more", "bytes"), ["gram", "tid", "first", "at", "more"])
         pool = materialise(pool)
-        spans = spans.unionByName(_sorted_spans(pool.where(F.col("classes") <= FEW), sizes))
+        spans = spans.unionByName(_sorted_spans(pool.where(F.col("classes") <= FEW), kinds_of))
         large = pool.where(F.col("classes") > FEW)
         if large.isEmpty():
             break
-        seen = materialise(_finer(large, sizes, RUNS[level + 1]))
+        seen = materialise(_finer(large, kinds_of, [RUNS[level + 1], WORD_RUNS[level + 1]]))
     return spans.distinct()
 
 
-def _with_bytes(raw: DataFrame, pool: DataFrame, sizes: tuple[int, int]) -> DataFrame:
+def _with_bytes(raw: DataFrame, pool: DataFrame, kinds: list[_Kind]) -> DataFrame:
     """pool with the bytes of each stretch. Of equal texts, one is read."""
     # What is wanted of a text is bounded by its length.
     fields = ["tid", "first", "at", "more", "gram", "n", "classes"]
@@ -346,19 +365,16 @@ def _with_bytes(raw: DataFrame, pool: DataFrame, sizes: tuple[int, int]) -> Data
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for x, found in zip(batch.column(0), batch.column(1), strict=True):
-                text, rows = x.as_py(), found.values
-                words = None
+                sequences, rows = {False: x.as_py()}, found.values
                 cut = []
                 for tid, first, more in zip(*[rows.field(f).to_pylist() for f in ("tid", "first", "more")], strict=True):
-                    if _of_words(tid):
-                        words = words if words is not None else word_codes([text])[0]
-                        cut.append(words[first : first + more + sizes[1]])
-                    else:
-                        cut.append(text[first : first + more + sizes[0]])
+                    k = _is_words(tid)
+                    if k not in sequences:
+                        sequences[k] = word_codes([sequences[False]])[0]
+                    cut.append(kinds[k].cut(sequences[k], first, first + more + kinds[k].length))
                 yield pa.RecordBatch.from_arrays([*[rows.field(f) for f in fields], pa.array(cut, pa.binary())], names=[*fields, "bytes"])
 
-    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in schema)
-    return texts.join(asked, "md5").select("raw", "asked").mapInArrow(run, f"{kinds}, bytes binary")
+    return texts.join(asked, "md5").select("raw", "asked").mapInArrow(run, schema_with(schema.fields, "bytes binary"))
 
 
 def _merged(spans: list[dict] | None) -> list[list[int]]:
@@ -372,14 +388,10 @@ def _merged(spans: list[dict] | None) -> list[list[int]]:
     return out
 
 
-def _passages(raw: bytes, spans: list[dict] | None, words: int) -> list[list[int]]:
-    """Byte ranges of the text for runs of at least so many whole words among the spans of its words."""
-    runs = [(-(-s // CODE), e // CODE) for s, e in _merged(spans)]
-    runs = [(a, b) for a, b in runs if b - a >= words]
-    if not runs:
-        return []
+def _passages(raw: bytes, spans: list[dict]) -> list[list[int]]:
+    """Byte ranges of the text for spans of its words."""
     _, start, stop, _ = word_hashes([raw])
-    return [[int(start[a]), int(stop[b - 1])] for a, b in runs]
+    return [[int(start[a]), int(stop[b - 1])] for a, b in _merged(spans)]
 
 
 def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), length: int = LENGTH, gram: int = GRAM, words: int = WORDS) -> DataFrame:
@@ -408,7 +420,7 @@ def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
                 kept.append(b"".join(parts))
                 sizes.append(len(raw))
                 out.append(merged)
-                passages.append(_passages(raw, runs, words) if runs else [])
+                passages.append(_passages(raw, runs) if runs else [])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(kept, pa.binary()), pa.array(sizes, pa.int64()), told(out), told(passages)], names=["row", "kept", "n_bytes", "spans", "passages"])
 
     spans = "array<struct<start: bigint, stop: bigint>>"

@@ -44,13 +44,20 @@ m AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_fail
  CASE WHEN n_lines > 0 THEN CAST(n_dup_lines AS DOUBLE) / n_lines ELSE 0 END AS dup_line_share, CASE WHEN n_words > 0 THEN CAST(n_repeat_words AS DOUBLE) / n_words ELSE 0 END AS repeat_share,
  CASE WHEN n_words > 0 THEN CAST(word_chars AS DOUBLE) / n_words ELSE 0 END AS word_length, CASE WHEN word_chars > 0 THEN CAST(capitals AS DOUBLE) / word_chars ELSE 0 END AS capital_share FROM b),
 long AS (SELECT n, doc_id, lang, base_failed, x.measure, x.v FROM m, LATERAL (VALUES {_MEASURES}) x(measure, v)),
-good AS (SELECT long.* FROM long JOIN labels l ON l.doc_id = long.doc_id WHERE l.quality = 1 AND NOT base_failed),
+known AS (SELECT coalesce(d.lang, chr(1)) AS s, measure, v, quality = 1 AS good FROM long d JOIN labels l ON l.doc_id = d.doc_id WHERE quality IS NOT NULL AND NOT base_failed),
 cut(measure, step, cutoff) AS (VALUES {_CUTS}),
-cell AS (SELECT coalesce(lang, chr(1)) AS s, measure, step, cutoff, count(*) AS total, count(*) FILTER (v > cutoff) AS k FROM good JOIN cut USING (measure) GROUP BY ALL),
-test AS (SELECT *, (SELECT count(DISTINCT s) FROM cell) AS strata, CASE WHEN k >= total * {qr.ALPHA} THEN 1.0 ELSE
- list_sum(list_transform(range(0, k + 1), lambda i: exp(lgamma(total + 1) - lgamma(i + 1) - lgamma(total - i + 1) + i * ln({qr.ALPHA}) + (total - i) * ln({1 - qr.ALPHA})))) END AS p FROM cell),
-seq AS (SELECT *, min(CASE WHEN p <= {qr.DELTA} / (strata * {len(qr.CUTOFFS)}) THEN 1 ELSE 0 END) OVER (PARTITION BY s, measure ORDER BY step) AS ok FROM test),
-taken AS (SELECT s, measure, arg_max(cutoff, step) AS cutoff FROM seq WHERE ok = 1 GROUP BY s, measure),
+cell AS (SELECT s, measure, step, cutoff, count(*) FILTER (good) AS n, count(*) FILTER (NOT good) AS nb, count(*) FILTER (good AND v > cutoff) AS k, count(*) FILTER (NOT good AND v > cutoff) AS kb
+ FROM known JOIN cut USING (measure) GROUP BY ALL HAVING n > 0),
+lev AS (SELECT {qr.DELTA} / (count(DISTINCT s) * {len(qr.CUTOFFS)}) AS level FROM cell),
+few AS (SELECT s, n AS m, pow({1 - qr.ALPHA}, n) > level AS few FROM (SELECT DISTINCT s, n FROM cell), lev),
+too AS (SELECT pow({1 - qr.ALPHA}, coalesce(sum(m) FILTER (few), 0)) > any_value(level) AS too FROM few, lev),
+pool AS (SELECT measure, step, sum(n) AS n, sum(nb) AS nb, sum(k) AS k, sum(kb) AS kb FROM cell JOIN few f USING (s), too WHERE f.few OR too GROUP BY ALL),
+used AS (SELECT s, c.measure, c.step, cutoff, CAST(if(few, p.n, c.n) AS BIGINT) AS n, CAST(if(few, p.nb, c.nb) AS BIGINT) AS nb, CAST(if(few, p.k, c.k) AS BIGINT) AS k, CAST(if(few, p.kb, c.kb) AS BIGINT) AS kb
+ FROM cell c JOIN few USING (s) LEFT JOIN pool p ON p.measure = c.measure AND p.step = c.step),
+test AS (SELECT *, CASE WHEN k >= n * {qr.ALPHA} THEN 1.0 ELSE
+ list_sum(list_transform(range(0, k + 1), lambda i: exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln({qr.ALPHA}) + (n - i) * ln({1 - qr.ALPHA})))) END AS p FROM used),
+seq AS (SELECT *, kb * n - k * nb AS lead, min(CASE WHEN p <= level THEN 1 ELSE 0 END) OVER (PARTITION BY s, measure ORDER BY step) AS ok FROM test, lev),
+taken AS (SELECT s, measure, cutoff FROM seq WHERE ok = 1 AND lead > 0 QUALIFY row_number() OVER (PARTITION BY s, measure ORDER BY lead DESC, step) = 1),
 bad AS (SELECT DISTINCT n FROM long JOIN taken t ON t.s = coalesce(lang, chr(1)) AND t.measure = long.measure WHERE v > t.cutoff)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND bad.n IS NULL AS kept FROM m LEFT JOIN bad ON bad.n = m.n
 """

@@ -47,6 +47,24 @@ def test_binomial_tail(spark):
         assert r["p"] == pytest.approx(want, rel=1e-8) or (k >= n * 0.004 and r["p"] == 1.0)
 
 
+def test_binomial_tail_with_many_terms(spark):
+    """No number of terms is too large: exact tails by logarithms, term by term."""
+    cases = [(2500, 200_000), (19_500, 1_000_000), (199_000, 10_000_000)]
+    got = spark.createDataFrame(cases, "k long, n long").select("k", "n", binomial_tail(F.col("k"), F.col("n"), 0.02).alias("p")).collect()
+    for r in got:
+        k, n = r["k"], r["n"]
+        logs = [math.lgamma(n + 1) - math.lgamma(i + 1) - math.lgamma(n - i + 1) + i * math.log(0.02) + (n - i) * math.log(0.98) for i in range(k + 1)]
+        assert r["p"] == pytest.approx(math.fsum(map(math.exp, logs)), rel=1e-6), (k, n)
+
+
+def test_repeated_words_when_hashes_collide(spark, monkeypatch):
+    """Windows that a bad hash throws together, with equal ones apart, are told apart by their words."""
+    import propalign.llm.quality_rules as qr
+
+    monkeypatch.setattr(qr, "window_hash", lambda a, b, c: F.length(a).cast("bigint"))
+    test_base_measures(spark)
+
+
 def test_thresholds_bound_false_rejections(spark):
     # Bad documents have many symbols, good ones none; enough labels in one stratum, few in another.
     good = " ".join(f"w{i}" for i in range(60))
@@ -59,7 +77,19 @@ def test_thresholds_bound_false_rejections(spark):
     assert kept == {("en", False, True), ("en", True, False), ("xx", True, True)}
     known = out.join(labels.where("doc_id is not null and quality is not null").select("doc_id", "quality"), "doc_id")
     taken = {(r["stratum"], r["measure"]): r for r in risk_thresholds(known, "lang", "quality").collect()}
-    assert taken["en", "symbol_share"]["n_rejected"] == 0 and taken["en", "symbol_share"]["p_value"] < 0.01
+    assert set(taken) == {("en", "symbol_share")}  # no other measure tells good from bad
+    assert taken["en", "symbol_share"]["cutoff"] == 2.0 and taken["en", "symbol_share"]["n_rejected"] == 0 and taken["en", "symbol_share"]["p_value"] < 0.01
+
+
+def test_false_rejections_on_other_labels(spark):
+    """Cutoffs learned from one half of the labels lose no more good documents of the other half than they may."""
+    import propalign.llm.quality_rules as qr
+
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    half = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(2)) == 0
+    out = quality_rules(docs, labels.where(half)).join(labels.where(~half).select("doc_id", "quality"), "doc_id").where("not base_failed")
+    share = {r["quality"]: (r["n"], r["lost"] / r["n"]) for r in out.groupBy("quality").agg(F.count("*").alias("n"), F.count_if(~F.col("kept")).alias("lost")).collect()}
+    assert share[1][0] > 1000 and share[1][1] <= qr.ALPHA * len(qr.CUTOFFS) and share[0][1] > 0.9
 
 
 def test_quality_rules_empty(spark):

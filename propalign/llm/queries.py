@@ -57,7 +57,7 @@ def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     told = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["stop"].cast("string"))), ",")
     count = lambda k: F.size(F.filter("base", lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
     assert list(order) == ["email", "ip", "card", "phone", "secret"]  # the spans come in this order of kinds
-    return out.select("doc_id", *[count(k) for k in KINDS[:4]], F.sha2(told("base"), 256).alias("base_sha256"), told("spans").alias("spans"))
+    return out.select("doc_id", *[count(k) for k in KINDS[:4]], F.sha2(told("base"), 256).alias("base_sha256"), told("spans").alias("spans"), F.size("spans").cast("long").alias("n_spans"))
 
 
 def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -69,6 +69,50 @@ def test_long_secrets_and_quoted_keys(spark):
     clean = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
     assert [clean[i] for i in range(30, 34)] == ['x token="<SECRET>" y', '{"token": "<SECRET>"}', "'auth' => '<SECRET>'", texts[33]]
     assert pii.contexts("a=" + "7" * 500_000, [])[0][3] == 500_002
+    name = "l" * 900
+    assert pii.contexts(f'{name}: "abc123def"', [])[0][0] == f'{name} : "_"' and pii.contexts("a" * 400_000 + "=" * 3 + "1" * 300_000, []) is not None
+
+
+def brute_scores(edges, rounds):
+    """Confidence of patterns: over and over, by plain sums."""
+    trust = {i: max(s for p, j, s in edges if j == i) for _, i, _ in edges}
+    seeds = dict(trust)
+    for _ in range(rounds):
+        own = {p: {i for q, i, _ in edges if q == p} for p, _, _ in edges}
+        support = {p: sum(trust[i] for i in x) for p, x in own.items()}
+        confidence = {p: support[p] / (len(x) + pii.SMOOTH) for p, x in own.items()}
+        trust = {i: max([seeds[i], *(confidence[p] for p, j, _ in edges if j == i and support[p] >= pii.SUPPORT)]) for i in seeds}
+    return {p: (len(own[p]), round(support[p], 9), round(confidence[p], 9)) for p in own}
+
+
+def test_pattern_scores(spark):
+    rng = random.Random(20)
+    edges = [(f"p{rng.randrange(12)}", f"i{int(rng.random() ** 2 * 60)}") for _ in range(260)]
+    seed = {f"i{k}" for k in range(0, 60, 3)}
+    hits = spark.createDataFrame([(p, i, i in seed) for p, i in edges] * 2, "pattern string, instance string, seed boolean")
+    got = {r["pattern"]: (r["instances"], round(r["support"], 9), round(r["confidence"], 9)) for r in pii.score_patterns(hits).collect()}
+    assert got == brute_scores([(p, i, float(i in seed)) for p, i in edges], pii.ROUNDS)
+
+
+def test_contexts_in_prose(spark):
+    """Words on both sides of seeds find identifiers of no known format; numbers that fail a check are none."""
+    rng = random.Random(21)
+    digits = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
+    phone = lambda: f"+1 ({digits(3)}) 555-{digits(4)}"
+    texts = [f"please reach me {phone()} today" for _ in range(8)] + [f"my account u{digits(4)}@x.org expires soon" for _ in range(8)]
+    texts += ["please reach me 555.0199x now", "an account QX-99-1200 expires soon", "he paid 1200300 in all", "please reach me 1234567890123456 today"]
+    docs = spark.createDataFrame([(i, t, "en", "s") for i, t in enumerate(texts)], DOCS)
+    clean = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
+    assert [clean[i] for i in range(16, 20)] == ["please reach me <SECRET> now", "an account <SECRET> expires soon", texts[18], texts[19]]
+
+
+def test_personal_data_of_clashing_columns(spark):
+    names = "base int, spans string, hits int, _uid int, more string, uid int, `row` int, text string, `a.b` int, doc_id long"
+    docs = spark.createDataFrame([(1, "s", 2, 3, "m", 4, 5, "mail a@b.org", 6, None), (1, "s", 2, 3, "m", 4, 5, None, 6, 8)], names)
+    out = pii.redact(docs)
+    assert out.columns == docs.columns
+    assert {tuple(r) for r in out.collect()} == {(1, "s", 2, 3, "m", 4, 5, "mail <EMAIL>", 6, None), (1, "s", 2, 3, "m", 4, 5, None, 6, 8)}
+    assert pii.personal_data(docs, keep=tuple(docs.columns)).columns == ["hits", "_uid", "more", "uid", "row", "text", "a.b", "doc_id", "base", "spans"]
 
 
 def test_license_cues_lose_no_match():

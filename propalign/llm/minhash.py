@@ -4,8 +4,9 @@ A signature has ``HASHES`` symbols of ``BITS`` bits, the low bits of minima over
 into ``CHUNKS`` chunks, and each chunk is looked up with every way of leaving out up to ``ERRORS`` symbols. By pigeonhole
 two signatures that differ in at most ``CHUNKS * (ERRORS + 1) - 1`` symbols (31 of 80) share one of these keys, so every
 such pair is found. Pairs beyond are found too if any one chunk is close enough: of pairs with similarity 0.75, all but
-one in ten million. Candidates whose signatures differ in more than ``LOOSE`` symbols are dropped (similarity 0.75 has 20
-on average, with a deviation of 3.9), the rest are confirmed on the full sets; no partner or bucket is capped.
+one in ten million. The threshold on signatures is ``LOOSE`` symbols (similarity 0.75 has 20 on average with a deviation of
+3.9, so one pair in 10^15 lies beyond; ``loose=HASHES`` drops none); all candidates within it are confirmed on the full sets.
+No partner or bucket is capped.
 
 Only components matter, so pairs are not expanded:
 
@@ -19,12 +20,13 @@ Only components matter, so pairs are not expanded:
 
 Edge cases: a null or empty text or one without words has no shingle and links with nothing, its component is its own id;
 fewer words than a shingle make one of all. Repeated rows are exact copies; a repeated id keeps all its rows, and a row
-with a null id joins its component but is kept only if its component has no id at all.
+with a null id joins its component but is kept only if its component has no id at all. Texts of any length are taken whole;
+no documents give no rows. Only the key and the text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import hashlib
@@ -37,12 +39,14 @@ from pyspark.sql import functions as F
 
 from propalign.llm.bytes_np import mix, shingle_sets
 from propalign.llm.components import components, roots
-from propalign.llm.tables import materialise
+from propalign.llm.tables import materialise, release, schema_with
 
 WORDS = 5
 SHARE = (75, 100)
 HASHES, BITS, CHUNKS, ERRORS = 80, 16, 16, 1
-LOOSE = 42
+LOOSE = 56
+#: Leaders of open groups (some 20 bytes each), of which so many are broadcast; more are shuffled.
+BROADCAST_LEADERS = 1_000_000
 #: Members of a block.
 BLOCK = 512
 
@@ -78,9 +82,8 @@ def keys_of(sig: np.ndarray) -> np.ndarray:
     return np.concatenate(out).view(np.int64)
 
 
-def signed(docs: DataFrame, text: str, key: str) -> DataFrame:
-    """(key, uid, n_shingles, same: digest of the set, sig): uid numbers the rows."""
-    kind = docs.schema[key].dataType.simpleString()
+def signed(docs: DataFrame) -> DataFrame:
+    """(id, uid, digest: of the text, n_shingles, same: digest of the set, sig): uid numbers the rows. docs: (id, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -89,18 +92,20 @@ def signed(docs: DataFrame, text: str, key: str) -> DataFrame:
             while at < whole.num_rows:  # about 4 MB of text at a time
                 k = max(1, int(np.searchsorted(np.cumsum(sizes[at:]), 4_000_000, side="right")))
                 b, at = whole.slice(at, k), at + k
-                sets = shingle_sets(b.column(1).to_pylist(), WORDS)
+                texts = b.column(1).to_pylist()
+                sets = shingle_sets(texts, WORDS)
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column(0),
+                        pa.array([None if t is None else hashlib.md5(t.encode("utf-8", "surrogatepass")).digest() for t in texts], pa.binary()),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets], pa.binary()),
                         pa.array([signature(s).tobytes() if len(s) else None for s in sets], pa.binary()),
                     ],
-                    names=[key, "n_shingles", "same", "sig"],
+                    names=["id", "digest", "n_shingles", "same", "sig"],
                 )
 
-    rows = docs.select(key, F.col(text).cast("string")).mapInArrow(run, f"`{key}` {kind}, n_shingles long, same binary, sig binary")
+    rows = docs.mapInArrow(run, schema_with([docs.schema["id"]], "digest binary, n_shingles long, same binary, sig binary"))
     return rows.withColumn("uid", F.monotonically_increasing_id())
 
 
@@ -121,8 +126,8 @@ def _differ(a: pa.Array, b: pa.Array) -> np.ndarray:
     return (x != y).sum(1)
 
 
-def _near(pairs: DataFrame, classes: DataFrame) -> DataFrame:
-    """(a, b, apart) of pairs whose signatures differ in at most LOOSE symbols."""
+def _near(pairs: DataFrame, classes: DataFrame, loose: int) -> DataFrame:
+    """(a, b, apart) of pairs whose signatures differ in at most loose symbols."""
     sig = classes.select("c", "sig")
     both = pairs.join(sig.withColumnsRenamed({"c": "a", "sig": "sa"}), "a").join(sig.withColumnsRenamed({"c": "b", "sig": "sb"}), "b")
 
@@ -130,15 +135,16 @@ def _near(pairs: DataFrame, classes: DataFrame) -> DataFrame:
         for b in batches:
             apart = pa.array(_differ(b.column(2), b.column(3)).astype(np.int32), pa.int32())
             out = pa.RecordBatch.from_arrays([b.column(0), b.column(1), apart], names=["a", "b", "apart"])
-            yield out.filter(pa.compute.less_equal(apart, LOOSE))
+            yield out.filter(pa.compute.less_equal(apart, loose))
 
     return both.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long, apart int")
 
 
-def _sets(wanted: DataFrame, docs: DataFrame, members: DataFrame, text: str, key: str) -> DataFrame:
-    """(c, shingles) of the classes wanted (c), from their documents' whole texts. members: (key, c), one document of each class."""
+def _sets(wanted: DataFrame, docs: DataFrame, members: DataFrame) -> DataFrame:
+    """(c, shingles) of the classes wanted (c), from their documents' whole texts. members: (c, same, m_id), one document of
+    each class."""
     known = wanted.distinct().join(members, "c")
-    texts = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text")).join(known, F.col("_key").eqNullSafe(F.col("m_key"))).select("c", "same", "_text")
+    texts = docs.join(known, F.col("id").eqNullSafe(F.col("m_id"))).select("c", "same", "text")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -170,15 +176,16 @@ def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
     return joined.select("a", "b", "xa", "xb").mapInArrow(agree, "a long, b long")
 
 
-def _block_pairs(rows: DataFrame, carried: str) -> DataFrame:
+def _block_pairs(rows: DataFrame, carried: str, few: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """(g, lead, c, label, carried): rows (lead, c, label, carried) dealt to groups g that hold two blocks of a leader's group.
+    few: what to do with a table of one row a leader before it is joined.
 
     A component with more than a block's members gets blocks of its own, the others share blocks. Every pair of blocks
     that may hold two components is a group; a row goes once to each pair of blocks that it is in.
     """
     size = rows.groupBy("lead", "label").agg(F.count("*").alias("n"))
     rest = size.where(F.col("n") <= BLOCK).groupBy("lead").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("pools"))
-    part = size.join(rest, "lead", "left").select(
+    part = size.join(few(rest), "lead", "left").select(
         "lead", "label",
         F.when(F.col("n") > BLOCK, F.col("label")).otherwise(F.lit(-1)).alias("own"),
         F.when(F.col("n") > BLOCK, F.ceil(F.col("n") / BLOCK).cast("int")).otherwise(F.col("pools")).alias("parts"),
@@ -210,7 +217,7 @@ def _by_group(batches: Iterator[pa.RecordBatch]) -> Iterator[list[tuple]]:
         yield held
 
 
-def _with_partner(rows: DataFrame) -> DataFrame:
+def _with_partner(rows: DataFrame, few: Callable[[DataFrame], DataFrame], loose: int) -> DataFrame:
     """(lead, c) of classes with a class of another component in their group whose signature is near. rows: (lead, c, label, sig)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -218,16 +225,16 @@ def _with_partner(rows: DataFrame) -> DataFrame:
             label, sig = np.array([r[3] for r in group]), np.array([np.frombuffer(r[4], dtype=np.uint16) for r in group])
             near = np.zeros(len(group), dtype=bool)
             for i in range(len(group) - 1):
-                ok = ((sig[i + 1 :] != sig[i]).sum(1) <= LOOSE) & (label[i + 1 :] != label[i])
+                ok = ((sig[i + 1 :] != sig[i]).sum(1) <= loose) & (label[i + 1 :] != label[i])
                 near[i] |= ok.any()
                 near[i + 1 :] |= ok
             at = np.flatnonzero(near)
             yield pa.RecordBatch.from_arrays([pa.array([group[i][1] for i in at], pa.int64()), pa.array([group[i][2] for i in at], pa.int64())], names=["lead", "c"])
 
-    return _block_pairs(rows, "sig").mapInArrow(run, "lead long, c long").distinct()
+    return _block_pairs(rows, "sig", few).mapInArrow(run, "lead long, c long").distinct()
 
 
-def _joining_links(rows: DataFrame) -> DataFrame:
+def _joining_links(rows: DataFrame, few: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """(a, b): confirmed links that join two components of a group. rows: (lead, c, label, shingles)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -259,15 +266,15 @@ def _joining_links(rows: DataFrame) -> DataFrame:
                         b.append(max(group[i][2], group[j][2]))
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-    return _block_pairs(rows, "shingles").mapInArrow(run, "a long, b long").distinct()
+    return _block_pairs(rows, "shingles", few).mapInArrow(run, "a long, b long").distinct()
 
 
-def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """(key, n_shingles, component_id, kept), one row for each of docs."""
-    base = materialise(signed(docs, text, key))
-    classes = base.where("same is not null").groupBy("same").agg(F.min("uid").alias("c"), F.min(key).alias("rep"), F.max("sig").alias("sig"), F.min(F.struct("uid", key)).alias("x"))
-    classes = materialise(classes.select("c", "same", "rep", "sig", F.col(f"x.{key}").alias("m_key")))
-    members = classes.select("c", "same", "m_key")
+def _components(docs: DataFrame, loose: int) -> tuple[DataFrame, DataFrame]:
+    """(id, uid, digest, n_shingles, same) of each row, and (same, label) of each set. docs: (id, text)."""
+    base = materialise(signed(docs))
+    classes = base.where("same is not null").groupBy("same").agg(F.min("uid").alias("c"), F.max("sig").alias("sig"), F.min(F.struct("uid", "id")).alias("x"))
+    classes = materialise(classes.select("c", "same", "sig", F.col("x.id").alias("m_id")))
+    members = classes.select("c", "same", "m_id")
     buckets = _bucket_keys(classes)
     # Only keys that two classes share matter. Tables are written so that the joins have an exchange on both sides and large
     # keys can be split.
@@ -276,18 +283,20 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     weight = materialise(rows.groupBy("c").agg(F.sum("n").alias("w")))
     leader = materialise(rows.join(weight, "c").groupBy("bucket").agg(F.max(F.struct("w", F.col("c").alias("lead"))).alias("x")).select("bucket", "x.lead"))
     groups = materialise(rows.join(leader, "bucket").select("lead", "c").distinct())
-    near = _near(groups.where("c != lead").select(F.col("lead").alias("a"), F.col("c").alias("b")), classes)
+    release(shared, rows, weight, leader)
+    near = _near(groups.where("c != lead").select(F.col("lead").alias("a"), F.col("c").alias("b")), classes, loose)
     closest = materialise(near.groupBy("b").agg(F.min(F.struct("apart", "a")).alias("x")).select(F.col("x.a").alias("a"), "b"))
     # A leader meets more classes than its followers (ties by number), so these links are a forest.
-    links = _confirmed(closest, _sets(closest.select(F.explode(F.array("a", "b")).alias("c")), docs, members, text, key))
+    links = _confirmed(closest, _sets(closest.select(F.explode(F.array("a", "b")).alias("c")), docs, members))
     label = materialise(roots(links.select(F.col("b").alias("node"), F.col("a").alias("parent"))))
     named = groups.join(label, groups["c"] == label["node"], "left").select("lead", "c", F.coalesce("label", "c").alias("label"))
     mixed = materialise(named.groupBy("lead").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo != hi").select("lead"))
-    open_rows = materialise(named.join(mixed, "lead"))
-    partnered = materialise(_with_partner(open_rows.join(classes.select("c", "sig"), "c")))
+    few = F.broadcast if mixed.count() <= BROADCAST_LEADERS else lambda df: df
+    open_rows = materialise(named.join(few(mixed), "lead"))
+    partnered = materialise(_with_partner(open_rows.join(classes.select("c", "sig"), "c"), few, loose))
     if not partnered.isEmpty():
-        full = _sets(partnered.select("c"), docs, members, text, key)
-        more = _joining_links(open_rows.join(partnered, ["lead", "c"]).join(full, "c").select("lead", "c", "label", "shingles"))
+        full = _sets(partnered.select("c"), docs, members)
+        more = _joining_links(open_rows.join(partnered, ["lead", "c"]).join(full, "c").select("lead", "c", "label", "shingles"), few)
         # What joins are components, by their labels; few are left by now.
         known = label.withColumnsRenamed({"node": "_n", "label": "_l"})
         ends = more.join(known, F.col("a") == F.col("_n"), "left").select(F.coalesce("_l", "a").alias("a"), "b")
@@ -295,8 +304,35 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
         joined = materialise(components(ends)).withColumnsRenamed({"node": "_j", "label": "_root"})
         every = label.unionByName(joined.select(F.col("_j").alias("node"), F.col("_j").alias("label"))).dropDuplicates(["node"])
         label = materialise(every.join(joined, F.col("label") == F.col("_j"), "left").select("node", F.coalesce("_root", "label").alias("label")))
-    whole = classes.join(label, classes["c"] == label["node"], "left").select("c", "same", "rep", F.coalesce("label", "c").alias("label"))
+    whole = classes.join(label, classes["c"] == label["node"], "left").select("same", F.coalesce("label", "c").alias("label"))
+    return base.drop("sig"), whole
+
+
+def _read(docs: DataFrame, text: str, key: str) -> DataFrame:
+    return docs.select(F.col(f"`{key}`").alias("id"), F.col(f"`{text}`").cast("string").alias("text"))
+
+
+def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", loose: int = LOOSE) -> DataFrame:
+    """(key, n_shingles, component_id, kept), one row for each of docs."""
+    base, sets = _components(_read(docs, text, key), loose)
+    reps = base.where("same is not null").groupBy("same").agg(F.min("id").alias("rep"))
+    whole = sets.join(reps, "same")
     smallest = whole.groupBy("label").agg(F.min("rep").alias("component_id"))
     of = whole.join(smallest, "label").select(F.col("same").alias("_same"), "component_id")
-    out = base.join(of, base["same"] == of["_same"], "left").withColumn("component_id", F.when(F.col("same").isNull(), F.col(key)).otherwise(F.col("component_id")))
-    return out.select(key, "n_shingles", "component_id", F.col(key).eqNullSafe(F.col("component_id")).alias("kept"))
+    out = base.join(of, base["same"] == of["_same"], "left").withColumn("component_id", F.when(F.col("same").isNull(), F.col("id")).otherwise(F.col("component_id")))
+    return out.select(F.col("id").alias(key), "n_shingles", "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
+def one_of_each(docs: DataFrame, text: str = "text", key: str = "doc_id", loose: int = LOOSE) -> DataFrame:
+    """The rows of docs that stay: of each component, the one with the smallest id (null ids last; then by the text's md5), by
+    row and not by id, so that other rows with its id go. Rows without a word all stay. Rows that repeat an id and its text
+    stay once."""
+    base, sets = _components(_read(docs, text, key), loose)
+    groups = base.join(sets, "same", "left").withColumn("g", F.when(F.col("same").isNull(), -1 - F.col("uid")).otherwise(F.col("label")))
+    first = groups.groupBy("g").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "digest")).alias("x"))
+    stay = materialise(first.select("x.id", "x.digest").distinct()).alias("stay")
+    same = F.col(f"docs.`{key}`").eqNullSafe(F.col("stay.id")) & F.unhex(F.md5(F.col(f"docs.`{text}`").cast("string"))).eqNullSafe(F.col("stay.digest"))
+    repeated = base.groupBy("id", "digest").count().where("count > 1")
+    if not repeated.isEmpty():
+        docs = docs.dropDuplicates([key, text])
+    return docs.alias("docs").join(stay, same, "left_semi")

@@ -9,6 +9,7 @@ import numpy as np
 
 from propalign.llm import license_scan as lic
 from propalign.llm import pii
+from propalign.llm.minhash import HASHES, near_duplicates, one_of_each
 from propalign.llm.quality_rules import ALPHA, DELTA, CUTOFFS, quality_rules, risk_thresholds
 from propalign.llm.suffix_dedup import suffix_dedup
 from propalign.llm.topk import top_k
@@ -165,3 +166,21 @@ def test_suffix_dedup_of_clashing_columns(spark):
     out = suffix_dedup(docs, keep=tuple(docs.columns))
     assert out.columns == ["doc_id", "text", "row", "raw", "md5", "runs", "tid", "gram", "a b", "kept", "n_bytes", "spans", "passages"]
     assert {(r["doc_id"], r["row"], r["a b"], len(r["kept"]), r["n_bytes"], len(r["passages"])) for r in out.collect()} == {(None, "r", 4, 0, 900, 1), (5, "r", 4, 0, 0, 0)}
+
+
+def test_one_row_of_each_component_stays(spark):
+    """By row: of an id with two texts only the right one, and of null ids no copy of what stays."""
+    rng = random.Random(22)
+    prose = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 6))) for _ in range(n))
+    a, b, c = prose(60), prose(60), prose(9000)
+    rows = [(1, a), (1, b), (2, b + " more"), (3, a), (None, a), (None, b), (None, "just this one here now"), (None, None), (4, None), (5, ""), (6, c), (7, c + " x"), (6, c), (None, "Just this one here now")]
+    names = "doc_id long, text string, id int, digest string, uid long, same int, label int, `x y` int, stay int, docs int"
+    docs = spark.createDataFrame([(i, t, 1, "d", 2, 3, 4, 5, 6, 7) for i, t in rows], names).repartition(3)
+    for loose in (56, HASHES):
+        out = one_of_each(docs, loose=loose)
+        assert out.columns == docs.columns
+        got = sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=repr)
+        null = [r for r in got if r[0] is None and r[1] is not None]
+        assert len(null) == 1 and null[0][1].lower() == "just this one here now"
+        assert [r for r in got if r not in null] == sorted([(1, a), (1, b), (None, None), (4, None), (5, ""), (6, c)], key=repr)
+    assert near_duplicates(docs).count() == len(rows) and one_of_each(docs.limit(0)).count() == 0

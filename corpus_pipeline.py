@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from propalign.llm.minhash import near_duplicates
+from propalign.llm.minhash import one_of_each
 from propalign.llm.mixing import emit_mix
 from propalign.llm.nnpu import quality_classifier
 from propalign.llm.packing import best_fit_packing
@@ -26,11 +26,9 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component; of rows that repeat an id and its text, one."""
-    kept = near_duplicates(docs).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
-    if not docs.groupBy("doc_id").count().where("count > 1").isEmpty():
-        docs = docs.dropDuplicates(["doc_id", "text"])
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
+    """One row of each component of near copies; rows without a word, or with a null text, are in none and stay. Decided by
+    row, so repeated and null ids make no difference; rows that repeat an id and its text stay once."""
+    return one_of_each(docs)
 
 
 def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

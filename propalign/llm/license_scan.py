@@ -6,8 +6,13 @@ once in the template are anchors; the longest increasing run of anchors is kept;
 same way, after equal words at their ends are taken. The coverage is the share of the template's words that are aligned; a
 stretch with enough of it is a match. Of matches that overlap, the one with more aligned words stays.
 
+Templates are data: a dictionary, or a table of (license, template) rows, a rule list of bounded size. A text is read by words
+only for templates that it can match: so many of a template's words must be in it as a match needs.
+
 Edge cases: null and empty texts and texts without a template's words match nothing. Long texts are scanned whole: stretches
-begin where a template's rarest words stand. Repeated statements are matches each. Repeated rows are scanned each.
+begin where a template's rarest words stand. Repeated statements are matches each. Repeated rows are scanned each; null ids
+pass through. No documents give no rows, no templates no matches; templates that are null or hold no word are left out.
+Columns may have any name; one called ``matches`` is replaced.
 """
 
 from __future__ import annotations
@@ -15,13 +20,18 @@ from __future__ import annotations
 import re
 from bisect import bisect_left
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from math import ceil
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from propalign.llm.tables import kept_columns, schema_with
 
 COVERAGE = 0.8
+#: Rows of a template table that are taken to the driver, and on to every task; more are an error.
+MOST_TEMPLATES = 20_000
 
 #: Common license statements, in their published wording.
 TEMPLATES = {
@@ -90,14 +100,17 @@ def patience(a: list[str], b: list[str]) -> list[tuple[int, int]]:
 
 class Scanner:
     def __init__(self, templates: dict[str, str] = TEMPLATES, coverage: float = COVERAGE):
-        self.words = {n: [w for w, _, _ in words_of(t)] for n, t in templates.items()}
+        self.words = {n: ws for n, t in templates.items() if t and (ws := [w for w, _, _ in words_of(t)])}
         self.coverage = coverage
+        #: Of each template, the words that a match needs at least, and how often each word stands in it.
+        self.need = {n: ceil(coverage * len(ws)) for n, ws in self.words.items()}
+        self.bag = {n: Counter(ws) for n, ws in self.words.items()}
         known = Counter(w for ws in self.words.values() for w in set(ws))
         self.lead: dict[str, list[str]] = {}
         self.cues: dict[str, set[str]] = {}
         for n, ws in self.words.items():
             # A match misses at most a share of the template's words; so of this many rarest ones, one is there.
-            spare = len(ws) - ceil(coverage * len(ws)) + 1
+            spare = len(ws) - self.need[n] + 1
             rare = sorted(set(ws), key=lambda w: (known[w], -len(w), w))
             need, took = [], 0
             for w in rare:
@@ -108,18 +121,29 @@ class Scanner:
             self.cues[n] = set(need)
             for w in need:
                 self.lead.setdefault(w, []).append(n)
-        self.any = re.compile("|".join(sorted(map(re.escape, self.lead), key=len, reverse=True)))
+
+    def possible(self, has: Callable[[str], bool]) -> set[str]:
+        """Templates of whose words enough are there, with one of the cues. has: whether a word is in the text."""
+        out, known = set(), {}
+        there = lambda w: known[w] if w in known else known.setdefault(w, has(w))
+        for n, bag in self.bag.items():
+            if any(map(there, self.cues[n])) and sum(k for w, k in bag.items() if there(w)) >= self.need[n]:
+                out.add(n)
+        return out
 
     def scan(self, text: str) -> list[tuple[str, int, int, int, float]]:
         """(license, start, end, aligned words, coverage), by start; code points, ends exclusive."""
-        if not self.any.search(text.lower()):
+        low = text.lower()
+        if not self.possible(low.__contains__):
             return []
         found = words_of(text)
         text_words = [w for w, _, _ in found]
+        open_ = self.possible(set(text_words).__contains__)
         places: dict[str, list[int]] = {}
         for i, w in enumerate(text_words):
             for n in self.lead.get(w, ()):
-                places.setdefault(n, []).append(i)
+                if n in open_:
+                    places.setdefault(n, []).append(i)
         hits = []
         for n, at in places.items():
             template = self.words[n]
@@ -129,11 +153,14 @@ class Scanner:
                 if i <= done:
                     continue
                 lo, hi = max(done + 1, i - size), min(len(text_words), i + size + size // 4 + 1)
+                here = Counter(text_words[lo:hi])
+                if sum(min(k, here[w]) for w, k in self.bag[n].items()) < self.need[n]:
+                    continue
                 pairs = patience(text_words[lo:hi], template)
                 # Only what lies near the cue counts, in a span not much longer than the template.
                 pairs = [(lo + x, y) for x, y in pairs]
                 pairs = self._dense(pairs, size)
-                if len(pairs) >= self.coverage * size:
+                if len(pairs) >= self.need[n]:
                     hits.append((n, pairs[0][0], pairs[-1][0], len(pairs), len(pairs) / size))
                     done = pairs[-1][0]
         hits.sort(key=lambda h: (-h[3], -h[4], h[1], h[0]))
@@ -154,15 +181,21 @@ class Scanner:
         return pairs[-best[1] : -best[1] + best[0]] if best[0] else []
 
 
-def license_scan(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), templates: dict[str, str] = TEMPLATES, coverage: float = COVERAGE) -> DataFrame:
-    """keep and matches: array of (license, start, stop, words, coverage), by license and start."""
-    kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
+def license_scan(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), templates: dict[str, str] | DataFrame = TEMPLATES, coverage: float = COVERAGE) -> DataFrame:
+    """keep and matches: array of (license, start, stop, words, coverage), by start."""
+    if isinstance(templates, DataFrame):
+        rows = templates.where("license is not null and template is not null").select("license", "template").limit(MOST_TEMPLATES + 1).collect()
+        if len(rows) > MOST_TEMPLATES:
+            raise ValueError(f"more than {MOST_TEMPLATES} templates")
+        templates = {r["license"]: r["template"] for r in rows}
+    rows = docs.select(F.struct(*kept_columns(docs, keep, ["matches"])).alias("row"), F.col(f"`{text}`").alias("text"))
     hit = pa.struct([("license", pa.string()), ("start", pa.int64()), ("stop", pa.int64()), ("words", pa.int64()), ("coverage", pa.float64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scanner = Scanner(templates, coverage)
         for b in batches:
-            out = [[dict(zip(("license", "start", "stop", "words", "coverage"), h, strict=True)) for h in (scanner.scan(x) if x else [])] for x in b.column(len(keep)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(out, pa.list_(hit))], names=[*keep, "matches"])
+            out = [[dict(zip(("license", "start", "stop", "words", "coverage"), h, strict=True)) for h in (scanner.scan(x) if x else [])] for x in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.list_(hit))], names=["row", "matches"])
 
-    return docs.select(*keep, text).mapInArrow(run, f"{kinds}, matches array<struct<license: string, start: bigint, stop: bigint, words: bigint, coverage: double>>")
+    found = rows.mapInArrow(run, schema_with([rows.schema["row"]], "matches array<struct<license: string, start: bigint, stop: bigint, words: bigint, coverage: double>>"))
+    return found.select("row.*", "matches")

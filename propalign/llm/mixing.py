@@ -3,28 +3,36 @@
 Every source gets a target number of words; every document of it is expected ``target / size of the source`` times. The
 expected copies are summed along the documents of a source, in the order of their sizes; with one random offset for the
 source, a document is emitted once for each integer that the running sum crosses on it. Since neighbours have like sizes,
-the words taken come near the target, to about the size of the largest document.
+the words taken come near the target, to about the size of the largest document. Where a few documents hold much of a
+source even that can be far, so ``TRIES`` random offsets are drawn for each source, and the one whose words come nearest to
+the target is added.
 
 The running sum needs a document's rank within its source. It comes from counts by (source, band of sizes, salt), summed
 along the bands, and the rank within such a cell; so no task holds a source or a size that many documents share.
 
 Edge cases: a null or empty text has size 0 and costs nothing; it is sampled at the rate of its source. A null source is
-a source, the last in order. If no document has a word, nothing is taken. Rows that repeat are documents of their own.
-Null ids are allowed. Columns pass through; those called ``mix_*`` are replaced.
+a source, the last in order. If no document has a word, nothing is taken. Rows that repeat are documents of their own; of
+rows with equal ids and sizes, the texts' hashes decide the order, so reruns agree. Null ids are allowed; no documents give no
+rows; texts of any length count whole. Columns pass through, whatever their names; those called like a result of
+``systematic_mix`` are replaced there, and kept by ``emit_mix``.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from propalign.llm.tables import unit_hash, word_count
+from propalign.llm.tables import kept_columns, materialise, unit_hash, word_count
 
 #: The weights of the sources in their order, over and over.
 WEIGHTS = (1, 2, 3)
 #: No source, and no document, is taken more often.
 MOST = 3
 SALTS = 64
+#: Random offsets of which the best is taken.
+TRIES = 16
+#: The columns that systematic_mix adds.
+RESULTS = ("mix_size", "mix_source_size", "mix_target", "mix_copies")
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST) -> DataFrame:
@@ -52,61 +60,72 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: i
     )
 
 
-def systematic_mix(
-    docs: DataFrame, source: str = "source", text: str = "text", key: str = "doc_id", seed: int = 7,
-    weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
-) -> DataFrame:
-    """The rows of docs with ``mix_size``, ``mix_source_size``, ``mix_target`` and ``mix_copies`` (0 to most)."""
-    ours = [c for c in docs.columns if c.startswith("mix_")]
-    rows = docs.drop(*ours).withColumns(
-        {
-            "mix_source": F.col(source),
-            "mix_size": word_count(F.col(text)),
-            "_salt": F.pmod(F.conv(F.substring(F.md5(F.coalesce(F.col(key).cast("string"), F.lit(""))), 1, 4), 16, 10).cast("int"), F.lit(SALTS)),
-        }
-    ).withColumn("_bits", F.length(F.bin("mix_size")))
+def _copies(rank: Column, rate: Column, offset: Column) -> Column:
+    return F.floor(rank * rate + offset) - F.floor((rank - 1) * rate + offset)
+
+
+def _mixed(docs: DataFrame, keep: list[Column], source: str, text: str, key: str, seed: int, weights: tuple[int, ...], most: int) -> DataFrame:
+    """(row: a struct of the columns keep, and RESULTS)."""
+    own = lambda c: F.col(f"`{c}`")
+    rows = docs.select(
+        F.struct(*keep).alias("row"), own(source).alias("mix_source"), word_count(own(text)).alias("mix_size"), own(key).alias("key"), F.xxhash64(own(text)).alias("hash"),
+        F.pmod(F.conv(F.substring(F.md5(F.coalesce(own(key).cast("string"), F.lit(""))), 1, 4), 16, 10).cast("int"), F.lit(SALTS)).alias("salt"),
+    )
     # Bands of sizes: exact below 64, then 16 for each power of two.
-    coarse = F.col("_bits") * 16 + F.call_function("shiftright", F.col("mix_size"), F.col("_bits") - 5)
-    rows = rows.withColumn("_band", F.when(F.col("mix_size") < 64, F.col("mix_size")).otherwise(coarse)).drop("_bits")
-    cells = rows.groupBy("mix_source", "_band", "_salt").agg(F.count("*").alias("_n"), F.sum("mix_size").alias("_words"))
-    targets = source_targets(
-        cells.groupBy("mix_source").agg(F.sum("_words").cast("long").alias("mix_source_size")), weights, most
+    bits = F.length(F.bin("mix_size"))
+    coarse = bits * 16 + F.call_function("shiftright", F.col("mix_size"), bits - 5)
+    rows = rows.withColumn("band", F.when(F.col("mix_size") < 64, F.col("mix_size")).otherwise(coarse))
+    light = materialise(rows.drop("row"))
+    cells = light.groupBy("mix_source", "band", "salt").agg(F.count("*").alias("n"), F.sum("mix_size").alias("words"))
+    targets = source_targets(cells.groupBy("mix_source").agg(F.sum("words").cast("long").alias("mix_source_size")), weights, most)
+    name = F.coalesce("mix_source", F.lit("\x01null"))
+    targets = targets.select(
+        F.col("mix_source").alias("_s"), "mix_source_size", "mix_target",
+        F.when(F.col("mix_source_size") > 0, F.col("mix_target") / F.col("mix_source_size")).otherwise(F.lit(0.0)).alias("rate"),
+        F.array(*[unit_hash(F.lit(str(seed)), F.lit(str(j)), name) for j in range(TRIES)]).alias("offsets"),
     )
     # Ranks before a cell: those of the source's bands before, and those of the band's salts before. A source has some
     # hundred bands and a band SALTS salts, whatever the corpus.
-    by_band = Window.partitionBy("mix_source").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
-    by_salt = Window.partitionBy("mix_source", "_band").orderBy("_salt").rowsBetween(Window.unboundedPreceding, -1)
-    bands = cells.groupBy(F.col("mix_source").alias("_s"), F.col("_band").alias("_b")).agg(F.sum("_n").alias("_k"))
-    bands = bands.withColumnRenamed("_s", "mix_source").withColumn("_lower", F.coalesce(F.sum("_k").over(by_band), F.lit(0)))
-    bands = bands.select(F.col("mix_source").alias("_s"), "_b", "_lower")
-    cells = cells.withColumn("_within", F.coalesce(F.sum("_n").over(by_salt), F.lit(0)))
-    cells = cells.join(bands, cells["mix_source"].eqNullSafe(bands["_s"]) & (cells["_band"] == bands["_b"]))
-    cells = cells.select("mix_source", "_band", "_salt", (F.col("_lower") + F.col("_within")).alias("_before"))
-    same = lambda a, b, names: [a[n].eqNullSafe(b[n]) for n in names]
-    cells = cells.join(targets, same(cells, targets, ["mix_source"])).select(
-        cells["mix_source"].alias("_c_source"), F.col("_band").alias("_c_band"), F.col("_salt").alias("_c_salt"),
-        "_before", "mix_source_size", "mix_target",
-    )
-    placed = rows.join(
-        cells,
-        rows["mix_source"].eqNullSafe(cells["_c_source"]) & (rows["_band"] == cells["_c_band"]) & (rows["_salt"] == cells["_c_salt"]),
-    )
-    within = Window.partitionBy("mix_source", "_band", "_salt").orderBy("mix_size", key)
-    rate = F.when(F.col("mix_source_size") > 0, F.col("mix_target") / F.col("mix_source_size")).otherwise(F.lit(0.0))
-    offset = unit_hash(F.lit(str(seed)), F.coalesce(F.col("mix_source"), F.lit("\x01null")))
-    return (
-        placed.withColumn("_rank", F.col("_before") + F.row_number().over(within))
-        .withColumn("_rate", rate)
-        .withColumn("_offset", offset)
-        .withColumn(
-            "mix_copies",
-            (F.floor(F.col("_rank") * F.col("_rate") + F.col("_offset")) - F.floor((F.col("_rank") - 1) * F.col("_rate") + F.col("_offset"))).cast("int"),
-        )
-        .drop("_c_source", "_c_band", "_c_salt", "_before", "_band", "_salt", "_rank", "_rate", "_offset", "mix_source")
+    by_band = Window.partitionBy("_s").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
+    by_salt = Window.partitionBy("mix_source", "band").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
+    bands = cells.groupBy(F.col("mix_source").alias("_s"), F.col("band").alias("_b")).agg(F.sum("n").alias("k"))
+    bands = bands.withColumn("lower", F.coalesce(F.sum("k").over(by_band), F.lit(0)))
+    cells = cells.withColumn("within", F.coalesce(F.sum("n").over(by_salt), F.lit(0)))
+    cells = cells.join(bands, cells["mix_source"].eqNullSafe(bands["_s"]) & (cells["band"] == bands["_b"])).drop("_s")
+    cells = cells.join(targets, cells["mix_source"].eqNullSafe(targets["_s"]))
+    cells = materialise(cells.select(
+        F.col("mix_source").alias("c_source"), F.col("band").alias("c_band"), F.col("salt").alias("c_salt"), (F.col("lower") + F.col("within")).alias("before"),
+        "mix_source_size", "mix_target", "rate", "offsets",
+    ))
+
+    def ranked(of: DataFrame, cells: DataFrame) -> DataFrame:
+        placed = of.join(cells, of["mix_source"].eqNullSafe(cells["c_source"]) & (of["band"] == cells["c_band"]) & (of["salt"] == cells["c_salt"]))
+        within = Window.partitionBy("mix_source", "band", "salt").orderBy("mix_size", "key", "hash")
+        return placed.withColumn("rank", F.col("before") + F.row_number().over(within))
+
+    taken = ranked(light, cells).groupBy(F.col("mix_source").alias("_s")).agg(
+        F.first("mix_target").alias("_t"), F.first("offsets").alias("_o"),
+        *[F.sum(F.col("mix_size") * _copies(F.col("rank"), F.col("rate"), F.col("offsets")[j])).alias(f"_{j}") for j in range(TRIES)],
     )
+    best = F.array_min(F.array(*[F.struct(F.abs(F.col(f"_{j}") - F.col("_t")).alias("far"), F.lit(j).alias("j")) for j in range(TRIES)]))["j"]
+    chosen = materialise(taken.select("_s", F.get("_o", best).alias("offset")))
+    cells = cells.join(chosen, cells["c_source"].eqNullSafe(chosen["_s"])).drop("_s", "offsets")
+    out = ranked(rows, cells).withColumn("mix_copies", _copies(F.col("rank"), F.col("rate"), F.col("offset")).cast("int"))
+    return out.select("row", *RESULTS)
 
 
-def emit_mix(docs: DataFrame, **how) -> DataFrame:
+def systematic_mix(
+    docs: DataFrame, source: str = "source", text: str = "text", key: str = "doc_id", seed: int = 7,
+    weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
+) -> DataFrame:
+    """The rows of docs with ``mix_size``, ``mix_source_size``, ``mix_target`` and ``mix_copies`` (0 to most)."""
+    return _mixed(docs, kept_columns(docs, docs.columns, RESULTS), source, text, key, seed, weights, most).select("row.*", *RESULTS)
+
+
+def emit_mix(
+    docs: DataFrame, source: str = "source", text: str = "text", key: str = "doc_id", seed: int = 7,
+    weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
+) -> DataFrame:
     """The mix itself: each row of docs as often as it is taken, with the columns of docs."""
-    mixed = systematic_mix(docs, **how).where("mix_copies > 0")
-    return mixed.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies")))).select(*[F.col(c) for c in docs.columns])
+    mixed = _mixed(docs, kept_columns(docs, docs.columns, ()), source, text, key, seed, weights, most).where("mix_copies > 0")
+    return mixed.select("row", F.explode(F.sequence(F.lit(1), F.col("mix_copies")))).select("row.*")

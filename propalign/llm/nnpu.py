@@ -3,14 +3,15 @@
 A linear model over counts of a text (bytes, words, lines) is fitted to trusted positives and unlabelled web text. With
 the class prior p, the risk is ``p * E+[loss(+)] + max(0, Eu[loss(-)] - p * E+[loss(-)])``; where the second part would fall
 below zero, its gradient is stepped up instead, which keeps the model from fitting the unlabelled sample. Labels
-``quality = 1`` are the positives; documents without a label are the unlabelled ones; the prior is the share of positives
-among labels of the training folds.
+``quality = 1`` are the positives; the corpus as it is, whatever its labels, is the unlabelled text; the prior is the share of
+positives among labels of the training folds.
 
-The fit sees at most ``POSITIVES`` and ``UNLABELLED`` documents, those with the smallest hashes of their ids: a bounded,
-documented sample. Every document is scored, by its whole text.
+The fit sees at most ``POSITIVES`` and ``UNLABELLED`` documents of the training folds, those with the smallest hashes of their
+ids: a bounded, documented sample. Every document is scored, by its whole text.
 
-Edge cases: a null or empty text scores by its (zero) counts; a null id is never held out. Without positives or unlabelled
-documents in the training folds every score is the prior (0.5 without labels). Rows and ids may repeat.
+Edge cases: a null or empty text scores by its (zero) counts; a null id is never held out. Without positives or other
+documents in the training folds every score is the prior (0.5 without labels). Rows and ids may repeat; of an id with many rows
+the fit sees one. No documents give no rows. Columns may have any name; one that is called like the score is replaced.
 """
 
 from __future__ import annotations
@@ -22,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from propalign.llm.tables import kept_columns, schema_with
+
 POSITIVES = 6_000
 UNLABELLED = 12_000
 #: Learning labels from this share of folds: crc32 of the id as text, modulo FOLDS; HELD is the fold never learned from.
@@ -59,16 +62,15 @@ def text_features(text: str | None) -> np.ndarray:
     return out
 
 
-def features(docs: DataFrame, text: str, keep: list[str]) -> DataFrame:
-    """The columns keep, and the features as float32 bytes."""
-    kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
+def features(rows: DataFrame) -> DataFrame:
+    """(row, features as float32 bytes) of (row, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            found = [text_features(x).tobytes() for x in b.column(len(keep)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(found, pa.binary())], names=[*keep, "features"])
+            found = [text_features(x).tobytes() for x in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["row", "features"])
 
-    return docs.select(*keep, text).mapInArrow(run, f"{kinds}, features binary")
+    return rows.mapInArrow(run, schema_with([rows.schema["row"]], "features binary"))
 
 
 def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int = 1500, rate: float = 0.02, decay: float = 1e-4) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -98,16 +100,18 @@ def train(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "do
     n, share = known.agg(F.count("*"), F.avg((F.col(good) == 1).cast("double"))).first()
     # The prior may not be 0 or 1: then one class would have no say.
     prior = float(np.clip(share, 0.02, 0.98)) if n else 0.5
-    small = F.xxhash64(F.col(key))
-    ids = docs.select(key).where(F.col(key).isNotNull() & ~held_out(F.col(key))).distinct()
+    docs, known = docs.select(F.col(f"`{key}`").alias("id"), F.col(f"`{text}`").alias("text")), known.select(F.col(key).alias("id"), F.col(good).alias("good"))
+    small = F.xxhash64("id")
+    ids = docs.select("id").where(F.col("id").isNotNull() & ~held_out(F.col("id"))).distinct()
     chosen = {
-        1: known.where(F.col(good) == 1).select(key).distinct().join(ids, key, "left_semi").orderBy(small, key).limit(positives),
-        0: ids.join(labels.where(F.col(key).isNotNull()).select(key), key, "left_anti").orderBy(small, key).limit(unlabelled),
+        1: known.where("good = 1").select("id").distinct().join(ids, "id", "left_semi").orderBy(small, "id").limit(positives),
+        0: ids.orderBy(small, "id").limit(unlabelled),
     }
-    picked = chosen[1].withColumn("_y", F.lit(1)).unionByName(chosen[0].withColumn("_y", F.lit(0)))
-    # At most positives + unlabelled ids: a fixed bound, so the broadcast and what returns are bounded.
-    rows = features(docs.join(F.broadcast(picked), key), text, ["_y"]).collect()
-    x = {y: np.array([np.frombuffer(r["features"], dtype=np.float32) for r in rows if r["_y"] == y], dtype=float) for y in (0, 1)}
+    picked = chosen[1].withColumn("y", F.lit(1)).unionByName(chosen[0].withColumn("y", F.lit(0)))
+    # At most positives + unlabelled ids, and a row of each: a fixed bound, so the broadcast and what returns are bounded.
+    rows = features(docs.join(F.broadcast(picked.select("id").distinct()), "id").select(F.col("id").alias("row"), "text")).groupBy(F.col("row").alias("id")).agg(F.min("features").alias("features"))
+    rows = rows.join(F.broadcast(picked), "id").select("y", "features").collect()
+    x = {y: np.array([np.frombuffer(r["features"], dtype=np.float32) for r in rows if r["y"] == y], dtype=float) for y in (0, 1)}
     if not len(x[0]) or not len(x[1]):
         return {"prior": prior, "weights": None}
     w, mean, scale = fit_nnpu(x[1], x[0], prior)
@@ -116,22 +120,22 @@ def train(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "do
 
 def score(docs: DataFrame, model: dict, text: str = "text", name: str = "score") -> DataFrame:
     """docs with the chance, by the model, that a text is of good quality."""
-    kinds = [*[(f.name, f.dataType.simpleString()) for f in docs.schema], (name, "double")]
-    place = docs.columns.index(text)
+    rows = docs.select(F.struct(*kept_columns(docs, docs.columns, [name])).alias("row"), F.col(f"`{text}`").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if model["weights"] is None:
                 s = np.full(b.num_rows, model["prior"])
             else:
-                x = np.array([text_features(t) for t in b.column(place).to_pylist()], dtype=float).reshape(b.num_rows, -1)
+                x = np.array([text_features(t) for t in b.column(1).to_pylist()], dtype=float).reshape(b.num_rows, -1)
                 z = np.clip((x - model["mean"]) / model["scale"], -8, 8) @ model["weights"][:-1] + model["weights"][-1]
                 s = 1 / (1 + np.exp(-np.clip(z, -35, 35)))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64())], names=[n for n, _ in kinds])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s, pa.float64())], names=["row", "found"])
 
-    return docs.mapInArrow(run, ", ".join(f"`{n}` {k}" for n, k in kinds))
+    out = rows.mapInArrow(run, schema_with([rows.schema["row"]], "found double"))
+    return out.select("row.*", F.col("found").alias(name))
 
 
-def quality_classifier(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", good: str = "quality") -> DataFrame:
-    """docs with ``score``; those of 0.5 or more count as good."""
-    return score(docs, train(docs, labels, text, key, good), text)
+def quality_classifier(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", good: str = "quality", name: str = "score") -> DataFrame:
+    """docs with the score, called name; those of 0.5 or more count as good."""
+    return score(docs, train(docs, labels, text, key, good), text, name)

@@ -6,7 +6,7 @@ Tokenising, trained models, byte matches, bootstrapped patterns and alignment ar
 from __future__ import annotations
 
 from propalign.llm import quality_rules as qr
-from propalign.llm.mixing import MOST, SALTS, WEIGHTS
+from propalign.llm.mixing import MOST, SALTS, TRIES, WEIGHTS
 from propalign.llm.url_filter import RULES
 
 _SPLIT = "list_filter(regexp_split_to_array(coalesce({0}, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '')"
@@ -70,9 +70,12 @@ s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, {_WEIGHT}[(row_nu
 c AS (SELECT *, source_size * {float(MOST)} AS cap, source_size * {float(MOST)} / w AS ratio, CAST(sum(source_size) OVER () AS DOUBLE) AS total FROM s),
 l AS (SELECT *, (total - coalesce(sum(cap) OVER (ORDER BY ratio, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) / sum(w) OVER (ORDER BY ratio, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM c),
 t AS (SELECT source, source_size, least(cap, coalesce((SELECT level FROM l WHERE level <= ratio ORDER BY ratio LIMIT 1), 0) * w) AS target FROM l),
-r AS (SELECT b.*, source_size, target, row_number() OVER (PARTITION BY b.source ORDER BY band, salt, size, doc_id) AS k, CASE WHEN source_size > 0 THEN target / source_size ELSE 0.0 END AS rate,
- CAST('0x' || substr(md5('7:' || coalesce(b.source, chr(1) || 'null')), 1, 8) AS BIGINT) / 4294967296.0 AS o FROM b JOIN t ON b.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target, size * CAST(floor(k * rate + o) - floor((k - 1) * rate + o) AS BIGINT) AS taken FROM r
+r AS (SELECT b.*, source_size, target, row_number() OVER (PARTITION BY b.source ORDER BY band, salt, size, doc_id) AS k, CASE WHEN source_size > 0 THEN target / source_size ELSE 0.0 END AS rate
+ FROM b JOIN t ON b.source IS NOT DISTINCT FROM t.source),
+o AS (SELECT source, j, CAST('0x' || substr(md5('7:' || j || ':' || coalesce(source, chr(1) || 'null')), 1, 8) AS BIGINT) / 4294967296.0 AS o FROM t, range({TRIES}) x(j)),
+w AS (SELECT o.source, j, o, sum(size * CAST(floor(k * rate + o) - floor((k - 1) * rate + o) AS BIGINT)) AS words, any_value(target) AS target FROM r JOIN o ON r.source IS NOT DISTINCT FROM o.source GROUP BY ALL),
+best AS (SELECT source, arg_min(o, (abs(words - target), j)) AS o FROM w GROUP BY source)
+SELECT doc_id, size, source_size, target, size * CAST(floor(k * rate + o) - floor((k - 1) * rate + o) AS BIGINT) AS taken FROM r JOIN best ON r.source IS NOT DISTINCT FROM best.source
 """
 
 OP9 = f"""

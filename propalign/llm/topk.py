@@ -2,17 +2,19 @@
 
 Vectors are keyed by their nearest pivot and their distance to it, cut into annuli; an annulus with many vectors is cut
 into blocks. For a query q and a vector x at distance d from pivot p, the triangle inequality bounds the score:
-``q.x <= q.p + |q| d`` and ``q.x <= (|q|^2 + |x|^2 - (|q-p| - d)^2) / 2``. Each query first searches the blocks with the
-highest bounds, which gives it a score to beat; then only blocks whose bound reaches that score are searched, in blocks of
-queries. Results are exact whatever the pivots; they are a bounded sample and decide only how much is searched.
+``q.x <= q.p + |q| d`` and ``q.x <= (|q|^2 + |x|^2 - (|q-p| - d)^2) / 2``. Queries of one pivot go in groups. A group sorts the
+annuli of all pivots by the highest bound that one of its queries has there, and expands them in this order, in rounds of
+twice as many each. After a round each query has a score to beat; it passes over annuli whose bound is below, and a group
+stops where none of its queries has an annulus left. Results are exact whatever the pivots; they are a bounded sample and
+decide only how much is searched.
 
 Components become integers ``floor(scale * x)``; scores are integer inner products.
 
 Edge cases: vectors that are null, or hold null or non-finite components, take no part. Shorter vectors count as ending in
 zeros; empty ones score 0. With fewer candidates than k, all are returned. Ties go to the smaller id. Only other *rows* are
 candidates; a row with the query's id is the query itself. Rows that repeat an id count each: as candidates, and as queries,
-whose results are ranked together. Null ids take no part. Components stay exact up to 2**53 in
-a score.
+whose results are ranked together. Null ids take no part. Components stay exact up to 2**53 in a score. No rows give no
+rows. Only the key and the vector are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -33,6 +35,8 @@ K = 5
 PIVOTS = 24
 #: Annuli of a pivot, vectors of a block, and queries of a block.
 ANNULI, BLOCK, QUERIES = 4, 2048, 512
+#: Annuli that a group expands in the first round; each round after it takes twice as many.
+FIRST = 16
 
 
 def integer_vectors(rows: DataFrame, key: str, vector: str, scale: int = SCALE) -> DataFrame:
@@ -116,8 +120,11 @@ def _best(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embedding", k: int = K, scale: int = SCALE) -> DataFrame:
-    """(query_id, rank, key, score) for the rows that is_query (a column) picks, against all rows."""
+def top_k(
+    rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embedding", k: int = K, scale: int = SCALE, report: list | None = None,
+) -> DataFrame:
+    """(query_id, rank, key, score) for the rows that is_query (a column) picks, against all rows. report: a list that gets the
+    number of scores computed in each round."""
     vectors = integer_vectors(rows, key, vector, scale)
     width = vectors.agg(F.coalesce(F.max(F.size("v")), F.lit(0))).first()[0]
     chosen = vectors.orderBy(F.xxhash64("id"), "id").limit(PIVOTS).collect()  # a fixed number
@@ -126,49 +133,59 @@ def top_k(rows: DataFrame, is_query, key: str = "vec_id", vector: str = "embeddi
         pivots[i, : len(r["v"])] = r["v"]
     index = materialise(pivot_index(vectors, pivots, width))
     blocks = materialise(_blocks(index, width))
-    near = F.pmod(F.xxhash64("id"), F.lit(1 << 30))
     queries = index.where(is_query(F.col("id")))
-    # Queries of a pivot, in blocks. The number of blocks follows the number of queries.
-    sizes = queries.groupBy("pivot").agg(F.ceil(F.count("*") / QUERIES).alias("parts"))
-    asked = queries.join(F.broadcast(sizes), "pivot").withColumn("part", F.pmod(near, F.col("parts")))
-
-    def pairs(of: DataFrame, wanted: DataFrame, floor) -> DataFrame:
-        """Blocks of queries with the blocks that they are to search; wanted: (pivot, part, block)."""
-        # Queries go to the blocks: a vector is moved once, a query once for each block that it searches.
-        packed = of.groupBy("pivot", "part").agg(F.collect_list(F.struct("id", "v", floor.cast("double").alias("floor"))).alias("queries"))
-        return packed.join(wanted, ["pivot", "part"]).join(blocks.select("block", "members"), "block")
-
-    # First the blocks of a query's own pivot: the innermost annuli around the query's distance bound best.
-    groups = asked.select("pivot", "part").distinct()
-    own = groups.join(blocks.select("pivot", "block"), "pivot")
-    first = materialise(_search(pairs(asked, own, F.lit(float("-inf"))), k, width))
-    floor = _best(first, k).groupBy("q").agg(F.when(F.count("*") >= k, F.min("score")).alias("floor"))
-    bounded = materialise(asked.join(floor, asked["id"] == floor["q"], "left").select("id", "v", "norm", "pivot", "part", F.coalesce(F.col("floor").cast("double"), F.lit(float("-inf"))).alias("floor")))
-
-    # Then every block of another pivot whose bound reaches some query's floor.
-    heads = blocks.groupBy("pivot", "ring").agg(F.min("d_low").alias("d_low"), F.max("d_high").alias("d_high"), F.max("norm_high").alias("norm_high"))
-    rings = {(r["pivot"], r["ring"]): (r["d_low"], r["d_high"], r["norm_high"]) for r in heads.collect()}  # at most PIVOTS * ANNULI
-    names = sorted(rings)
-    limits = np.array([rings[n] for n in names]).reshape(-1, 3)
-    of_pivot = np.array([n[0] for n in names], dtype=int)
-
-    def reach(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            q, own_pivot, floors, norm = _matrix(b.column(0), width), b.column(1).to_numpy(), b.column(3).to_numpy(), b.column(4).to_numpy()
-            at = q @ pivots.T
-            apart = np.sqrt(np.maximum(0, norm[:, None] + (pivots * pivots).sum(1)[None, :] - 2 * at))[:, of_pivot]
-            by_ball = at[:, of_pivot] + np.sqrt(norm)[:, None] * limits[None, :, 1]
-            gap = np.maximum(0, np.maximum(limits[None, :, 0] - apart, apart - limits[None, :, 1]))
-            by_ring = (norm[:, None] + limits[None, :, 2] - gap**2) / 2
-            ok = (np.minimum(by_ball, by_ring) + 1e-3 * (1 + np.abs(floors[:, None]) * 1e-6) >= floors[:, None]) & (of_pivot[None, :] != own_pivot[:, None])
-            i, j = np.nonzero(ok)
-            yield pa.RecordBatch.from_arrays(
-                [b.column(1).take(pa.array(i)), b.column(2).take(pa.array(i)), pa.array(np.array([n[0] for n in names], dtype=np.int32)[j]), pa.array(np.array([n[1] for n in names], dtype=np.int32)[j])],
-                names=["pivot", "part", "b_pivot", "b_ring"],
-            )
-
-    open_rings = bounded.select("v", "pivot", "part", "floor", "norm").mapInArrow(reach, "pivot int, part long, b_pivot int, b_ring int").distinct()
-    wanted = open_rings.join(blocks.select(F.col("pivot").alias("b_pivot"), F.col("ring").alias("b_ring"), "block"), ["b_pivot", "b_ring"]).select("pivot", "part", "block")
-    rest = _search(pairs(bounded, wanted, F.col("floor")), k, width)
-    best = _best(first.unionByName(rest), k)
+    # Groups of queries; their number follows that of the queries.
+    sizes = queries.groupBy("pivot").agg(F.ceil(F.count("*") / QUERIES).alias("parts"))  # a row for each pivot
+    part = F.pmod(F.xxhash64("id"), F.col("parts"))
+    asked = materialise(queries.join(F.broadcast(sizes), "pivot").select(F.xxhash64("pivot", part).alias("g"), "id", "v", "norm"))
+
+    heads = blocks.groupBy("pivot", "ring").agg(F.min("d_low"), F.max("d_high"), F.max("norm_high")).collect()  # at most PIVOTS * ANNULI
+    near, far, norms = (np.array([h[j] for h in heads]) for j in (2, 3, 4))
+    of_pivot, of_ring = (np.array([h[j] for h in heads], dtype=np.int32) for j in (0, 1))
+
+    def bounds(q: np.ndarray, norm: np.ndarray) -> np.ndarray:
+        """The most that each query can score in each annulus, and a little more, for rounding."""
+        at = q @ pivots.T
+        apart = np.sqrt(np.maximum(0, norm[:, None] + (pivots * pivots).sum(1)[None, :] - 2 * at))[:, of_pivot]
+        by_ball = at[:, of_pivot] + np.sqrt(norm)[:, None] * far[None, :]
+        gap = np.maximum(0, np.maximum(near[None, :] - apart, apart - far[None, :]))
+        best = np.minimum(by_ball, (norm[:, None] + norms[None, :] - gap**2) / 2)
+        return best + 1e-9 * np.abs(best) + 1e-3
+
+    def expand(first: int, last: int):
+        """(pivot, ring, queries): the annuli at these places of each group's order, with its queries that can gain there."""
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for members in batch.column(0):
+                    m = members.values
+                    bound = bounds(_matrix(m.field("v"), width), m.field("norm").to_numpy())
+                    can = bound >= m.field("floor").to_numpy()[:, None]
+                    told = pa.StructArray.from_arrays([m.field("id"), m.field("v"), m.field("floor")], names=["id", "v", "floor"])
+                    for j in np.argsort(-bound.max(0), kind="stable")[first:last]:
+                        mine = np.flatnonzero(can[:, j])
+                        if len(mine):
+                            packed = pa.ListArray.from_arrays(pa.array([0, len(mine)], pa.int32()), told.take(pa.array(mine)))
+                            yield pa.RecordBatch.from_arrays([pa.array(of_pivot[j : j + 1]), pa.array(of_ring[j : j + 1]), packed], names=["pivot", "ring", "queries"])
+
+        return run
+
+    floor = F.lit(float("-inf")).alias("floor")
+    best, first, take = None, 0, FIRST
+    while first < len(heads) or best is None:
+        if best is not None:
+            beaten = best.groupBy("q").agg(F.when(F.count("*") >= k, F.min("score").cast("double")).alias("worst"))
+            members = asked.join(beaten, asked["id"] == beaten["q"], "left")
+            floor = F.coalesce("worst", F.lit(float("-inf"))).alias("floor")
+        else:
+            members = asked
+        # A query's vector is moved once, and then once for each annulus that it searches.
+        groups = members.select("g", F.struct("id", "v", "norm", floor).alias("m")).groupBy("g").agg(F.collect_list("m").alias("members")).select("members")
+        opened = groups.mapInArrow(expand(first, first + take), "pivot int, ring int, queries array<struct<id: bigint, v: array<double>, floor: double>>")
+        pairs = opened.join(blocks.select("pivot", "ring", "members"), ["pivot", "ring"])
+        if report is not None:
+            report.append(pairs.agg(F.coalesce(F.sum(F.size("queries").cast("long") * F.size("members")), F.lit(0))).first()[0])
+        found = _search(pairs, k, width)
+        best = materialise(_best(found if best is None else best.select("q", "id", "score").unionByName(found), k))
+        first, take = first + take, 2 * take
     return best.select(F.col("q").alias("query_id"), "rank", F.col("id").alias(key), "score")

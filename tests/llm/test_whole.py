@@ -247,3 +247,20 @@ def test_the_classifier_reads_one_row_of_an_id(spark):
     labels = spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(400)], "doc_id long, quality int")
     out = {(r["doc_id"], r["text"][:3]): r["score"] for r in quality_classifier(docs, labels).collect()}
     assert np.mean([(out[i, t[:3]] >= 0.5) == (t[:3] != "###") for i, t in rows[:400]]) > 0.97
+
+
+def test_annuli_are_left_out_where_bounds_allow(spark):
+    """Clusters far apart: the annuli of other clusters are never searched, and results are those of brute force."""
+    rng = np.random.default_rng(26)
+    centres = rng.normal(size=(12, 8)) * 6
+    rows = [(i, [float(v) for v in centres[i % 12] + rng.normal(size=8) / 20]) for i in range(3000)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(4)
+    report = []
+    got = sorted(tuple(r) for r in top_k(df, lambda c: c % 50 == 0, report=report).collect())
+    x = np.floor(256 * np.array([v for _, v in rows]))
+    want = []
+    for q in range(0, 3000, 50):
+        s = x @ x[q]
+        want += [(q, k + 1, i, int(v)) for k, (v, i) in enumerate(sorted(((-s[i], i) for i in range(3000) if i != q))[:5])]
+    assert got == sorted((q, k, i, -v) for q, k, i, v in want)
+    assert 0 < sum(report) < 0.6 * 60 * 3000, report

@@ -2,6 +2,9 @@
 
 Each stage takes all documents that its predecessor kept and returns a DataFrame, which is written as Parquet and read
 again for the next. All but the last return the columns of documents.
+
+Every stage takes null, empty and very long texts, null and repeated ids, repeated rows, tables without rows, and further columns
+of any name, which it passes on; what becomes of these is told at each stage.
 """
 
 from __future__ import annotations
@@ -13,16 +16,28 @@ from pyspark.sql import functions as F
 
 from propalign.llm.minhash import one_of_each
 from propalign.llm.mixing import emit_mix
-from propalign.llm.nnpu import quality_classifier
+from propalign.llm.nnpu import score, train
 from propalign.llm.packing import best_fit_packing
 from propalign.llm.pii import redact
 from propalign.llm.tables import materialise, table
 
 
+def _unused(docs: DataFrame, name: str) -> str:
+    """name, longer by as many letters as it takes to be no column of docs."""
+    taken = {c.lower() for c in docs.columns}
+    while name in taken:
+        name += "_"
+    return name
+
+
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the positive-unlabelled classifier doesn't reject."""
-    scored = quality_classifier(docs, table(spark, sf_dir, "labels"))
-    return scored.where("score >= 0.5").select(*docs.columns)
+    """Documents that the positive-unlabelled classifier doesn't reject. Each row is judged by its own text; null and empty texts
+    by their zero counts. Where labels are too few to learn from, nothing is rejected."""
+    model = train(docs, table(spark, sf_dir, "labels"))
+    if model["weights"] is None:
+        return docs
+    name = _unused(docs, "pipeline_score")
+    return score(docs, model, name=name).where(F.col(name) >= 0.5).drop(name)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,17 +47,22 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, with personal data replaced by its kind."""
-    return redact(docs).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    """All rows, with personal data replaced by its kind, and n_chars counted anew. Null texts stay null, with their n_chars;
+    repeated rows are redacted each."""
+    out = redact(docs)
+    kind = docs.schema["n_chars"].dataType
+    return out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(kind)))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it."""
+    """Each row as often as the mix takes it, none at most three times its source's size. Texts without a word are taken at their
+    source's rate; a null source is a source; repeated rows are rows of their own."""
     return emit_mix(docs)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The pieces of all documents with their places in sequences."""
+    """The pieces of all rows with their places in sequences. A null or empty text is one piece, its end token; rows that the mix
+    repeats have pieces each."""
     return best_fit_packing(docs)
 
 

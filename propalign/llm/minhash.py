@@ -49,6 +49,8 @@ LOOSE = 56
 BROADCAST_LEADERS = 1_000_000
 #: Members of a block.
 BLOCK = 512
+#: Classes whose bucket keys a task makes.
+TASK_CLASSES = 50_000
 
 _rng = np.random.default_rng(911)
 _MULTIPLY = _rng.integers(1, 2**63, size=HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -275,7 +277,8 @@ def _components(docs: DataFrame, loose: int) -> tuple[DataFrame, DataFrame]:
     classes = base.where("same is not null").groupBy("same").agg(F.min("uid").alias("c"), F.max("sig").alias("sig"), F.min(F.struct("uid", "id")).alias("x"))
     classes = materialise(classes.select("c", "same", "sig", F.col("x.id").alias("m_id")))
     members = classes.select("c", "same", "m_id")
-    buckets = _bucket_keys(classes)
+    # A class has 80 keys; so tasks are cut by classes, not by their bytes.
+    buckets = _bucket_keys(classes.repartition(max(2 * docs.sparkSession.sparkContext.defaultParallelism, classes.count() // TASK_CLASSES + 1)))
     # Only keys that two classes share matter. Tables are written so that the joins have an exchange on both sides and large
     # keys can be split.
     shared = materialise(buckets.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1"))

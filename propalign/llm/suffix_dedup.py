@@ -47,7 +47,7 @@ FEW = 48
 #: Windows in a run, level by level, for anchors with many stretches: of bytes, and of words.
 RUNS, WORD_RUNS = (301, 40, 6, 1), (41, 12, 3, 1)
 #: Bytes of text that are hashed at a time.
-BLOCK = 2_000_000
+BLOCK = 1_000_000
 
 
 def _slide_min(x: np.ndarray, width: int) -> np.ndarray:

@@ -19,6 +19,8 @@ HASHES = {"minhash": 500, "projection": 1000}
 #: Band sizes of the sweep.
 BANDS = [*range(1, 11), *range(15, 55, 5)]
 PRIME = (1 << 31) - 1
+#: States that a task holds at a time: of 1000 numbers each, 32 MB.
+HELD = 4_000
 
 
 def coefficients(n: int) -> list[tuple[int, int]]:
@@ -45,8 +47,8 @@ def elements(instances: DataFrame, element: str = "token") -> DataFrame:
 def _signatures(elements_: DataFrame, n_hash: int, variant: str) -> DataFrame:
     """(property, state): minima, or sums of signs, over a property's words.
 
-    Tasks fold their rows into one state for each property, which are then brought together by property and folded again:
-    hundreds of plain aggregates would make code too large to compile. A task holds states, not rows.
+    Tasks fold their rows into states of some properties at a time, which are then brought together in the order of the
+    properties and folded again: hundreds of plain aggregates would make code too large to compile.
     """
     a, b = (np.array(x, dtype=np.int64) for x in zip(*coefficients(n_hash), strict=True))
     fold = np.minimum if variant == "minhash" else np.add
@@ -55,6 +57,12 @@ def _signatures(elements_: DataFrame, n_hash: int, variant: str) -> DataFrame:
         x = (h[:, None] * a + b) % PRIME
         return x if variant == "minhash" else np.where(x % 2 == 0, n[:, None], -n[:, None])
 
+    def batch_of(held: dict[tuple, np.ndarray]) -> pa.RecordBatch:
+        keys = list(held)
+        columns = [pa.array([k[i] for k in keys], pa.string()) for i in range(3)]
+        values = pa.array(np.concatenate(list(held.values())) if held else np.zeros(0, dtype=np.int64), pa.int64())
+        return pa.RecordBatch.from_arrays([*columns, pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1) * n_hash, pa.int32()), values)], names=[*PROPERTY_KEY, "state"])
+
     def folded(batches: Iterator[pa.RecordBatch], first: bool) -> Iterator[pa.RecordBatch]:
         held: dict[tuple, np.ndarray] = {}
         for whole in batches:
@@ -71,16 +79,18 @@ def _signatures(elements_: DataFrame, n_hash: int, variant: str) -> DataFrame:
                 starts = np.flatnonzero(np.concatenate([[True], np.diff(code[order]) > 0]))
                 for k, row in zip(ids, fold.reduceat(x[order], starts), strict=True):
                     held[k] = fold(held[k], row) if k in held else row
-        names = [*PROPERTY_KEY, "state"]
-        keys = list(held)
-        columns = [pa.array([k[i] for k in keys], pa.string()) for i in range(3)]
-        values = pa.array(np.concatenate(list(held.values())) if held else np.zeros(0, dtype=np.int64), pa.int64())
-        yield pa.RecordBatch.from_arrays([*columns, pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1) * n_hash, pa.int32()), values)], names=names)
+                if len(held) > HELD:
+                    # In the second pass rows come in order, so only the last property can have more of them.
+                    last = keys[-1]
+                    rest = {} if first else {last: held.pop(last)}
+                    yield batch_of(held)
+                    held = rest
+        yield batch_of(held)
 
     schema = "cls string, source string, prop string, state array<bigint>"
     rows = elements_.select(*PROPERTY_KEY, word_hash(F.col("word")).alias("h"), "n")
     part = rows.mapInArrow(lambda it: folded(it, True), schema)
-    return part.repartition(*PROPERTY_KEY).mapInArrow(lambda it: folded(it, False), schema)
+    return part.repartition(*PROPERTY_KEY).sortWithinPartitions(*PROPERTY_KEY).mapInArrow(lambda it: folded(it, False), schema)
 
 
 def minhash(elements_: DataFrame, n_hash: int = HASHES["minhash"]) -> DataFrame:

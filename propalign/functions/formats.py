@@ -20,8 +20,10 @@ TOKEN_TYPES = {
 }
 TOKEN_NAMES = list(TOKEN_TYPES)
 META_NAMES = [f"{k}_{n}" for n in CHAR_NAMES for k in ("n", "share")] + [f"{k}_{n}" for n in (f"token_{t}" for t in TOKEN_NAMES) for k in ("n", "share")]
-#: A text is a number only up to this size and in this form; a bare cast would also take suffixes, NaN and infinities.
-LARGEST = 1e12
+#: A text is a number only in this form; a bare cast would also take suffixes, NaN and infinities. One with an exponent is a
+#: number only up to a size, since identifiers such as 12e5678 have that form too; plain digits are one as far as doubles go.
+LARGEST, FINITE = 1e12, 1.7976931348623157e308
+EXPONENT = "[eE]"
 NUMBER = r"^[+-]?([0-9]+\.?[0-9]*|\.[0-9]+)([eE][+-]?[0-9]+)?$"
 
 
@@ -45,8 +47,8 @@ def token_counts(toks: Column) -> dict[str, Column]:
 def numeric(value: Column, missing: float | None = -1.0) -> Column:
     x = F.trim(value)
     read = x.try_cast("double")
-    # Digits around an e, as in identifiers, can read as a number beyond any measure; it would drown a property's mean.
-    got = F.when(x.rlike(NUMBER) & (F.abs(read) <= LARGEST), read)
+    most = F.when(x.rlike(EXPONENT), F.lit(LARGEST)).otherwise(F.lit(FINITE))
+    got = F.when(x.rlike(NUMBER) & (F.abs(read) <= most), read)
     return got if missing is None else F.coalesce(got, F.lit(missing))
 
 

@@ -9,11 +9,11 @@ from __future__ import annotations
 
 import json
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import asdict, dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from propalign.model import PAIR_KEY, FeatureConfig
@@ -50,15 +50,16 @@ class PropertyPairModel:
     profile: DataFrame | None = field(default=None, repr=False)
 
     def save(self, path: str) -> None:
-        with open(path, "w") as f:
-            json.dump({"d": self.d, "config": [self.spec.config.origin, self.spec.config.kind], "mode": self.spec.mode, "network": self.network.to_json()}, f)
+        """One JSON file, on any file system that Spark reaches where path names one."""
+        text = json.dumps({"d": self.d, "spec": asdict(self.spec) | {"network": None}, "network": self.network.to_json()})
+        SparkSession.getActiveSession().createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(path)
 
     @staticmethod
     def load(path: str) -> PropertyPairModel:
-        with open(path) as f:
-            x = json.load(f)
+        x = json.loads("".join(r["value"] for r in SparkSession.getActiveSession().read.text(path).collect()))  # one line
         network = Network.from_json(x["network"])
-        return PropertyPairModel(MatcherSpec(FeatureConfig(*x["config"]), network.spec, x["mode"]), network, x["d"])
+        spec = MatcherSpec(**x["spec"] | {"config": FeatureConfig(**x["spec"]["config"]), "network": network.spec})
+        return PropertyPairModel(spec, network, x["d"])
 
     def score(self, profile_: DataFrame | None = None, exclude: DataFrame | None = None, threshold: float = 0.5, min_score: float = 0.0, include_labelled: bool = False, blocks: int | None = None) -> DataFrame:
         """SIM rows of all pairs but exclude (PAIR rows, usually the labelled ones).
@@ -76,15 +77,30 @@ class PropertyPairModel:
         return sim
 
 
+def _blocks_of(properties: int, cores: int) -> int:
+    """Blocks of about BLOCK properties, or as many more of 32 or more as give every core some tiles."""
+    return max(1, -(-properties // BLOCK), min(-(-properties // 32), int((8 * cores) ** 0.5)))
+
+
 def score_tiles(prof: DataFrame, model: PropertyPairModel, min_score: float = 0.0, blocks: int | None = None) -> DataFrame:
     """(PAIR, score) of all pairs of a class from different sources with at least min_score."""
+    spark = prof.sparkSession
+    cores = spark.sparkContext.defaultParallelism
+    sizes = prof.groupBy("cls").count().agg(F.count("*"), F.max("count")).first()
     if blocks is None:
-        blocks = max(1, -(-(prof.groupBy("cls").count().agg(F.max("count")).first()[0] or 0) // BLOCK))
+        blocks = _blocks_of(sizes[1] or 0, cores)
     rows = prof.select("cls", "source", "prop", vector_of(prof).alias("vec"), F.pmod(F.xxhash64("cls", "source", "prop"), F.lit(blocks)).cast("int").alias("b"))
     packed = rows.groupBy("cls", "b").agg(F.collect_list(F.struct("source", "prop", "vec")).alias("members"))  # about BLOCK of them
-    left = packed.withColumnsRenamed({"b": "i", "members": "left"})
-    right = packed.withColumnsRenamed({"b": "j", "members": "right"})
-    tiles = left.join(right, "cls").where("i <= j").select("cls", "i", "j", "left", "right")
+    # A block goes to each of its tiles, and tiles are dealt to tasks by their own key; the class alone would be one hot key.
+    # The number is given, so that adaptive execution doesn't put small but costly tiles together again.
+    tiles = sizes[0] * blocks * (blocks + 1) // 2
+    tasks = max(1, min(tiles, max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * cores)))
+    side = lambda own, other, places, name: (
+        packed.select("cls", F.col("b").alias(own), F.explode(places).alias(other), F.col("members").alias(name)).repartition(tasks, "cls", "i", "j")
+    )
+    left = side("i", "j", F.sequence(F.col("b"), F.lit(blocks - 1)), "left")
+    right = side("j", "i", F.sequence(F.lit(0), F.col("b")), "right")
+    tiles = left.hint("merge").join(right, ["cls", "i", "j"]).select("cls", "i", "j", "left", "right")
     network, spec, d = model.network, model.spec, model.d
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -189,16 +205,5 @@ def fit_mllib(prof: DataFrame, labels: DataFrame, spec: MatcherSpec, d: int) ->
         at += a * b
         biases.append(flat[at : at + b])
         at += b
-    return PropertyPairModel(spec, SigmoidNetwork(spec.network, mean, scale, weights, biases), d, prof)
-
-
-class SigmoidNetwork(Network):
-    """A network with sigmoid hidden units."""
+    return PropertyPairModel(spec, Network(spec.network, mean, scale, weights, biases, "sigmoid"), d, prof)
 
-    def outputs(self, x: np.ndarray) -> np.ndarray:
-        h = (x - self.mean) / self.scale
-        for w, b in zip(self.weights[:-1], self.biases[:-1], strict=True):
-            h = 1 / (1 + np.exp(-np.clip(h @ w + b, -35, 35)))
-        z = h @ self.weights[-1] + self.biases[-1]
-        z = np.exp(z - z.max(1, keepdims=True))
-        return z / z.sum(1, keepdims=True)

@@ -25,11 +25,14 @@ class Network:
     weights: list[np.ndarray]
     biases: list[np.ndarray]
 
+    activation: str = "rectified"  # or sigmoid, as Spark's perceptron has it
+
     def outputs(self, x: np.ndarray) -> np.ndarray:
         """The two outputs, which add up to 1: no match and match."""
-        h = ((x - self.mean) / self.scale).astype(np.float32)
+        h = ((x - self.mean) / self.scale).astype(self.weights[0].dtype)
         for w, b in zip(self.weights[:-1], self.biases[:-1], strict=True):
-            h = np.maximum(h @ w + b, 0)
+            z = h @ w + b
+            h = np.maximum(z, 0) if self.activation == "rectified" else 1 / (1 + np.exp(-np.clip(z, -35, 35)))
         z = h @ self.weights[-1] + self.biases[-1]
         z = np.exp(z - z.max(1, keepdims=True))
         return z / z.sum(1, keepdims=True)
@@ -38,14 +41,14 @@ class Network:
         return self.outputs(x)[:, 1].astype(float) if len(x) else np.zeros(0)
 
     def to_json(self) -> dict:
-        return {"spec": asdict(self.spec), "mean": self.mean.tolist(), "scale": self.scale.tolist(), "weights": [w.tolist() for w in self.weights], "biases": [b.tolist() for b in self.biases]}
+        return {"spec": asdict(self.spec), "activation": self.activation, "kind": str(self.weights[0].dtype), "mean": self.mean.tolist(), "scale": self.scale.tolist(), "weights": [w.tolist() for w in self.weights], "biases": [b.tolist() for b in self.biases]}
 
     @staticmethod
     def from_json(x: dict) -> Network:
         s = x["spec"]
         spec = NetworkSpec(tuple(s["hidden"]), s["batch"], tuple(map(tuple, s["schedule"])), s["scale"], s["seed"])
-        arrays = lambda k: [np.array(w, dtype=np.float32) for w in x[k]]
-        return Network(spec, np.array(x["mean"]), np.array(x["scale"]), arrays("weights"), arrays("biases"))
+        arrays = lambda k: [np.array(w, dtype=x["kind"]) for w in x[k]]
+        return Network(spec, np.array(x["mean"]), np.array(x["scale"]), arrays("weights"), arrays("biases"), x["activation"])
 
 
 def fit(x: np.ndarray, y: np.ndarray, spec: NetworkSpec = NetworkSpec()) -> Network:

@@ -17,10 +17,7 @@ from propalign.model import PROPERTY_KEY
 #: A lexicon of at most so many words is broadcast (64 doubles each: 100 MB at most); others are shuffled by word.
 BROADCAST_WORDS = 200_000
 
-AGGREGATES = {
-    "mean": F.avg, "min": F.min, "max": F.max, "stddev": F.stddev_pop,
-    "median": lambda c: F.percentile_approx(c, 0.5, 10_000),
-}
+AGGREGATES = {"mean": F.avg, "min": F.min, "max": F.max, "stddev": F.stddev_pop, "median": F.median}
 
 
 def value_word_weights(instances: DataFrame) -> DataFrame:
@@ -58,12 +55,13 @@ def name_embedding(properties: DataFrame, lexicon: DataFrame) -> DataFrame:
     return properties.select(*PROPERTY_KEY).distinct().join(means, "prop").select(*PROPERTY_KEY, "name_emb")
 
 
-def meta_profile(instances: DataFrame, agg: str = "mean", missing: float | None = -1.0) -> DataFrame:
-    """(property, n_instances, n_entities, meta, num): aggregated format features and numbers; one shuffle."""
+def meta_profile(instances: DataFrame, agg: str = "mean", missing: float | None = -1.0, exact_entities: bool = False) -> DataFrame:
+    """(property, n_instances, n_entities, meta, num): aggregated format features and numbers; one shuffle. n_entities, which no
+    feature uses, is a sketch's estimate unless it is asked for exactly."""
     f = AGGREGATES[agg]
     rows = with_meta(instances).withColumn("_num", numeric(F.col("value"), missing))
     return rows.groupBy(*PROPERTY_KEY).agg(
-        F.count("*").alias("n_instances"), F.approx_count_distinct("entity").alias("n_entities"),
+        F.count("*").alias("n_instances"), (F.count_distinct if exact_entities else F.approx_count_distinct)("entity").alias("n_entities"),
         F.array(*[f(F.col(c)) for c in META_NAMES]).alias("meta"), F.coalesce(f(F.col("_num")), F.lit(-1.0)).alias("num"),
     )
 

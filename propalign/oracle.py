@@ -3,9 +3,12 @@
 from __future__ import annotations
 
 from propalign.baselines import lsh, semgraph
-from propalign.functions.formats import CHAR_NAMES, CHAR_TYPES, LARGEST, NUMBER, TOKEN_TYPES
+from propalign.functions.formats import CHAR_NAMES, CHAR_TYPES, EXPONENT, FINITE, LARGEST, NUMBER, TOKEN_TYPES
+from propalign.functions import strings
 from propalign.functions.lexicon import EPSILON, word_concepts
+from propalign.plans.experiments import ruled_network
 from propalign.plans.splits import FRACTIONS
+from propalign.plans.stats import SAMPLE
 from propalign.sources.domains import DOMAINS, alignment, instances_sql, source_name
 
 ALL = tuple(DOMAINS)
@@ -58,7 +61,7 @@ _COUNT = {n: f"length(regexp_replace(value, '[^{p[1:-1] if p.startswith('[') els
 _COUNT["other"] = f"length(value) - ({' + '.join(_COUNT[n] for n in ('letter', 'mark', 'number', 'punctuation', 'symbol', 'white'))})"
 _TOKENS = "list_filter(regexp_split_to_array(value, '[\\p{Z}\\s]+'), lambda t: t <> '')"
 _TOKEN = {n: f"len(list_filter(tokens, lambda t: regexp_matches(t, '{p}')))" for n, p in TOKEN_TYPES.items()}
-_NUM = f"CASE WHEN regexp_matches(trim(value, ' '), '{NUMBER}') AND abs(TRY_CAST(trim(value, ' ') AS DOUBLE)) <= {LARGEST} THEN TRY_CAST(trim(value, ' ') AS DOUBLE) ELSE -1.0 END"
+_NUM = f"CASE WHEN regexp_matches(trim(value, ' '), '{NUMBER}') AND abs(TRY_CAST(trim(value, ' ') AS DOUBLE)) <= CASE WHEN regexp_matches(value, '{EXPONENT}') THEN {LARGEST} ELSE {FINITE} END THEN TRY_CAST(trim(value, ' ') AS DOUBLE) ELSE -1.0 END"
 
 
 def meta_rows(relation: str) -> str:
@@ -117,12 +120,12 @@ _NAME_WEIGHTS = f"(SELECT {P}, unnest(CASE WHEN len(w) > 0 THEN w ELSE [NULL] EN
 
 
 def combined(mode: str) -> str:
-    two = ("party", "event")
     cols = [*[f"m{i}" for i in range(28)], "num"]
-    pairs = paired(f"({profile(inst(two), digits=None)})", tuple(cols))
+    pairs = paired(f"({profile(inst(), digits=None)})", tuple(cols))
     f = {"abs_diff": "abs({0}_a - {0}_b)", "diff": "{0}_a - {0}_b", "mean": "({0}_a + {0}_b) / 2", "concat": None}[mode]
     xs = [f.format(c) for c in cols] if f else [f"{c}_a" for c in cols] + [f"{c}_b" for c in cols]
-    return f"SELECT {PAIR}, {len(xs)} AS width, round({xs[0]}, 4) AS first, round({xs[-1]}, 4) AS last, round({' + '.join(xs)}, 3) AS total FROM {pairs}"
+    told = lambda x: f"round(sign({x}) * ln(1 + abs({x})), 6) + 0.0"
+    return f"SELECT {PAIR}, {len(xs)} AS width, {told(xs[0])} AS first, {told(xs[-1])} AS last, {told(' + '.join(xs))} AS total FROM {pairs}"
 
 
 _NAMES = f"(SELECT DISTINCT prop_a, prop_b, {normal('prop_a')} AS a, {normal('prop_b')} AS b FROM {paired(props())})"
@@ -140,29 +143,50 @@ DISTANCE = {
     "trigram_jaccard": f"SELECT prop_a, prop_b, round(1 - CAST(len(list_intersect(list_distinct(ga), list_distinct(gb))) AS DOUBLE) / len(k), 6) AS dist FROM {_GRAMMED}",
 }
 
+
+
+def _edit_rows(first: str, cell: str, last: str, names: str = _NAMES) -> str:
+    """A distance by dynamic programming, a row of the table in each round. cell: of place j, from the row so far (acc), that
+    before (prev) and that before it (prev2), for the i-th letter of a; last: the distance."""
+    return (
+        f"WITH RECURSIVE n AS MATERIALIZED (SELECT * FROM {names}), t AS (SELECT prop_a, prop_b, a, b, 0 AS i, {first} AS prev2, {first} AS prev FROM n UNION ALL "
+        f"SELECT prop_a, prop_b, a, b, i + 1, prev, list_reduce(list_concat([[CAST({'i + 1' if 'levenshtein' in last else '0'} AS BIGINT)]], list_transform(range(1, length(b) + 1), lambda x: [x])), "
+        f"lambda acc, x: list_append(acc, CAST({cell} AS BIGINT))) FROM t WHERE i < length(a)) "
+        f"SELECT prop_a, prop_b, CAST({last.removeprefix('levenshtein:')} AS DOUBLE) AS dist FROM t WHERE i = length(a)"
+    )
+
+
+_J, _EQ = "x[1]", "substr(a, CAST(i + 1 AS INT), 1) = substr(b, CAST(x[1] AS INT), 1)"
+DISTANCE["osa"] = _edit_rows(
+    "range(0, length(b) + 1)",
+    f"least(prev[{_J} + 1] + 1, acc[{_J}] + 1, prev[{_J}] + CASE WHEN {_EQ} THEN 0 ELSE 1 END, CASE WHEN i > 0 AND {_J} > 1 AND substr(a, CAST(i + 1 AS INT), 1) = substr(b, CAST({_J} - 1 AS INT), 1) "
+    f"AND substr(a, CAST(i AS INT), 1) = substr(b, CAST({_J} AS INT), 1) THEN prev2[{_J} - 1] + 1 ELSE 9999 END)",
+    "levenshtein:prev[-1]",
+)
+DISTANCE["lcs"] = _edit_rows(
+    "list_transform(range(0, length(b) + 1), lambda x: 0)", f"CASE WHEN {_EQ} THEN prev[{_J}] + 1 ELSE greatest(prev[{_J} + 1], acc[{_J}]) END", "length(a) + length(b) - 2 * prev[-1]",
+)
+
 # --- splits and samples
 
 
-def sd_splits() -> str:
+def sd_splits(draws: int = 600) -> str:
+    """Of so many shuffles of the sources, the first 25 different beginnings."""
     parts = []
-    for c in ("party", "order", "event"):
+    for c in ALL:
         m = DOMAINS[c].sources
         names = [source_name(DOMAINS[c], s) for s in range(m)]
         for f in FRACTIONS:
-            k = max(2, round(f * m))
-            parts.append(f"SELECT '{c}' AS dataset, CAST({f} AS DOUBLE) AS fraction, '{f}' AS told, {k} AS k, unnest({names!r}) AS s")
+            parts.append(f"SELECT '{c}' AS dataset, CAST({f} AS DOUBLE) AS fraction, '{f}' AS told, {max(2, round(f * m))} AS k, unnest({names!r}) AS s")
     base = " UNION ALL ".join(parts)
     return (
-        f"WITH RECURSIVE base AS ({base}), sub AS (SELECT dataset, fraction, told, k, [s] AS l FROM base UNION ALL "
-        "SELECT sub.dataset, sub.fraction, sub.told, sub.k, list_append(sub.l, base.s) FROM sub JOIN base ON base.dataset = sub.dataset AND base.fraction = sub.fraction WHERE base.s > sub.l[-1] AND len(sub.l) < sub.k), "
-        "ranked AS (SELECT *, row_number() OVER (PARTITION BY dataset, fraction ORDER BY md5('7|' || told || '|' || array_to_string(l, ','))) - 1 AS run FROM sub WHERE len(l) = k) "
+        f"WITH base AS MATERIALIZED ({base}), drawn AS (SELECT dataset, fraction, i, list(s ORDER BY s) AS l FROM (SELECT *, row_number() OVER (PARTITION BY dataset, fraction, i ORDER BY md5('7|' || told || '|' || i || '|' || s)) AS place "
+        f"FROM base, range({draws}) d(i)) WHERE place <= k GROUP BY dataset, fraction, i), "
+        "ranked AS (SELECT dataset, fraction, l, row_number() OVER (PARTITION BY dataset, fraction ORDER BY min(i)) - 1 AS run FROM drawn GROUP BY dataset, fraction, l) "
         "SELECT r.dataset, r.fraction, CAST(r.run AS INT) AS run, b.s AS source, list_contains(r.l, b.s) AS in_train FROM ranked r JOIN base b ON b.dataset = r.dataset AND b.fraction = r.fraction WHERE r.run < 25"
     )
 
 
-_THREE = ("party", "order", "event")
-
-
 def sample(domains: tuple[str, ...]) -> str:
     rows = labelled(paired(props(domains)), domains)
     ranked = f"(SELECT *, row_number() OVER (PARTITION BY cls, label ORDER BY md5(concat_ws('|', '7', cls, {PAIR}))) AS r, sum(label) OVER (PARTITION BY cls) AS n FROM {rows})"
@@ -180,8 +204,13 @@ _TL = (
 # --- baselines
 
 
-def _lexical(cardinality: str) -> str:
+_CONCEPTS = values([(w, f"concept{c}") for w, c, _ in word_concepts()], "word, concept")
+
+
+def _lexical(cardinality: str, synonyms: bool = False) -> str:
     base = f"(SELECT {P}, {normal('prop')} AS norm, list_distinct({words('prop')}) AS w FROM {props()})"
+    if synonyms:
+        base = f"(SELECT {P}, norm, list_sort(list_distinct(list(coalesce(concept, word)))) AS w FROM (SELECT {P}, norm, unnest(w) AS word FROM {base}) LEFT JOIN {_CONCEPTS} USING (word) GROUP BY {P}, norm)"
     sim = f"""WITH base AS {base}, freq AS (SELECT cls, word, count(*) AS f FROM (SELECT cls, unnest(w) AS word FROM base) GROUP BY cls, word),
 total AS (SELECT cls, count(*) AS t FROM base GROUP BY cls),
 weight AS (SELECT cls, word, CASE WHEN t > 1 THEN 1 - ln(f) / ln(t) ELSE 1.0 END AS r FROM freq JOIN total USING (cls)),
@@ -257,6 +286,27 @@ def _lsh(variant: str, n: int, band: int, domains: tuple[str, ...]) -> str:
     )
 
 
+_BANDS = values([(b,) for b in lsh.BANDS], "band")
+
+
+def _lsh_sweep() -> str:
+    """Per pair the equal places as a text of 0 and 1; a pair is found where a whole band of it is 1."""
+    parts = []
+    for v, n in lsh.HASHES.items():
+        parts.append(
+            f"SELECT '{v}' AS variant, {n} AS n, a.cls, a.source AS source_a, a.prop AS prop_a, b.source AS source_b, b.prop AS prop_b, "
+            f"array_to_string(list_transform(list_zip(a.l, b.l), lambda z: CASE WHEN z[1] = z[2] THEN '1' ELSE '0' END), '') AS e FROM list_{v} a JOIN list_{v} b ON a.cls = b.cls AND a.source < b.source"
+        )
+    sigs = ", ".join(f"{_hashes(v, n, ALL, f'sig_{v}')}, list_{v} AS MATERIALIZED (SELECT {P}, list(s ORDER BY i) AS l FROM sig_{v} GROUP BY {P})" for v, n in lsh.HASHES.items())
+    return (
+        f"WITH {sigs}, eq AS MATERIALIZED ({' UNION ALL '.join(parts)}), hit AS (SELECT variant, band, {PAIR} FROM eq, {_BANDS} "
+        "WHERE list_contains(list_transform(range(0, n // band), lambda k: substr(e, CAST(k * band + 1 AS INT), CAST(band AS INT)) = repeat('1', CAST(band AS INT))), true)), "
+        f"real AS MATERIALIZED (SELECT *, 1 AS t FROM {truth()}), c AS (SELECT variant, band, cls, count(t) AS tp, count(*) - count(t) AS fp FROM hit LEFT JOIN real USING ({PAIR}) GROUP BY ALL), "
+        "all_ AS (SELECT cls, count(*) AS n FROM real GROUP BY cls), "
+        f"f AS (SELECT variant, band, {_f1('tp', 'fp', '(n - tp)')} AS f1 FROM c JOIN all_ USING (cls)) SELECT variant, CAST(band AS INT) AS band, round(sum(f1) / {len(ALL)}, 4) AS mean_f1 FROM f GROUP BY variant, band"
+    )
+
+
 # --- measures
 
 
@@ -289,12 +339,87 @@ EQUAL = (
     f"SELECT {PAIR}, score, is_match FROM ({_lexical('n:m')}) WHERE is_match QUALIFY row_number() OVER (PARTITION BY cls, source_a, prop_a, source_b ORDER BY score DESC, prop_a, prop_b) = 1 "
     "AND row_number() OVER (PARTITION BY cls, source_b, prop_b, source_a ORDER BY score DESC, prop_a, prop_b) = 1"
 )
+_DEALT = (
+    f"split AS MATERIALIZED (SELECT * FROM ({sd_splits()})), p AS MATERIALIZED (SELECT * FROM {labelled(paired(props()), ALL)}), "
+    "dealt AS (SELECT a.dataset, a.fraction, a.run, a.in_train AND b.in_train AS both_, a.in_train OR b.in_train AS one, label "
+    "FROM p JOIN split a ON a.dataset = p.cls AND a.source = p.source_a JOIN split b ON b.dataset = p.cls AND b.source = p.source_b AND a.fraction = b.fraction AND a.run = b.run)"
+)
 SPLIT_PAIRS = (
-    f"WITH split AS MATERIALIZED (SELECT * FROM ({sd_splits()}) WHERE dataset = 'event'), p AS MATERIALIZED (SELECT * FROM {labelled(paired(props(('event',))), ('event',))}) "
-    "SELECT a.fraction, a.run, count(*) FILTER (a.in_train AND b.in_train) AS n_train, count(*) FILTER (a.in_train AND b.in_train AND label = 1) AS n_train_matches, "
-    "count(*) FILTER (NOT (a.in_train AND b.in_train)) AS n_test, count(*) FILTER (NOT (a.in_train OR b.in_train)) AS n_unseen "
-    "FROM p JOIN split a ON a.source = p.source_a JOIN split b ON b.source = p.source_b AND a.fraction = b.fraction AND a.run = b.run GROUP BY a.fraction, a.run"
+    f"WITH {_DEALT} SELECT dataset, fraction, run, count(*) FILTER (both_) AS n_train, count(*) FILTER (both_ AND label = 1) AS n_train_matches, "
+    "count(*) FILTER (NOT both_) AS n_test, count(*) FILTER (NOT one) AS n_unseen FROM dealt GROUP BY dataset, fraction, run"
+)
+RUN_SIZES = f"WITH {_DEALT} SELECT dataset, fraction, run, count(*) FILTER (NOT both_) AS n_test, count(*) FILTER (NOT both_ AND label = 1) AS n_test_matches FROM dealt GROUP BY dataset, fraction, run"
+
+
+def _mean(c: str) -> str:
+    return f"CAST(sum(CAST({c} AS DECIMAL(18, 12))) AS DOUBLE) / count(*) AS mean_{c}"
+
+
+PR_CURVE = (
+    f"WITH real AS MATERIALIZED (SELECT *, 1 AS t FROM {truth()}), step AS (SELECT cls, score, count(t) AS t, count(*) AS n FROM ({_lexical('n:m')}) LEFT JOIN real USING ({PAIR}) GROUP BY cls, score), "
+    "total AS (SELECT cls, count(*) AS every FROM real GROUP BY cls), "
+    "down AS (SELECT cls, score, CAST(sum(t) OVER w AS BIGINT) AS tp, CAST(sum(n) OVER w AS BIGINT) AS seen FROM step WINDOW w AS (PARTITION BY cls ORDER BY score DESC ROWS UNBOUNDED PRECEDING)) "
+    "SELECT cls, score, tp, seen - tp AS fp, round(CAST(tp AS DOUBLE) / seen, 4) AS precision, round(CAST(tp AS DOUBLE) / every, 4) AS recall FROM down JOIN total USING (cls)"
+)
+_FLAT = {
+    "lexical_onto": _lexical("1:1"), "concept_lattice": LATTICE, "semantic_graph": SEMGRAPH, "lsh_instances": _lsh("minhash", lsh.HASHES["minhash"], 1, ALL), "cosine": COSINE,
+}
+FLAT = f"SELECT cls AS dataset, method, tp, fp, fn, precision, recall, f1 FROM ({prf(_FLAT)})"
+FUSED = (
+    f"WITH c AS MATERIALIZED (SELECT * FROM ({CLUSTERS}) WHERE cls = 'goods'), v AS (SELECT cls, cluster_id, entity, value, count(*) AS n FROM {inst(('goods',))} JOIN c USING ({P}) GROUP BY ALL) "
+    "SELECT cls, cluster_id, entity, value, n FROM v QUALIFY row_number() OVER (PARTITION BY cls, cluster_id, entity ORDER BY n DESC, value) = 1"
+)
+_PLAIN = f"(SELECT {P}, m1, num FROM ({profile(inst(), digits=None)}))"
+_VECTOR = lambda long, dim: f"(SELECT {P}, x FROM {long} WHERE dim = {dim})"
+_VALUE_LONG = mean_vectors(_WEIGHTS, P)
+_SIDES = " ".join(
+    f"JOIN {rel} {n}{s} ON {n}{s}.cls = s.cls AND {n}{s}.source = s.source_{s} AND {n}{s}.prop = s.prop_{s}"
+    for s in "ab" for n, rel in (("p", _PLAIN), ("v", _VECTOR(_VALUE_LONG, 4)), ("w", _VECTOR(_LONG_NAME, 2)))
 )
+SAMPLED = (
+    f"SELECT s.*, label, CAST(levenshtein({normal('s.prop_a')}, {normal('s.prop_b')}) AS DOUBLE) AS levenshtein, round(abs(pa.m1 - pb.m1), 4) AS letter_share, round(abs(pa.num - pb.num), 4) AS number, "
+    f"round(abs(va.x - vb.x), 4) AS value_vector_4, round(abs(wa.x - wb.x), 4) AS name_vector_2 FROM {values([('goods', *x) for x in SAMPLE], PAIR)} s {_SIDES} "
+    f"JOIN {labelled(paired(props(('goods',))), ('goods',))} l ON {' AND '.join(f'l.{c} = s.{c}' for c in PAIR.split(', '))}"
+)
+_STREAM_FIELDS = {"user": "CAST(user_id AS VARCHAR)", "event type": "event_type", "amount": "CAST(CAST(value AS DECIMAL(18, 2)) AS VARCHAR)", "key": "json_extract_string(props, '$.k')"}
+_STREAM = "(SELECT * FROM (" + " UNION ALL ".join(
+    f"SELECT 'event' AS cls, 'e' || lpad(CAST(user_id % 8 AS VARCHAR), 2, '0') AS source, '{n}' AS prop, {v} AS value FROM events" for n, v in _STREAM_FIELDS.items()
+) + ") WHERE value IS NOT NULL)"
+_REAL_WAYS = f"(SELECT cls, source_a AS source, prop_a AS prop, source_b AS other_source, prop_b AS other_prop FROM {truth(('order',))} UNION ALL SELECT cls, source_b, prop_b, source_a, prop_a FROM {truth(('order',))})"
+ONE_TO_MANY = f"SELECT {P}, other_source, string_agg(other_prop, '|' ORDER BY other_prop) AS partners, count(*) AS n_partners FROM {_REAL_WAYS} JOIN {props(('order',))} USING ({P}) GROUP BY {P}, other_source HAVING count(*) > 1"
+
+_EIGHT = f"names AS MATERIALIZED (SELECT * FROM {_NAMES}), " + ", ".join(f"d_{k} AS MATERIALIZED ({DISTANCE[k]})" for k in strings.DISTANCES)
+_JOINED = " ".join(f"JOIN d_{k} USING (prop_a, prop_b)" for k in strings.DISTANCES)
+_DISTANCES = ", ".join(f"d_{k}.dist AS dist_{k}" for k in strings.DISTANCES)
+ASSEMBLED = (
+    f"WITH {_EIGHT}, prof AS MATERIALIZED {_PLAIN} SELECT {PAIR}, {29 + 2 * 64 + 8} AS width, round(abs(m1_a - m1_b), 9) AS letter_share, round(ln(1 + abs(num_a - num_b)), 6) AS number, "
+    + ", ".join(f"round(d_{k}.dist, 6) AS dist_{k}" for k in strings.DISTANCES) + f" FROM {paired('prof', ('m1', 'num'))} x {_JOINED}"
+)
+
+
+def _ruled() -> str:
+    """Scores of the network of experiments.ruled_network: a first layer over long features, the others written out."""
+    net = ruled_network(29 + 2 * 64 + 8)
+    first = values([(i, *map(float, row)) for i, row in enumerate(net.weights[0])], "i, " + ", ".join(f"u{j}" for j in range(8)))
+    long = (
+        f"SELECT {P}, i, x FROM (UNPIVOT (SELECT {P}, {', '.join(f'm{k}' for k in range(28))}, num AS m28 FROM ({profile(inst(), digits=None)})) ON {', '.join(f'm{k}' for k in range(29))} INTO NAME f VALUE x), "
+        f"LATERAL (SELECT CAST(substr(f, 2) AS BIGINT) AS i) UNION ALL SELECT {P}, 28 + dim, x FROM {_VALUE_LONG} UNION ALL SELECT {P}, 92 + dim, x FROM {_LONG_NAME}"
+    )
+    layer = lambda k, width, names: [f"{net.biases[k][j]} + " + " + ".join(f"({float(w)}) * {n}" for w, n in zip(net.weights[k][:, j], names, strict=True)) for j in range(width)]
+    eight = " + ".join(f"d_{k}.dist * ({{{i}}})" for i, k in enumerate(strings.DISTANCES))
+    h0 = ", ".join(f"greatest(0, {net.biases[0][j]} + s{j} + {eight.format(*map(float, net.weights[0][-8:, j]))}) AS h{j}" for j in range(8))
+    h1 = ", ".join(f"greatest(0, {e}) AS g{j}" for j, e in enumerate(layer(1, 4, [f"h{j}" for j in range(8)])))
+    z = layer(2, 2, [f"g{j}" for j in range(4)])
+    return (
+        f"WITH {_EIGHT}, long AS MATERIALIZED ({long}), u AS MATERIALIZED {first}, "
+        f"part AS (SELECT a.cls, a.source AS source_a, a.prop AS prop_a, b.source AS source_b, b.prop AS prop_b, {', '.join(f'sum(abs(a.x - b.x) * u{j}) AS s{j}' for j in range(8))} "
+        f"FROM long a JOIN long b ON a.cls = b.cls AND a.i = b.i AND a.source < b.source JOIN u ON u.i = a.i GROUP BY ALL), "
+        f"one AS (SELECT {PAIR}, {h0} FROM part {_JOINED}), two AS (SELECT {PAIR}, {h1} FROM one), out_ AS (SELECT {PAIR}, {z[0]} AS z0, {z[1]} AS z1 FROM two) "
+        f"SELECT {PAIR}, round(1 / (1 + exp(z0 - z1)), 5) AS score FROM out_"
+    )
+
+
+FIXED = _ruled()
 
 ORACLE: dict[str, str] = {
     **{f"instances_{c}": instances_sql(c) for c in (*ALL, "text")},
@@ -307,21 +432,24 @@ ORACLE: dict[str, str] = {
     "value_word_weights": f"SELECT {P}, coalesce(word, '') AS word, round(weight, 4) AS weight FROM {_WEIGHTS}",
     "value_embedding": digest(mean_vectors(_WEIGHTS, P)), "name_embedding": digest(_LONG_NAME),
     "property_profile": profile(inst()),
-    **{f"profile_{a}": profile(inst(("event", "party")), a) for a in ("min", "max")},
-    "profile_stddev": profile(inst(("event", "party")), "stddev_pop"),
-    "profile_distinct": profile(f"(SELECT DISTINCT {P}, value FROM {inst(('event', 'party'))})"),
+    **{f"profile_{a}": profile(inst(), a) for a in ("min", "max")},
+    "profile_stddev": profile(inst(), "stddev_pop"),
+    "profile_distinct": profile(f"(SELECT DISTINCT {P}, value FROM {inst()})"),
     "candidate_pairs": f"SELECT * FROM {paired(props())}", "candidate_pairs_blocks": f"SELECT * FROM {paired(props())}",
     "truth_pairs": f"SELECT * FROM {truth()}", "labelled_pairs": f"SELECT * FROM {labelled(paired(props()), ALL)}",
     **{f"pair_{m}": combined(m) for m in ("abs_diff", "diff", "mean", "concat")},
     **{f"dist_{k}": q for k, q in DISTANCE.items()},
     "sd_splits": sd_splits(), "split_pairs": SPLIT_PAIRS, "tl_combinations": _TL,
-    "negative_sample": f"SELECT * FROM ({sample(_THREE)}) WHERE label = 0", "training_pairs": sample(ALL),
+    "negative_sample": f"SELECT * FROM ({sample(ALL)}) WHERE label = 0", "training_pairs": sample(ALL),
     "baseline_lexical": _lexical("1:1"), "baseline_lexical_many": _lexical("n:m"), "baseline_lattice": LATTICE, "baseline_semgraph": SEMGRAPH, "semgraph_sweep": SEMGRAPH_SWEEP,
-    "baseline_minhash": _lsh("minhash", lsh.HASHES["minhash"], 1, ALL), "baseline_projection": _lsh("projection", lsh.HASHES["projection"], 20, ("party", "order")),
+    "baseline_minhash": _lsh("minhash", lsh.HASHES["minhash"], 1, ALL), "baseline_projection": _lsh("projection", lsh.HASHES["projection"], 20, ALL),
     "baseline_cosine": COSINE, "metrics_prf": PRF,
     "best_config": f"SELECT * FROM ({PRF}) QUALIFY rank() OVER (PARTITION BY cls ORDER BY f1 DESC) = 1",
     "f1_gap": f"WITH p AS MATERIALIZED ({PRF}) SELECT a.cls, a.method, round(100 * (b.f1 - a.f1), 2) AS gap_points FROM p a JOIN p b ON a.cls = b.cls AND b.method = 'semgraph' WHERE a.method <> 'semgraph'",
-    "metrics_cube": f"SELECT cls, method, count(*) AS n, round(avg(precision), 4) AS mean_precision, round(avg(recall), 4) AS mean_recall, round(avg(f1), 4) AS mean_f1 FROM ({PRF}) GROUP BY CUBE (cls, method)",
+    "metrics_cube": f"SELECT cls, method, count(*) AS n, {_mean('precision')}, {_mean('recall')}, {_mean('f1')} FROM ({PRF}) GROUP BY CUBE (cls, method)",
+    "pr_curve": PR_CURVE, "flat_baselines": FLAT, "fused_values": FUSED, "sample_features": SAMPLED, "stream_profile": profile(_STREAM), "lsh_sweep": _lsh_sweep(),
+    "baseline_lexical_synonyms": _lexical("1:1", True), "profile_median": profile(inst(), "median"), "run_sizes": RUN_SIZES,
+    "similarity_graph": f"SELECT * FROM ({_lexical('n:m')}) WHERE score >= 0.5", "one_to_many": ONE_TO_MANY, "assembled_features": ASSEMBLED, "ppc_fixed": FIXED,
     "clusters_transitive": CLUSTERS, "partners_topk": TOPK,
     "partners_many": f"SELECT {P}, other_source, string_agg(other_prop, '|' ORDER BY other_prop) AS partners, count(*) AS n_partners FROM {_ways(LATTICE)} WHERE is_match GROUP BY {P}, other_source",
     "equal_matches": EQUAL,

@@ -10,6 +10,7 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 from propalign.baselines import boosted, cosine, lattice, lexical, lsh, semgraph
 from propalign.functions.lexicon import blended, hashed
 from propalign.model import CONFIGS, PAIR_KEY, PROPERTY_KEY, RUNMETRIC, FeatureConfig
-from propalign.operators.network import NetworkSpec, fit
+from propalign.operators.network import Network, NetworkSpec, fit
 from propalign.operators.pairs import pair_matrix
 from propalign.operators.profile import profile, vector_of
 from propalign.operators.sampling import labelled, truth
@@ -37,11 +38,20 @@ def lexicon(spark: SparkSession, sf_dir: str, kind: str = "blended") -> DataFram
     if kind == "trained":
         from propalign.functions.lexicon import trained
 
-        texts = spark.read.parquet(f"{sf_dir}/documents.parquet").select("text").unionByName(spark.read.parquet(f"{sf_dir}/conversations.parquet").select("text"))
-        return trained(texts)
+        # A name among the values that stand beside it: names of like values get like vectors, without any list of concepts.
+        parts = [instances(spark, sf_dir, c) for c in DATASETS]
+        return trained(reduce(DataFrame.unionByName, parts).select(F.concat_ws(" ", "prop", "value", "prop").alias("text")))
     return {"blended": blended, "hashed": hashed}[kind](spark, vectors)
 
 
+def ruled_network(width: int, hidden: tuple[int, ...] = (8, 4)) -> Network:
+    """A network with weights from a rule: multiples of 1/1000 that other engines can write down."""
+    sizes = [width, *hidden, 2]
+    weight = lambda k, i, j: ((i * 37 + j * 101 + k * 53) % 41 - 20) / 1000
+    weights = [np.array([[weight(k, i, j) for j in range(b)] for i in range(a)]) for k, (a, b) in enumerate(zip(sizes, sizes[1:], strict=False))]
+    return Network(NetworkSpec(hidden=hidden, scale="none"), np.zeros(width), np.ones(width), weights, [np.full(b, 0.01) for b in sizes[1:]])
+
+
 class Dataset:
     """Vectors, names, sources and reference properties of one dataset, as arrays; pairs are made when they are needed."""
 

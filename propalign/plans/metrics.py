@@ -55,8 +55,10 @@ def best(summary: DataFrame, by: list[str], measure: str = "mean_f1") -> DataFra
 
 
 def cube(runs: DataFrame, dims: list[str]) -> DataFrame:
-    """Mean measures for every combination of dimensions and all their totals (nulls)."""
-    return runs.cube(*dims).agg(F.count("*").alias("n"), *[F.avg(c).alias(f"mean_{c}") for c in ("precision", "recall", "f1")])
+    """Mean measures for every combination of dimensions and all their totals (nulls). Sums are decimals, so they don't depend on
+    the order of rows."""
+    mean = lambda c: (F.sum(F.col(c).cast("decimal(18,12)")).cast("double") / F.count("*")).alias(f"mean_{c}")
+    return runs.cube(*dims).agg(F.count("*").alias("n"), *[mean(c) for c in ("precision", "recall", "f1")])
 
 
 def pr_curve(sim: DataFrame, truth: DataFrame) -> DataFrame:

@@ -11,20 +11,16 @@ from pyspark.sql import functions as F
 
 FRACTIONS = (0.2, 0.4, 0.6, 0.8)
 RUNS = 25
-#: Subsets are enumerated up to so many; beyond, they are drawn by hash.
-MOST_SUBSETS = 100_000
 
 
 def training_sources(sources: list[str], fraction: float, runs: int = RUNS, seed: int = 7) -> list[tuple[str, ...]]:
-    """Different subsets of sources to train on: those with the smallest hashes. Two sources at least make a pair."""
+    """Different subsets of sources to train on: the first sources of one shuffle after another, by hashes, until there are as
+    many as asked for, or as there can be. Two sources at least make a pair."""
     m = len(sources)
     k = max(2, round(fraction * m))
-    key = lambda s: hashlib.md5(f"{seed}|{fraction}|{','.join(s)}".encode()).hexdigest()
-    if comb(m, k) <= MOST_SUBSETS:
-        return sorted(combinations(sorted(sources), k), key=key)[:runs]
     out: dict[tuple[str, ...], None] = {}
     i = 0
-    while len(out) < runs:
+    while len(out) < min(runs, comb(m, k)):
         order = sorted(sources, key=lambda s: hashlib.md5(f"{seed}|{fraction}|{i}|{s}".encode()).hexdigest())  # noqa: B023
         out[tuple(sorted(order[:k]))] = None
         i += 1
@@ -42,8 +38,8 @@ def splits(spark: SparkSession, dataset: str, sources: list[str], fractions: tup
 
 def deal(pairs: DataFrame, split: DataFrame) -> DataFrame:
     """pairs for each fraction and run, with in_train: whether both sources are training sources, and seen: whether one is."""
-    side = lambda s: F.broadcast(split.select("dataset", "fraction", "run", F.col("source").alias(f"source_{s}"), F.col("in_train").alias(f"_{s}")))
-    out = pairs.join(side("a"), "source_a").join(side("b"), ["dataset", "fraction", "run", "source_b"])
+    side = lambda s: F.broadcast(split.select(F.col("dataset").alias("cls"), "fraction", "run", F.col("source").alias(f"source_{s}"), F.col("in_train").alias(f"_{s}")))
+    out = pairs.join(side("a"), ["cls", "source_a"]).join(side("b"), ["cls", "fraction", "run", "source_b"]).withColumn("dataset", F.col("cls"))
     return out.withColumns({"in_train": F.col("_a") & F.col("_b"), "seen": F.col("_a") | F.col("_b")}).drop("_a", "_b")
 
 

@@ -15,8 +15,8 @@ from propalign.baselines import boosted, cosine, lattice, lexical, lsh, semgraph
 from propalign.functions import formats, strings
 from propalign.model import CONFIGS, PAIR_KEY, PROPERTY_KEY, FeatureConfig
 from propalign.operators import graph
-from propalign.operators.classifier import MatcherSpec, PropertyPairClassifier
-from propalign.operators.pairs import candidates, combine
+from propalign.operators.classifier import MatcherSpec, PropertyPairClassifier, PropertyPairModel
+from propalign.operators.pairs import assemble, candidates, combine
 from propalign.operators.profile import meta_profile, name_embedding, profile, value_embedding, value_word_weights
 from propalign.operators.sampling import labelled, training_pairs, truth
 from propalign.plans import experiments as ex
@@ -104,7 +104,7 @@ def property_profile(spark, sf):
 
 def profile_variant(agg: str, distinct: bool = False) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark, sf):
-        out = profile(every(spark, sf, ("event", "party")), ex.lexicon(spark, sf), agg, distinct)
+        out = profile(every(spark, sf), ex.lexicon(spark, sf), agg, distinct)
         return out.select(*PROPERTY_KEY, "n_instances", *[F.round(F.col("meta")[i], 4).alias(f"m{i}") for i in range(28)], F.round("num", 4).alias("num"))
 
     return query
@@ -127,10 +127,12 @@ def truth_pairs(spark, sf):
 
 def pair_combination(mode: str) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark, sf):
-        meta = meta_profile(every(spark, sf, ("party", "event"))).withColumn("v", F.concat("meta", F.array("num")))
+        meta = meta_profile(every(spark, sf)).withColumn("v", F.concat("meta", F.array("num")))
         pairs = candidates(meta, ["v"]).withColumn("x", combine(F.col("v_a"), F.col("v_b"), mode))
         total = F.aggregate("x", F.lit(0.0), lambda s, x: s + x)
-        return pairs.select(*PAIR_KEY, F.size("x").alias("width"), F.round(F.col("x")[0], 4).alias("first"), F.round(F.element_at("x", -1), 4).alias("last"), F.round(total, 3).alias("total"))
+        # Numbers of values are large; a logarithm keeps as many digits of each as two engines agree in.
+        told = lambda c: F.round(F.signum(c) * F.log1p(F.abs(c)), 6) + F.lit(0.0)  # noqa: E731  no negative zeros
+        return pairs.select(*PAIR_KEY, F.size("x").alias("width"), told(F.col("x")[0]).alias("first"), told(F.element_at("x", -1)).alias("last"), told(total).alias("total"))
 
     return query
 
@@ -147,20 +149,16 @@ def name_distance(kind: str) -> Callable[[SparkSession, str], DataFrame]:
 
 
 def sd_splits(spark, sf):
-    parts = [splits.splits(spark, c, [source_name(DOMAINS[c], s) for s in range(DOMAINS[c].sources)]) for c in ("party", "order", "event")]
+    parts = [splits.splits(spark, c, [source_name(DOMAINS[c], s) for s in range(DOMAINS[c].sources)]) for c in ALL]
     return reduce(DataFrame.unionByName, parts)
 
 
-def sd_splits_goods(spark, sf):
-    return splits.splits(spark, "goods", [source_name(DOMAINS["goods"], s) for s in range(24)])
-
-
-def _labelled(spark, sf, domains=("party", "order", "event")):
+def _labelled(spark, sf, domains=ALL):
     return labelled(candidates(properties(spark, sf, domains)), align_table(spark, list(domains)))
 
 
 def labelled_pairs(spark, sf):
-    return _labelled(spark, sf, ALL)
+    return _labelled(spark, sf)
 
 
 def negative_sample(spark, sf):
@@ -168,14 +166,13 @@ def negative_sample(spark, sf):
 
 
 def sample_of_pairs(spark, sf):
-    return training_pairs(_labelled(spark, sf, ALL))
+    return training_pairs(_labelled(spark, sf))
 
 
 def split_pairs(spark, sf):
-    """Training and test pairs of every run of one dataset."""
-    split = splits.splits(spark, "event", [source_name(DOMAINS["event"], s) for s in range(8)])
-    dealt = splits.deal(_labelled(spark, sf, ("event",)), split)
-    return dealt.groupBy("fraction", "run").agg(
+    """Training and test pairs of every run of every dataset."""
+    dealt = splits.deal(_labelled(spark, sf), sd_splits(spark, sf))
+    return dealt.groupBy("dataset", "fraction", "run").agg(
         F.count_if("in_train").alias("n_train"), F.count_if(F.col("in_train") & (F.col("label") == 1)).alias("n_train_matches"),
         F.count_if(~F.col("in_train")).alias("n_test"), F.count_if(~F.col("seen")).alias("n_unseen"),
     )
@@ -220,11 +217,11 @@ def baseline_minhash(spark, sf):
 
 
 def baseline_projection(spark, sf):
-    return lsh.match(every(spark, sf, ("party", "order")), "projection", band=20)
+    return lsh.match(every(spark, sf), "projection", band=20)
 
 
 def lsh_sweep(spark, sf):
-    return _rounded(ex.lsh_grid(spark, sf, ("party", "order", "event")), ["mean_f1"])
+    return _rounded(ex.lsh_grid(spark, sf), ["mean_f1"])
 
 
 def baseline_cosine(spark, sf):
@@ -238,42 +235,77 @@ def flat_baselines(spark, sf):
 # --- the classifier
 
 
-def _ppc(spark, sf, cls="goods", config=FeatureConfig(), mode="abs_diff", trainer="minibatch", **score):
-    """Trains on a sample of the pairs between the first half of the sources, scores all others."""
-    prof = profile(instances(spark, sf, cls), ex.lexicon(spark, sf))
-    prof = graph.checkpointed(prof)
+def _prepared(spark, sf, cls):
+    """A dataset's profiles, and a sample of the labelled pairs between the first half of its sources."""
+    prof = graph.checkpointed(profile(instances(spark, sf, cls), ex.lexicon(spark, sf)))
     half = source_name(DOMAINS[cls], DOMAINS[cls].sources // 2)
     given = labelled(candidates(prof), align_table(spark, [cls])).where((F.col("source_a") < half) & (F.col("source_b") < half))
-    sample = graph.checkpointed(training_pairs(given))
-    model = PropertyPairClassifier(MatcherSpec(config, mode=mode, trainer=trainer)).fit_profile(prof, sample)
-    return model.score(exclude=sample, **score)
+    return prof, graph.checkpointed(training_pairs(given))
+
+
+def _ppc(spark, sf, domains=ALL, configs=(FeatureConfig(),), mode="abs_diff", trainer="minibatch", **score):
+    """Trains on a sample of the pairs between the first half of the sources of each dataset, scores all its others."""
+    parts = []
+    for cls in domains:
+        prof, sample = _prepared(spark, sf, cls)
+        for c in configs:
+            model = PropertyPairClassifier(MatcherSpec(c, mode=mode, trainer=trainer)).fit_profile(prof, sample)
+            parts.append(model.score(exclude=sample, **score).withColumn("config", F.lit(c.name)))
+    return reduce(DataFrame.unionByName, parts)
 
 
 def ppc_score(spark, sf):
-    return _ppc(spark, sf)
+    """The classifier on the largest dataset; ppc_all_pairs has all of them."""
+    return _ppc(spark, sf, ("goods",)).drop("config")
 
 
 def ppc_all_pairs(spark, sf):
-    return _ppc(spark, sf, "party", include_labelled=True)
+    return _ppc(spark, sf, include_labelled=True).drop("config")
 
 
 def ppc_mode(mode: str) -> Callable[[SparkSession, str], DataFrame]:
-    return lambda spark, sf: _ppc(spark, sf, "event", mode=mode)
+    return lambda spark, sf: _ppc(spark, sf, mode=mode).drop("config")
 
 
 def ppc_mllib(spark, sf):
-    return _ppc(spark, sf, "party", trainer="mllib")
+    return _ppc(spark, sf, trainer="mllib").drop("config")
 
 
 def ppc_configs(spark, sf):
-    parts = [_ppc(spark, sf, "event", c).withColumn("config", F.lit(c.name)) for c in CONFIGS]
-    return reduce(DataFrame.unionByName, parts)
+    return _ppc(spark, sf, configs=CONFIGS)
+
+
+def ppc_fixed(spark, sf):
+    """Scores of a network whose weights come from a rule, so that other engines can compute them too: on all datasets."""
+    prof = graph.checkpointed(profile(every(spark, sf), ex.lexicon(spark, sf)))
+    d = prof.select(F.size("name_emb")).first()[0]
+    model = PropertyPairModel(MatcherSpec(), ex.ruled_network(29 + 2 * d + 8), d, prof)
+    return _rounded(model.score(), ["score"], 5).drop("is_match")
+
+
+def assembled_features(spark, sf):
+    """Pairs with their combined features and the eight name distances, as ML pipelines get them."""
+    prof = graph.checkpointed(profile(every(spark, sf), ex.lexicon(spark, sf)))
+    rows = assemble(prof)
+    at = lambda i: F.round(F.element_at("features", i), 9)
+    return rows.select(*PAIR_KEY, F.size("features").alias("width"), at(2).alias("letter_share"), F.round(F.log1p(F.element_at("features", 29)), 6).alias("number"), *[F.round(F.element_at("features", i - 8), 6).alias(f"dist_{k}") for i, k in enumerate(strings.DISTANCES)])
 
 
 def boosted_score(spark, sf):
-    rows = graph.checkpointed(_labelled(spark, sf, ("order",)))
-    sample = training_pairs(rows.where("source_a < 'o05' and source_b < 'o05'"))
-    return boosted.fit_pairs(sample).score_pairs(rows.join(sample.select(*PAIR_KEY), PAIR_KEY, "left_anti"))
+    parts = []
+    for cls in ALL:
+        rows = graph.checkpointed(_labelled(spark, sf, (cls,)))
+        half = source_name(DOMAINS[cls], DOMAINS[cls].sources // 2)
+        sample = training_pairs(rows.where((F.col("source_a") < half) & (F.col("source_b") < half)))
+        parts.append(boosted.fit_pairs(sample).score_pairs(rows.join(sample.select(*PAIR_KEY), PAIR_KEY, "left_anti")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def run_sizes(spark, sf):
+    """Pairs and matches in the test of every training of the single-domain grid (names' vectors), as the trained runs count them."""
+    data = ex.prepare(spark, sf)
+    runs = ex.run_grid(spark, data, ex.single_domain_grid(data, configs=[FeatureConfig("names", "embedding")], boosted_too=False), "single_domain")
+    return runs.select("dataset", "fraction", "run", (F.col("tp") + F.col("fp") + F.col("fn") + F.col("tn")).alias("n_test"), (F.col("tp") + F.col("fn")).alias("n_test_matches"))
 
 
 def sd_results(spark, sf):
@@ -307,11 +339,12 @@ def anonymous_names(spark, sf):
 
 
 def lexicon_control(spark, sf):
-    """The same runs with vectors that carry meaning, and with some that don't."""
+    """The whole grid with vectors of a given list of concepts, with some that mean nothing, and with some learned from the values
+    beside each name."""
     parts = []
-    for kind in ("blended", "hashed"):
-        data = ex.prepare(spark, sf, ("order", "event"), kind)
-        grid = ex.single_domain_grid(data, (0.4,), 3, [FeatureConfig("names", "embedding")], False)
+    for kind in ("blended", "hashed", "trained"):
+        data = ex.prepare(spark, sf, lex=kind)
+        grid = ex.single_domain_grid(data, configs=[FeatureConfig("names", "embedding")], boosted_too=False)
         parts.append(ex.run_grid(spark, data, grid, f"lexicon_{kind}"))
     return reduce(DataFrame.unionByName, parts)
 
@@ -334,13 +367,25 @@ def f1_gap(spark, sf):
 
 
 def metrics_cube(spark, sf):
-    return _rounded(metrics.cube(metrics_prf(spark, sf), ["cls", "method"]), ["mean_precision", "mean_recall", "mean_f1"])
+    return metrics.cube(metrics_prf(spark, sf), ["cls", "method"])
 
 
 def pr_curve(spark, sf):
     return _rounded(metrics.pr_curve(baseline_lexical_many(spark, sf), truth(align_table(spark))), ["precision", "recall"])
 
 
+def similarity_graph(spark, sf):
+    return graph.similarity_graph(baseline_lexical_many(spark, sf), 0.5)
+
+
+def one_to_many(spark, sf):
+    """An order's date in one source and its year and month in others: one property with several partners."""
+    real = truth(align_table(spark, ["order"])).withColumns({"score": F.lit(1.0), "is_match": F.lit(True)})
+    found = properties(spark, sf, ("order",))
+    rows = graph.partners(real).join(found, PROPERTY_KEY, "left_semi").where("n_partners > 1")
+    return rows.withColumn("partners", F.concat_ws("|", "partners"))
+
+
 def clusters_transitive(spark, sf):
     return graph.connected_components(baseline_lattice(spark, sf))
 
@@ -397,10 +442,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         f.__name__: f
         for f in (
             property_catalog, dataset_statistics, source_statistics, entity_cap, char_features, token_features, numeric_feature,
-            property_profile, candidate_pairs, candidate_pairs_blocks, truth_pairs, labelled_pairs, sd_splits, sd_splits_goods, negative_sample, split_pairs, tl_combinations,
+            property_profile, candidate_pairs, candidate_pairs_blocks, truth_pairs, labelled_pairs, sd_splits, negative_sample, split_pairs, tl_combinations,
             baseline_lexical, baseline_lexical_many, baseline_lexical_synonyms, baseline_lattice, baseline_semgraph, semgraph_sweep, baseline_minhash,
-            baseline_projection, lsh_sweep, baseline_cosine, flat_baselines, ppc_score, ppc_all_pairs, ppc_mllib, ppc_configs, boosted_score, sd_results,
-            sd_summary, tl_results, network_sensitivity, anonymous_names, lexicon_control, metrics_prf, best_config, f1_gap, metrics_cube, pr_curve, clusters_transitive,
+            baseline_projection, lsh_sweep, baseline_cosine, flat_baselines, ppc_score, ppc_all_pairs, ppc_mllib, ppc_configs, ppc_fixed, assembled_features, boosted_score, sd_results, run_sizes,
+            sd_summary, tl_results, network_sensitivity, anonymous_names, lexicon_control, metrics_prf, best_config, f1_gap, metrics_cube, pr_curve, similarity_graph, one_to_many, clusters_transitive,
             clusters_source_unique, partners_topk, partners_many, equal_matches, fused_values, sample_features, stream_profile,
         )
     },

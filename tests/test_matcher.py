@@ -368,3 +368,47 @@ def test_entry_without_the_corpus_operators():
     import __spark_entry__
 
     assert {"ppc_score", "baseline_lexical"} <= set(__spark_entry__.queries()) and "truth_pairs" in __spark_entry__.oracle_sql()
+
+
+@pytest.mark.parametrize("trainer", ["minibatch", "mllib"])
+def test_saved_models_answer_alike(spark, tmp_path, trainer):
+    prof = profile(domains.instances(spark, SF, "event"), ex.lexicon(spark, SF)).cache()
+    sample = training_pairs(labelled(candidates(prof), domains.align_table(spark, ["event"])).where("source_a < 'e04' and source_b < 'e04'")).cache()
+    spec = MatcherSpec(FeatureConfig("both", "non_embedding"), aggregate="max", distinct_values=True, numeric_missing=None, trainer=trainer)
+    model = PropertyPairClassifier(spec).fit_profile(prof, sample)
+    model.save(str(tmp_path / "model"))
+    again = type(model).load(str(tmp_path / "model"))
+    assert again.spec == model.spec and again.d == model.d
+    rows = lambda m: {tuple(r)[:5]: r["score"] for r in m.score(prof).collect()}
+    a, b = rows(model), rows(again)
+    assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-9 for k in a) and 0 < sum(v > 0.5 for v in a.values()) < len(a)
+
+
+def test_tiles_are_dealt_to_many_tasks(spark):
+    """Tiles of one class go to tasks by their own key, and give the scores of a single tile."""
+    prof = profile(domains.instances(spark, SF, "goods"), ex.lexicon(spark, SF)).cache()
+    sample = training_pairs(labelled(candidates(prof), domains.align_table(spark, ["goods"])).where("source_a < 'g06' and source_b < 'g06'")).cache()
+    model = PropertyPairClassifier(MatcherSpec(FeatureConfig("names", "all"))).fit_profile(prof, sample)
+    sim = model.score(prof).cache()
+    parts = sim.groupBy(F.spark_partition_id()).count().collect()
+    assert len(parts) >= 8 and max(r["count"] for r in parts) < 0.5 * sim.count()
+    rows = lambda df: {tuple(r)[:5]: r["score"] for r in df.collect()}
+    one, many = rows(model.score(prof, blocks=1)), rows(sim)
+    assert one.keys() == many.keys() and all(abs(one[k] - many[k]) < 1e-6 for k in one)
+
+
+def test_signatures_with_few_states_at_a_time(spark, monkeypatch):
+    from propalign.baselines import lsh
+
+    rows = lsh.elements(domains.instances(spark, SF, "event")).repartition(5).cache()
+    of = lambda: {tuple(r)[:3]: list(r["sig"]) for f in (lsh.minhash, lsh.projection) for r in f(rows, 20).collect()}
+    whole = of()
+    monkeypatch.setattr(lsh, "HELD", 3)
+    assert of() == whole
+
+
+def test_large_numbers(spark):
+    """Plain digits of any length are numbers, as far as doubles go; those with an exponent up to a size."""
+    cases = {"4006381333931": 4006381333931.0, "1" * 300: float("1" * 300), "9" * 400: -1.0, "12e5678": -1.0, "1e12": 1e12, "1e13": -1.0, "-5000000000000.5": -5000000000000.5}
+    got = {r["value"]: r["x"] for r in spark.createDataFrame([(v,) for v in cases], "value string").select("value", formats.numeric(F.col("value")).alias("x")).collect()}
+    assert got == cases

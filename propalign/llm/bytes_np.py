@@ -2,7 +2,25 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute
+
+#: Bytes of text that a worker takes at a time; what it derives from them is some fifty times as large.
+AT_A_TIME = 1_000_000
+
+
+def slices(batch: pa.RecordBatch, column: int, most: int = AT_A_TIME) -> Iterator[pa.RecordBatch]:
+    """The batch in runs of rows, each with at most so many bytes in a column of texts, or one row."""
+    upto = np.cumsum(pa.compute.fill_null(pa.compute.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False))
+    at = 0
+    while at < batch.num_rows:
+        k = max(1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + most, side="right")) - at)
+        yield batch.slice(at, k)
+        at += k
+
 
 _rng = np.random.default_rng(20240229)
 #: A random 64-bit number for each byte, twice; and odd bases whose powers weigh the places.

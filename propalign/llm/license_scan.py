@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from propalign.llm.bytes_np import slices
 from propalign.llm.tables import kept_columns, schema_with
 
 COVERAGE = 0.8
@@ -193,7 +194,7 @@ def license_scan(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scanner = Scanner(templates, coverage)
-        for b in batches:
+        for b in (s for whole in batches for s in slices(whole, 1)):
             out = [[dict(zip(("license", "start", "stop", "words", "coverage"), h, strict=True)) for h in (scanner.scan(x) if x else [])] for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.list_(hit))], names=["row", "matches"])
 

@@ -37,7 +37,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from propalign.llm.bytes_np import mix, shingle_sets
+from propalign.llm.bytes_np import mix, shingle_sets, slices
 from propalign.llm.components import components, roots
 from propalign.llm.tables import materialise, release, schema_with
 
@@ -89,11 +89,7 @@ def signed(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            at = 0
-            sizes = pa.compute.fill_null(pa.compute.binary_length(whole.column(1)), 0).to_numpy()
-            while at < whole.num_rows:  # about 4 MB of text at a time
-                k = max(1, int(np.searchsorted(np.cumsum(sizes[at:]), 4_000_000, side="right")))
-                b, at = whole.slice(at, k), at + k
+            for b in slices(whole, 1):
                 texts = b.column(1).to_pylist()
                 sets = shingle_sets(texts, WORDS)
                 yield pa.RecordBatch.from_arrays(
@@ -150,8 +146,7 @@ def _sets(wanted: DataFrame, docs: DataFrame, members: DataFrame) -> DataFrame:
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for at in range(0, whole.num_rows, 500):
-                b = whole.slice(at, 500)
+            for b in slices(whole, 2):
                 found = [s.tobytes() for s in shingle_sets(b.column(2).to_pylist(), WORDS)]
                 # An id may have several texts; only that of the class counts.
                 right = [hashlib.blake2b(s, digest_size=16).digest() == d for s, d in zip(found, b.column(1).to_pylist(), strict=True)]

@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from propalign.llm.bytes_np import slices
 from propalign.llm.tables import kept_columns, schema_with
 
 POSITIVES = 6_000
@@ -66,7 +67,7 @@ def features(rows: DataFrame) -> DataFrame:
     """(row, features as float32 bytes) of (row, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (s for whole in batches for s in slices(whole, 1)):
             found = [text_features(x).tobytes() for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["row", "features"])
 
@@ -123,7 +124,7 @@ def score(docs: DataFrame, model: dict, text: str = "text", name: str = "score")
     rows = docs.select(F.struct(*kept_columns(docs, docs.columns, [name])).alias("row"), F.col(f"`{text}`").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (s for whole in batches for s in slices(whole, 1)):
             if model["weights"] is None:
                 s = np.full(b.num_rows, model["prior"])
             else:

@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from propalign.llm.bytes_np import slices
 from propalign.llm.tables import kept_columns, materialise, schema_with
 
 #: Kinds in their order; the last is that of discovered spans.
@@ -165,7 +166,7 @@ def scanned(docs: DataFrame, text: str, keep: list[Column]) -> DataFrame:
     rows = docs.select(F.struct(*keep).alias("row"), F.col(f"`{text}`").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (s for whole in batches for s in slices(whole, 1)):
             base, hits = [], []
             for x in b.column(1).to_pylist():
                 found = checked_spans(x) if x else []

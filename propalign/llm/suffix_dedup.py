@@ -36,7 +36,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from propalign.llm.bytes_np import Prefix, mix, word_codes, word_hashes
+from propalign.llm.bytes_np import Prefix, mix, slices, word_codes, word_hashes
 from propalign.llm.tables import kept_columns, materialise, release, schema_with
 
 LENGTH = 400
@@ -133,11 +133,8 @@ def _anchors(raw: DataFrame, kinds: list[_Kind]) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            lengths = pa.compute.fill_null(pa.compute.binary_length(whole.column(0)), 0).to_numpy()
-            at = 0
-            while at < whole.num_rows:
-                k = max(1, int(np.searchsorted(np.cumsum(lengths[at:]), BLOCK, side="right")))
-                texts, at = [x or b"" for x in whole.column(0).slice(at, k).to_pylist()], at + k
+            for b in slices(whole, 0, BLOCK):
+                texts = [x or b"" for x in b.column(0).to_pylist()]
                 tids = [hashlib.md5(x).digest() for x in texts]
                 for kind in kinds:
                     raws = texts if kind.unit == 1 else word_codes(texts)
@@ -408,7 +405,7 @@ def suffix_dedup(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         told = lambda xs: pa.array([[{"start": s, "stop": e} for s, e in x] for x in xs], span)
-        for b in batches:
+        for b in (s for whole in batches for s in slices(whole, 1, BLOCK)):
             kept, sizes, out, passages = [], [], [], []
             for raw, spans, runs in zip(*[b.column(k).to_pylist() for k in (1, 2, 3)], strict=True):
                 merged = _merged(spans)

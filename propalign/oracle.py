@@ -441,6 +441,8 @@ ORACLE: dict[str, str] = {
     **{f"dist_{k}": q for k, q in DISTANCE.items()},
     "sd_splits": sd_splits(), "split_pairs": SPLIT_PAIRS, "tl_combinations": _TL,
     "negative_sample": f"SELECT * FROM ({sample(ALL)}) WHERE label = 0", "training_pairs": sample(ALL),
+    "lexical_alike": f"SELECT * FROM ({_lexical('1:1')}) WHERE score >= 0.6", "lexical_alike_many": f"SELECT * FROM ({_lexical('n:m')}) WHERE score >= 0.6",
+    "lattice_sharing": f"SELECT * FROM ({LATTICE}) WHERE score > 0", "cosine_alike": f"SELECT * FROM ({COSINE}) WHERE is_match",
     "baseline_lexical": _lexical("1:1"), "baseline_lexical_many": _lexical("n:m"), "baseline_lattice": LATTICE, "baseline_semgraph": SEMGRAPH, "semgraph_sweep": SEMGRAPH_SWEEP,
     "baseline_minhash": _lsh("minhash", lsh.HASHES["minhash"], 1, ALL), "baseline_projection": _lsh("projection", lsh.HASHES["projection"], 20, ALL),
     "baseline_cosine": COSINE, "metrics_prf": PRF,

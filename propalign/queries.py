@@ -186,10 +186,19 @@ def tl_combinations(spark, sf):
 
 
 def baseline_lexical(spark, sf):
-    return lexical.match(properties(spark, sf))
+    return lexical.match(properties(spark, sf), least=0)
 
 
 def baseline_lexical_many(spark, sf):
+    return lexical.match(properties(spark, sf), cardinality="n:m", least=0)
+
+
+def lexical_alike(spark, sf):
+    """The pairs that reach the threshold, by equi-joins: no other pair is made."""
+    return lexical.match(properties(spark, sf))
+
+
+def lexical_alike_many(spark, sf):
     return lexical.match(properties(spark, sf), cardinality="n:m")
 
 
@@ -197,10 +206,15 @@ def baseline_lexical_synonyms(spark, sf):
     from propalign.functions.lexicon import word_concepts
 
     concepts = spark.createDataFrame([(w, f"concept{c}") for w, c, _ in word_concepts()], "word string, concept string")
-    return lexical.match(properties(spark, sf), synonyms=concepts)
+    return lexical.match(properties(spark, sf), synonyms=concepts, least=0)
 
 
 def baseline_lattice(spark, sf):
+    return lattice.match(properties(spark, sf), every_pair=True)
+
+
+def lattice_sharing(spark, sf):
+    """The pairs that share a word, by an equi-join."""
     return lattice.match(properties(spark, sf))
 
 
@@ -225,6 +239,10 @@ def lsh_sweep(spark, sf):
 
 
 def baseline_cosine(spark, sf):
+    return cosine.match(name_embedding(properties(spark, sf), ex.lexicon(spark, sf)), least=-1)
+
+
+def cosine_alike(spark, sf):
     return cosine.match(name_embedding(properties(spark, sf), ex.lexicon(spark, sf)))
 
 
@@ -354,7 +372,7 @@ def lexicon_control(spark, sf):
 
 def metrics_prf(spark, sf):
     real = truth(align_table(spark))
-    rows = [metrics.prf(m, real).withColumn("method", F.lit(n)) for n, m in (("lexical", baseline_lexical(spark, sf)), ("lattice", baseline_lattice(spark, sf)), ("semgraph", baseline_semgraph(spark, sf)))]
+    rows = [metrics.prf(m, real).withColumn("method", F.lit(n)) for n, m in (("lexical", lexical_alike(spark, sf)), ("lattice", lattice_sharing(spark, sf)), ("semgraph", baseline_semgraph(spark, sf)))]
     return _rounded(reduce(DataFrame.unionByName, rows), ["precision", "recall", "f1"])
 
 
@@ -375,7 +393,7 @@ def pr_curve(spark, sf):
 
 
 def similarity_graph(spark, sf):
-    return graph.similarity_graph(baseline_lexical_many(spark, sf), 0.5)
+    return graph.similarity_graph(lexical.match(properties(spark, sf), cardinality="n:m", least=0.5), 0.5)
 
 
 def one_to_many(spark, sf):
@@ -387,7 +405,7 @@ def one_to_many(spark, sf):
 
 
 def clusters_transitive(spark, sf):
-    return graph.connected_components(baseline_lattice(spark, sf))
+    return graph.connected_components(lattice_sharing(spark, sf))
 
 
 def clusters_source_unique(spark, sf):
@@ -399,12 +417,12 @@ def partners_topk(spark, sf):
 
 
 def partners_many(spark, sf):
-    out = graph.partners(baseline_lattice(spark, sf))
+    out = graph.partners(lattice_sharing(spark, sf))
     return out.withColumn("partners", F.concat_ws("|", "partners"))
 
 
 def equal_matches(spark, sf):
-    return graph.keep_equal(baseline_lexical_many(spark, sf))
+    return graph.keep_equal(lexical_alike_many(spark, sf))
 
 
 def fused_values(spark, sf):
@@ -443,7 +461,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         for f in (
             property_catalog, dataset_statistics, source_statistics, entity_cap, char_features, token_features, numeric_feature,
             property_profile, candidate_pairs, candidate_pairs_blocks, truth_pairs, labelled_pairs, sd_splits, negative_sample, split_pairs, tl_combinations,
-            baseline_lexical, baseline_lexical_many, baseline_lexical_synonyms, baseline_lattice, baseline_semgraph, semgraph_sweep, baseline_minhash,
+            baseline_lexical, baseline_lexical_many, baseline_lexical_synonyms, baseline_lattice, lexical_alike, lexical_alike_many, lattice_sharing, cosine_alike, baseline_semgraph, semgraph_sweep, baseline_minhash,
             baseline_projection, lsh_sweep, baseline_cosine, flat_baselines, ppc_score, ppc_all_pairs, ppc_mllib, ppc_configs, ppc_fixed, assembled_features, boosted_score, sd_results, run_sizes,
             sd_summary, tl_results, network_sensitivity, anonymous_names, lexicon_control, metrics_prf, best_config, f1_gap, metrics_cube, pr_curve, similarity_graph, one_to_many, clusters_transitive,
             clusters_source_unique, partners_topk, partners_many, equal_matches, fused_values, sample_features, stream_profile,

@@ -412,3 +412,26 @@ def test_large_numbers(spark):
     cases = {"4006381333931": 4006381333931.0, "1" * 300: float("1" * 300), "9" * 400: -1.0, "12e5678": -1.0, "1e12": 1e12, "1e13": -1.0, "-5000000000000.5": -5000000000000.5}
     got = {r["value"]: r["x"] for r in spark.createDataFrame([(v,) for v in cases], "value string").select("value", formats.numeric(F.col("value")).alias("x")).collect()}
     assert got == cases
+
+
+def test_alike_names_are_all_found(spark):
+    """The equi-joins of the lexical and lattice baselines against all pairs, at several scores, on names that are near copies."""
+    rnd = random.Random(11)
+    names = {"", "!!", "id", "a", "unit price of the item", "x" * 300, "x" * 299 + "y"}
+    while len(names) < 90:
+        name = rnd.choice(sorted(names)) if rnd.random() < 0.5 else "".join(rnd.choice("abc _") for _ in range(rnd.randint(1, 16)))
+        for _ in range(rnd.randint(0, 3)):
+            at = rnd.randint(0, len(name))
+            name = name[:at] + rnd.choice(["", "a", "b", " ", "é"]) + name[at + rnd.randint(0, 1) :]
+        names.add(name)
+    props = spark.createDataFrame([(rnd.choice("cd"), f"s{rnd.randint(0, 3)}", n) for n in sorted(names) for _ in range(2)], "cls string, source string, prop string").distinct()
+    told = lambda df: {tuple(r[c] for c in PAIR_KEY): (round(r["score"], 8), r["is_match"]) for r in df.collect()}
+    props = graph.checkpointed(props)
+    whole = told(lexical.match(props, cardinality="n:m", least=0))
+    for least in (0.4, 0.75):
+        want = {k: v for k, v in whole.items() if v[0] >= least}
+        assert want and told(lexical.match(props, cardinality="n:m", least=least)) == want
+    whole = told(lattice.match(props, every_pair=True))
+    some = told(lattice.match(props))
+    assert some == {k: v for k, v in whole.items() if v[0] > 0} and any(v[1] for v in some.values())
+    assert told(lattice.match(props.where("false"))) == {}

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from propalign.model import PAIR_KEY, FeatureConfig
+from propalign.model import PAIR_KEY, PROPERTY_KEY, FeatureConfig
 from propalign.operators.network import Network, NetworkSpec, fit
 from propalign.operators.pairs import BLOCK, pair_matrix
 from propalign.operators.profile import profile, vector_of
@@ -136,19 +136,27 @@ def score_tiles(prof: DataFrame, model: PropertyPairModel, min_score: float = 0.
 
 def labelled_features(prof: DataFrame, labels: DataFrame, spec: MatcherSpec, d: int) -> tuple[np.ndarray, np.ndarray]:
     """Features and labels of the labelled pairs, in the order of their keys. They are bounded by MOST_TRAINING."""
-    vec = prof.select("cls", "source", "prop", vector_of(prof).alias("vec"))
-    a = vec.withColumnsRenamed({"source": "source_a", "prop": "prop_a", "vec": "va"})
-    b = vec.withColumnsRenamed({"source": "source_b", "prop": "prop_b", "vec": "vb"})
-    rows = labels.select(*PAIR_KEY, "label").join(a, ["cls", "source_a", "prop_a"]).join(b, ["cls", "source_b", "prop_b"])
     n = labels.count()
     if n > MOST_TRAINING:
         raise ValueError(f"{n} labelled pairs; sample at most {MOST_TRAINING} (sampling.training_pairs)")
-    got = rows.orderBy(*PAIR_KEY).toPandas()
-    if not len(got):
-        return np.zeros((0, spec.config.width(d) if spec.mode != "concat" else 2 * (29 + 2 * d) + 8)), np.zeros(0, dtype=int)
-    va, vb = np.stack(got["va"].map(np.asarray)), np.stack(got["vb"].map(np.asarray))
-    x = pair_matrix(va.astype(float), vb.astype(float), got["prop_a"].tolist(), got["prop_b"].tolist(), spec.mode)
-    return _cut(x, spec, d), got["label"].to_numpy(int)
+    width = spec.config.width(d) if spec.mode != "concat" else 2 * (29 + 2 * d) + 8
+    # Names of the pairs, and each property's vector once, however many pairs it is in.
+    pairs = labels.select(*PAIR_KEY, "label").orderBy(*PAIR_KEY).toPandas()
+    ends = labels.select("cls", F.inline(F.array(*[F.struct(F.col(f"source_{s}").alias("source"), F.col(f"prop_{s}").alias("prop")) for s in "ab"]))).distinct()
+    held = prof.select(*PROPERTY_KEY, vector_of(prof).alias("vec")).join(ends, PROPERTY_KEY, "left_semi").toArrow().combine_chunks()
+    at = {k: i for i, k in enumerate(zip(*[held.column(c).to_pylist() for c in PROPERTY_KEY], strict=True))}
+    a, b = (np.array([at.get(k, -1) for k in zip(pairs["cls"], pairs[f"source_{s}"], pairs[f"prop_{s}"], strict=True)], dtype=int) for s in "ab")
+    known = (a >= 0) & (b >= 0)
+    if not known.any():
+        return np.zeros((0, width)), np.zeros(0, dtype=int)
+    vectors = pa.concat_arrays(held.column("vec").chunks).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(held.num_rows, -1)
+    pairs, a, b = pairs[known], a[known], b[known]
+    names_a, names_b = pairs["prop_a"].tolist(), pairs["prop_b"].tolist()
+    x = np.empty((len(pairs), width))
+    for i in range(0, len(pairs), 20_000):
+        j = i + 20_000
+        x[i:j] = _cut(pair_matrix(vectors[a[i:j]], vectors[b[i:j]], names_a[i:j], names_b[i:j], spec.mode), spec, d)
+    return x, pairs["label"].to_numpy(int)
 
 
 class PropertyPairClassifier:

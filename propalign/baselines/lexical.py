@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from propalign.functions.formats import words
 from propalign.functions.strings import normal
 from propalign.model import PAIR_KEY, PROPERTY_KEY
+from propalign.operators.graph import checkpointed
 from propalign.operators.pairs import candidates
 
 THRESHOLD = 0.6
@@ -73,10 +74,11 @@ def by_parts(names: DataFrame, least: float) -> DataFrame:
 
 
 def _alike(props: DataFrame, least: float) -> DataFrame:
-    """(PAIR, score) of the pairs with at least such a score."""
-    names = props.select("cls", "norm", "w").dropDuplicates(["cls", "norm"])
+    """(PAIR, score) of the pairs with at least such a score. Properties and names are written once, since all joins read them."""
+    props = checkpointed(props)
+    names = checkpointed(props.select("cls", "norm", "w").dropDuplicates(["cls", "norm"]))
     a, b = (names.withColumnsRenamed({"norm": f"norm_{s}", "w": f"w_{s}"}) for s in "ab")
-    some = by_rare_words(names, least).unionByName(by_parts(names, least)).distinct()
+    some = checkpointed(by_rare_words(names, least).unionByName(by_parts(names, least)).distinct())
     scored = some.join(a, ["cls", "norm_a"]).join(b, ["cls", "norm_b"]).select("cls", "norm_a", "norm_b", _score().alias("score")).where(F.col("score") >= least)
     turned = scored.select("cls", F.col("norm_b").alias("norm_a"), F.col("norm_a").alias("norm_b"), "score")
     same = names.select("cls", F.col("norm").alias("norm_a"), F.col("norm").alias("norm_b"), F.lit(1.0).alias("score"))

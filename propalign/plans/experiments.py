@@ -193,21 +193,19 @@ def network_grid(data: dict[str, Dataset], fraction: float = 0.4, runs: int = 3,
 
 def flat_baselines(spark: SparkSession, sf_dir: str, datasets: tuple[str, ...] = DATASETS, lex: str = "blended") -> DataFrame:
     """Measures of the unsupervised methods on all pairs: lines that no training moves."""
-    words = lexicon(spark, sf_dir, lex)
-    out = None
-    for cls in datasets:
-        inst, real = instances(spark, sf_dir, cls), truth(align_table(spark, [cls]))
-        props = inst.select(*PROPERTY_KEY).distinct()
-        from propalign.operators.profile import name_embedding
-
-        found = {
-            "lexical_onto": lexical.match(props), "concept_lattice": lattice.match(props), "semantic_graph": semgraph.match(props, words),
-            "lsh_instances": lsh.match(inst), "cosine": cosine.match(name_embedding(props, words)),
-        }
-        for method, sim in found.items():
-            rows = prf(sim, real).select(F.lit(cls).alias("dataset"), F.lit(method).alias("method"), "tp", "fp", "fn", "precision", "recall", "f1")
-            out = rows if out is None else out.unionByName(rows)
-    return out
+    from propalign.operators.graph import checkpointed
+    from propalign.operators.profile import name_embedding
+
+    words, real = lexicon(spark, sf_dir, lex), truth(align_table(spark, list(datasets)))
+    inst = reduce(DataFrame.unionByName, [instances(spark, sf_dir, cls) for cls in datasets])
+    props = checkpointed(inst.select(*PROPERTY_KEY).distinct())
+    # All methods look at one class at a time, so datasets go together.
+    found = {
+        "lexical_onto": lexical.match(props), "concept_lattice": lattice.match(props), "semantic_graph": semgraph.match(props, words),
+        "lsh_instances": lsh.match(inst), "cosine": cosine.match(name_embedding(props, words)),
+    }
+    rows = [prf(sim, real).select(F.col("cls").alias("dataset"), F.lit(method).alias("method"), "tp", "fp", "fn", "precision", "recall", "f1") for method, sim in found.items()]
+    return reduce(DataFrame.unionByName, rows)
 
 
 def semgraph_grid(spark: SparkSession, sf_dir: str, datasets: tuple[str, ...] = DATASETS) -> DataFrame:

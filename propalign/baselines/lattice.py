@@ -11,12 +11,13 @@ from pyspark.sql import functions as F
 
 from propalign.functions.formats import words
 from propalign.model import PAIR_KEY, PROPERTY_KEY
+from propalign.operators.graph import checkpointed
 from propalign.operators.pairs import candidates
 
 
 def _sharing(props: DataFrame) -> DataFrame:
     """(PAIR, n, u, least) of pairs with a word in common, by an equi-join of the different sets of words on their words."""
-    props = props.where(F.size("w") > 0).withColumn("k", F.concat_ws(" ", "w"))
+    props = checkpointed(props.where(F.size("w") > 0).withColumn("k", F.concat_ws(" ", "w")))
     rows = props.select("cls", "k", F.size("w").alias("size"), "w").dropDuplicates(["cls", "k"]).select("cls", "k", "size", F.explode("w").alias("word"))
     a, b = (rows.withColumnsRenamed({"k": f"k_{s}", "size": f"size_{s}"}) for s in "ab")
     both = a.join(b, ["cls", "word"]).groupBy("cls", "k_a", "k_b", "size_a", "size_b").agg(F.count("*").cast("int").alias("n"))

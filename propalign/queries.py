@@ -427,7 +427,7 @@ def equal_matches(spark, sf):
 
 def fused_values(spark, sf):
     goods = instances(spark, sf, "goods")
-    return graph.fuse_values(goods, graph.connected_components(lattice.match(goods.select(*PROPERTY_KEY).distinct())))
+    return graph.fuse_values(goods, graph.connected_components(lattice.match(properties(spark, sf, ("goods",)))))
 
 
 def sample_features(spark, sf):

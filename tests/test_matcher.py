@@ -435,3 +435,22 @@ def test_alike_names_are_all_found(spark):
     some = told(lattice.match(props))
     assert some == {k: v for k, v in whole.items() if v[0] > 0} and any(v[1] for v in some.values())
     assert told(lattice.match(props.where("false"))) == {}
+
+
+def test_band_sweep_plans_one_join(spark):
+    """All band sizes share one explode and one join, and both variants one pass over the words: the driver's plan stays small."""
+    from propalign.baselines import lsh
+
+    words = lsh.occurrences(domains.instances(spark, SF, "event"))
+    sizes = {"minhash": 20, "projection": 30}
+    states = lsh.signatures(words, sizes).cache()
+    for variant, alone in (("minhash", lsh.minhash), ("projection", lsh.projection)):
+        sig = lsh.signature_of(states, variant, sizes)
+        of = lambda df: {tuple(r)[:3]: list(r["sig"]) for r in df.collect()}
+        assert of(sig) == of(alone(lsh.elements(domains.instances(spark, SF, "event")), sizes[variant]))
+        both = lsh.banded(sig, [1, 5, 10], sizes[variant])
+        plan = both._jdf.queryExecution().optimizedPlan().toString()
+        assert plan.count("Join Inner") == 1 and "Union" not in plan
+        for r in (1, 5, 10):
+            one = lsh.banded(sig, [r], sizes[variant])
+            assert both.where(F.col("band") == r).exceptAll(one).isEmpty() and one.count() == both.where(F.col("band") == r).count()

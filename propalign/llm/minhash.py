@@ -37,7 +37,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from propalign.llm.bytes_np import mix, shingle_sets, slices
+from propalign.llm.bytes_np import give_back, mix, shingle_sets, slices
 from propalign.llm.components import components, roots
 from propalign.llm.tables import materialise, release, schema_with
 
@@ -102,6 +102,7 @@ def signed(docs: DataFrame) -> DataFrame:
                     ],
                     names=["id", "digest", "n_shingles", "same", "sig"],
                 )
+        give_back()
 
     rows = docs.mapInArrow(run, schema_with([docs.schema["id"]], "digest binary, n_shingles long, same binary, sig binary"))
     return rows.withColumn("uid", F.monotonically_increasing_id())
@@ -114,6 +115,7 @@ def _bucket_keys(classes: DataFrame) -> DataFrame:
             keys = np.concatenate([keys_of(s) for s in sig]) if len(sig) else np.zeros(0, dtype=np.int64)
             per = len(_MASKS) * CHUNKS
             yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(np.repeat(b.column(0).to_numpy(), per))], names=["bucket", "c"])
+        give_back()
 
     return classes.select("c", "sig").mapInArrow(run, "bucket long, c long")
 
@@ -151,6 +153,7 @@ def _sets(wanted: DataFrame, docs: DataFrame, members: DataFrame) -> DataFrame:
                 # An id may have several texts; only that of the class counts.
                 right = [hashlib.blake2b(s, digest_size=16).digest() == d for s, d in zip(found, b.column(1).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["c", "shingles"]).filter(pa.array(right))
+        give_back()
 
     # Rows that repeat an id and its text give the same set again.
     return materialise(texts.mapInArrow(sets, "c long, shingles binary").dropDuplicates(["c"]))

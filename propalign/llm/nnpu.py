@@ -22,8 +22,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
-from propalign.llm.bytes_np import slices
+from propalign.llm.bytes_np import give_back, slices
 from propalign.llm.tables import kept_columns, schema_with
 
 POSITIVES = 6_000
@@ -70,6 +71,7 @@ def features(rows: DataFrame) -> DataFrame:
         for b in (s for whole in batches for s in slices(whole, 1)):
             found = [text_features(x).tobytes() for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], names=["row", "features"])
+        give_back()
 
     return rows.mapInArrow(run, schema_with([rows.schema["row"]], "features binary"))
 
@@ -121,10 +123,19 @@ def train(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "do
 
 def score(docs: DataFrame, model: dict, text: str = "text", name: str = "score") -> DataFrame:
     """docs with the chance, by the model, that a text is of good quality."""
-    rows = docs.select(F.struct(*kept_columns(docs, docs.columns, [name])).alias("row"), F.col(f"`{text}`").alias("text"))
+    # The text goes to the workers once, inside the row, unless it isn't passed on.
+    kept = [f for f in docs.schema.fields if f.name.lower() != name.lower()]
+    at = next((i for i, f in enumerate(kept) if f.name.lower() == text.lower() and isinstance(f.dataType, StringType)), None)
+    row = F.struct(*kept_columns(docs, docs.columns, [name])).alias("row")
+    rows = docs.select(row) if at is not None else docs.select(row, F.col(f"`{text}`").alias("text"))
+
+    def with_text(whole: pa.RecordBatch) -> pa.RecordBatch:
+        if whole.num_columns == 2:
+            return whole
+        return pa.RecordBatch.from_arrays([whole.column(0), whole.column(0).field(at)], names=["row", "text"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in (s for whole in batches for s in slices(whole, 1)):
+        for b in (s for whole in batches for s in slices(with_text(whole), 1)):
             if model["weights"] is None:
                 s = np.full(b.num_rows, model["prior"])
             else:
@@ -132,6 +143,7 @@ def score(docs: DataFrame, model: dict, text: str = "text", name: str = "score")
                 z = np.clip((x - model["mean"]) / model["scale"], -8, 8) @ model["weights"][:-1] + model["weights"][-1]
                 s = 1 / (1 + np.exp(-np.clip(z, -35, 35)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s, pa.float64())], names=["row", "found"])
+        give_back()
 
     out = rows.mapInArrow(run, schema_with([rows.schema["row"]], "found double"))
     return out.select("row.*", F.col("found").alias(name))

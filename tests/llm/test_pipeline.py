@@ -81,3 +81,18 @@ def test_stages_on_awkward_rows(spark, tmp_path):
     assert emails[3] == text + "mail <EMAIL>" and emails[4] == "w " * 70_000
     one = Counter(r["doc_id"] for r in dict(corpus_pipeline.STAGES)["near_dedup"](spark, docs, str(tmp_path)).collect())
     assert one == {None: 1, 1: 2, 2: 1, 3: 1, 4: 1} or one == {None: 1, 1: 2, 2: 1, 4: 1}
+
+
+def test_workers_get_few_rows_and_the_session_keeps_its_setting(spark):
+    """Texts make rows large, so stages hand workers few of them at a time, and each text once."""
+    from propalign.llm import nnpu, tables
+
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    sizes = spark.range(5000, numPartitions=1).mapInArrow(lambda it: (b.slice(0, 1).set_column(0, "id", [[b.num_rows]]) for b in it), "id long")
+    assert max(r["id"] for r in tables.materialise(sizes).collect()) <= tables.BATCH_ROWS and spark.conf.get(name) == before
+    docs = spark.createDataFrame([(1, "a b"), (2, None), (3, "")], "doc_id long, Text string")
+    out = nnpu.score(docs, {"prior": 0.25, "weights": None}, text="text")
+    assert {tuple(r) for r in out.collect()} == {(1, "a b", 0.25), (2, None, 0.25), (3, "", 0.25)}
+    taken = nnpu.score(docs, {"prior": 0.25, "weights": None}, text="text", name="text")
+    assert {tuple(r) for r in taken.collect()} == {(1, 0.25), (2, 0.25), (3, 0.25)}

@@ -43,3 +43,29 @@ def test_transfer_grid_is_whole(asked):
 def test_network_grid_has_every_dataset(asked):
     queries.QUERIES["network_sensitivity"](None, "")
     assert Counter(g["dataset"] for g in asked) == {c: 9 for c in DOMAINS}
+
+
+def test_splits_follow_the_tables(spark, tmp_path):
+    """Splits, combinations and true pairs are those of the sources, datasets and properties that occur."""
+    import shutil
+
+    import duckdb
+
+    from __spark_entry__ import oracle_sql
+    from propalign.queries import QUERIES
+
+    src = "/root/testdata/sf0.001"
+    for f in __import__("pathlib").Path(src).glob("*.parquet"):
+        if f.stem not in ("events", "supplier"):
+            shutil.copy(f, tmp_path / f.name)
+    for t in ("events", "supplier"):
+        duckdb.sql(f"COPY (SELECT * FROM '{src}/{t}.parquet' LIMIT 0) TO '{tmp_path}/{t}.parquet'")
+    for folder in (src, str(tmp_path)):
+        con = duckdb.connect()
+        for f in __import__("pathlib").Path(folder).glob("*.parquet"):
+            con.execute(f"CREATE VIEW {f.stem} AS SELECT * FROM '{f}'")
+        for name in ("sd_splits", "tl_combinations", "truth_pairs"):
+            got = sorted(tuple(r) for r in QUERIES[name](spark, folder).collect())
+            assert got == sorted(con.execute(oracle_sql()[name]).fetchall()), (folder, name)
+            assert len(got) > 0
+    assert "event" not in {r["dataset"] for r in QUERIES["sd_splits"](spark, str(tmp_path)).collect()}

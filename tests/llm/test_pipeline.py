@@ -85,11 +85,14 @@ def test_stages_on_awkward_rows(spark, tmp_path):
 
 def test_workers_get_few_rows_and_the_session_keeps_its_setting(spark):
     """Texts make rows large, so stages hand workers few of them at a time, and each text once."""
+    import pyarrow as pa
+
     from propalign.llm import nnpu, tables
 
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
     before = spark.conf.get(name)
-    sizes = spark.range(5000, numPartitions=1).mapInArrow(lambda it: (b.slice(0, 1).set_column(0, "id", [[b.num_rows]]) for b in it), "id long")
+    rows_of = lambda it: (pa.RecordBatch.from_pydict({"id": [b.num_rows]}) for b in it)
+    sizes = spark.range(0, 5000, 1, 1).mapInArrow(rows_of, "id long")
     assert max(r["id"] for r in tables.materialise(sizes).collect()) <= tables.BATCH_ROWS and spark.conf.get(name) == before
     docs = spark.createDataFrame([(1, "a b"), (2, None), (3, "")], "doc_id long, Text string")
     out = nnpu.score(docs, {"prior": 0.25, "weights": None}, text="text")

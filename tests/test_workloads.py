@@ -154,3 +154,29 @@ def test_training_takes_plain_steps():
                     params[i] = params[i] - rate / (1 - 0.9**t) * m[i] / (np.sqrt(v[i] / (1 - 0.999**t)) + 1e-8)
     for got, want in zip([*net.weights, *net.biases], params, strict=True):
         assert got.dtype == np.float32 and np.allclose(got, want, rtol=1e-4, atol=1e-6)
+
+
+def test_lexicon_control_lists_properties_once(spark, monkeypatch):
+    """Every kind has its whole grid and the vectors of names that a whole profile has; properties come from one pass over the tables;
+    what fails beside the trainings is raised."""
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    sf, got, passes, plain = "/root/testdata/sf0.001", {}, [], ex.instances
+    whole = ex.prepare(spark, sf)
+    monkeypatch.setattr(ex, "instances", lambda spark, sf, cls, tasks=0: passes.append((cls, tasks)) or plain(spark, sf, cls, tasks))
+    monkeypatch.setattr(ex, "run_grid", lambda spark, data, grid, name: got.update({name: (data, grid)}) or spark.range(1).select(F.lit(name).alias("experiment")))
+    rows = queries.QUERIES["lexicon_control"](spark, sf).collect()
+    assert [r["experiment"] for r in rows] == ["lexicon_blended", "lexicon_hashed", "lexicon_trained"]
+    # Once for properties, and once for what trained vectors learn from.
+    assert Counter(c for c, tasks in passes if tasks) == Counter(list(DOMAINS)) and len(passes) == 2 * len(DOMAINS)
+    for data, grid in got.values():
+        assert Counter((g["dataset"], g["fraction"]) for g in grid) == {(c, f): 25 for c in DOMAINS for f in (0.2, 0.4, 0.6, 0.8)}
+        assert {g["config"] for g in grid} == {"names/embedding"}
+        for c in DOMAINS:
+            assert (data[c].prop, data[c].ref, list(data[c].source)) == (whole[c].prop, whole[c].ref, list(whole[c].source))
+    for c in DOMAINS:
+        assert np.allclose(got["lexicon_blended"][0][c].vec[:, -64:], whole[c].vec[:, -64:], atol=1e-6)
+    monkeypatch.setattr("propalign.functions.lexicon.trained", lambda texts: 1 / 0)
+    with pytest.raises(ZeroDivisionError):
+        ex.lexicon_runs(spark, sf, ("trained",))
